@@ -23,14 +23,14 @@ def lower_table() -> np.ndarray:
     return t
 
 
-def slices(column, most: int = 4 << 20):
+def slices(column, most: int = 1 << 20):
     """Cut an Arrow string column (nulls count as empty) into runs of at most `most` bytes or one text each.
 
     Yields first row, row after the last, the run's bytes, and its rows' offsets in them.
     """
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
-    column = pc.fill_null(column, "").cast(pa.large_string())
+    column = (pc.fill_null(column, "") if column.null_count else column).cast(pa.large_string())
     n = len(column)
     if not n:
         return
@@ -133,6 +133,46 @@ def spread(first: np.ndarray, count: np.ndarray) -> np.ndarray:
     return np.repeat(first - at, count) + np.arange(total)
 
 
+class HashIndex:
+    """Open addressing from 64-bit hashes to consecutive numbers, for whole arrays at a time."""
+
+    def __init__(self, most: int):
+        self.bits = max(10, int(2 * most).bit_length())
+        self.keys, self.number, self.used = np.zeros(1 << self.bits, np.uint64), np.zeros(1 << self.bits, np.int32), 0
+
+    def find(self, h: np.ndarray) -> np.ndarray:
+        """Number of each hash, -1 for those not held. Zero counts as another value."""
+        h = np.where(h == 0, U(1), h)
+        out = np.full(len(h), -1, np.int64)
+        slot = (h >> U(64 - self.bits)).astype(np.int64)
+        held = self.keys[slot]
+        same = held == h
+        out[same] = self.number[slot[same]]
+        left = np.flatnonzero(~same & (held != 0))
+        while len(left):
+            slot[left] = (slot[left] + 1) & ((1 << self.bits) - 1)
+            held = self.keys[slot[left]]
+            same = held == h[left]
+            out[left[same]] = self.number[slot[left[same]]]
+            left = left[~same & (held != 0)]
+        return out
+
+    def add(self, h: np.ndarray) -> None:
+        """Take in distinct hashes that are not held yet; they are numbered on."""
+        h = np.where(h == 0, U(1), h)
+        slot, left = (h >> U(64 - self.bits)).astype(np.int64), np.arange(len(h))
+        while len(left):
+            free = left[self.keys[slot[left]] == 0]
+            self.keys[slot[free]] = h[free]
+            won = free[self.keys[slot[free]] == h[free]]
+            self.number[slot[won]] = self.used + won
+            done = np.zeros(len(h), bool)
+            done[won] = True
+            left = left[~done[left]]
+            slot[left] = (slot[left] + 1) & ((1 << self.bits) - 1)
+        self.used += len(h)
+
+
 # XXH64: fixed values of the published algorithm.
 X1, X2, X3, X4, X5 = 0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5
 

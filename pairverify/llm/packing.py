@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ._common import materialize, ship, text_or_empty
-from .tokenizing import STYLES, ChunkEncoder, tokenizer_file
+from .tokenizing import STYLES, encoder, tokenizer_file
 
 
 class SquaresPacker:
@@ -95,7 +95,7 @@ def pack(docs: DataFrame, tokenizer: str | None = None, style: str = "lone_space
     def run(batches):
         from pyspark import TaskContext
 
-        part, encoder, packer = TaskContext.get().partitionId(), ChunkEncoder(path, style), SquaresPacker(window, max_open)
+        part, coder, packer = TaskContext.get().partitionId(), encoder(path, style), SquaresPacker(window, max_open)
         kept: dict[int, tuple] = {}
         rows, done, number = [], 0, 0
 
@@ -124,7 +124,7 @@ def pack(docs: DataFrame, tokenizer: str | None = None, style: str = "lone_space
         for b in batches:
             id_type = b.schema.field(0).type
             keys = b.column(0).to_pylist()
-            for i, j, ids, off in encoder.encode(b.column(1)):
+            for i, j, ids, off in coder.encode(b.column(1)):
                 for r in range(i, j):
                     own = np.append(ids[off[r - i] : off[r - i + 1]], np.uint32(end_id)).astype(np.uint32)
                     size, doc = len(own), number

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ._common import materialize, scratch_dir, ship, text_or_empty
-from .tokenizing import ChunkEncoder, tokenizer_file
+from .tokenizing import ChunkEncoder, encoder, tokenizer_file
 
 MARK = 0x544F4B46494C4531
 
@@ -69,10 +69,10 @@ def write(docs: DataFrame, path: str, tokenizer: str | None = None, style: str =
     def encode(batches):
         from pyspark import TaskContext
 
-        encoder, keys, starts = ChunkEncoder(file, style), [], [0]
+        coder, keys, starts = encoder(file, style), [], [0]
         for b in batches:
             keys += b.column(0).to_pylist()
-            for i, j, ids, off in encoder.encode(b.column(1)):
+            for i, j, ids, off in coder.encode(b.column(1)):
                 raw = ids.astype(f"<u{width}").tobytes()
                 o = (off * width).tolist()
                 starts += (starts[-1] + np.cumsum(np.diff(off) + 1)).tolist()

@@ -2,16 +2,18 @@
 
 A chunk is a stretch that the tokenizer treats by itself whatever stands beside it. "lone_space" (byte-level BPE with its
 usual splitting pattern): a text may be cut before any space that a visible character follows. "words" (white space
-dropped before splitting): the stretches between ASCII white space.
+dropped before splitting): the stretches between ASCII white space. In both, a cut also stands between an ASCII letter
+and ASCII punctuation, except the bar, which is part of special tokens. Ids of chunks are kept for all tasks of a worker.
 """
 
 from __future__ import annotations
 
 import os
+import sys
 
 import numpy as np
 
-from ._bytes import Hasher, mix, slices, space_table, spread, word_bounds
+from ._bytes import HashIndex, Hasher, mix, slices, space_table, spread, word_bounds
 
 STYLES = {"byte_bpe_50k.json": "lone_space", "word_bpe_49k.json": "words"}
 #: Lead bytes of characters among which are kinds of white space; no cut stands before them.
@@ -24,6 +26,15 @@ def tokenizer_file(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def encoder(path: str, style: str) -> "ChunkEncoder":
+    """This process's encoder for a tokenizer; it outlives the task, so later tasks find the chunks it knows."""
+    held = sys.__dict__.setdefault("_pairverify_encoders", {})
+    if (path, style) not in held:
+        held.clear()
+        held[path, style] = ChunkEncoder(path, style)
+    return held[path, style]
+
+
 class ChunkEncoder:
     def __init__(self, path: str, style: str, most_kept: int = 2_000_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
@@ -38,26 +49,40 @@ class ChunkEncoder:
         self.stops = np.zeros(256, bool)
         self.stops[:0x21] = True
         self.stops[list(LEADS)] = True
+        self.letter, self.point = np.zeros(256, bool), np.zeros(256, bool)
+        self.letter[65:91] = self.letter[97:123] = True
+        for a, b in ((33, 48), (58, 65), (91, 97), (123, 127)):
+            self.point[a:b] = True
+        self.point[ord("|")] = False
         self._forget()
 
     def _forget(self) -> None:
-        self.keys, self.first, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
-        self.pool, self.used = np.zeros(1 << 16, np.uint32), 0
+        self.index = HashIndex(self.most_kept)
+        self.first, self.size, self.pool, self.used = np.zeros(1 << 14, np.int32), np.zeros(1 << 14, np.int32), np.zeros(1 << 16, np.uint32), 0
 
     @property
     def vocabulary(self) -> int:
         return self.tokenizer.get_vocab_size(with_added_tokens=True)
 
     def _chunks(self, buf: np.ndarray, off: np.ndarray):
-        if self.style == "words":
-            return word_bounds(buf, off, self.space)
         cut = np.zeros(len(buf) + 1, bool)
+        points = np.flatnonzero(self.point[buf[1:]] & self.letter[buf[:-1]]) + 1
+        if self.style == "words":
+            start, stop, _ = word_bounds(buf, off, self.space)
+            points = points[~np.isin(points, off)] if len(points) else points
+            cut[start] = True
+            cut[points] = True
+            start = np.flatnonzero(cut[:-1])
+            cut[:] = False
+            cut[stop] = True
+            cut[points] = True
+            return start, np.flatnonzero(cut), np.searchsorted(start, off)
         cut[:-2] = (buf[:-1] == 0x20) & ~self.stops[buf[1:]]
-        cut[off[off < len(buf)]] = True
         if len(off) > 1:  # a space that ends one text is not before the next text's first letter
             last = off[1:][off[1:] > off[:-1]] - 1
-            alone = last[~np.isin(last, off[:-1])]
-            cut[alone] = False
+            cut[last] = False
+        cut[points] = True
+        cut[off[off < len(buf)]] = True
         start = np.flatnonzero(cut[:-1])
         stop = np.append(start[1:], len(buf)) if len(start) else start
         return start, stop, np.searchsorted(start, off)
@@ -79,36 +104,38 @@ class ChunkEncoder:
             ends = np.cumsum(size)
             ids = np.insert(ids, np.repeat(ends[list(own)], [len(x) for x in own.values()]), [y for x in own.values() for y in x])
             size[list(own)] = [len(x) for x in own.values()]
-        total = int(size.sum())
+        total, held, more = len(ids), self.index.used, self.index.used + len(keys)
         if self.used + total > len(self.pool):
-            self.pool = np.concatenate([self.pool[: self.used], np.zeros(max(total, self.used) + total, np.uint32)])
+            self.pool = np.concatenate([self.pool[: self.used], np.zeros(total + self.used // 2 + 1, np.uint32)])
+        if more > len(self.first):
+            room = np.zeros(more + more // 2, np.int32)
+            self.first, self.size = (np.concatenate([x[:held], room[held:]]) for x in (self.first, self.size))
         self.pool[self.used : self.used + total] = ids
-        first = self.used + np.cumsum(size) - size
+        self.first[held:more], self.size[held:more] = self.used + np.cumsum(size) - size, size
         self.used += total
-        at = np.searchsorted(self.keys, keys)
-        self.keys, self.first, self.size = np.insert(self.keys, at, keys), np.insert(self.first, at, first), np.insert(self.size, at, size)
+        self.index.add(keys)
 
     def encode(self, column):
         """Yields first row, row after the last, their ids one after the other, and each row's offset in them."""
-        for i, j, buf, off in slices(column, 4 << 20):
+        for i, j, buf, off in slices(column):
             start, stop, before = self._chunks(buf, off)
             if not len(start):
                 yield i, j, np.zeros(0, np.uint32), np.zeros(j - i + 1, np.int64)
                 continue
             h = mix(self.hasher.word(buf, start, stop) ^ (stop - start).astype(np.uint64))
-            keys, at, back = np.unique(h, return_index=True, return_inverse=True)
-            if len(self.keys) > self.most_kept:
-                self._forget()
-            place = np.searchsorted(self.keys, keys)
-            known = np.zeros(len(keys), bool)
-            inside = place < len(self.keys)
-            known[inside] = self.keys[place[inside]] == keys[inside]
-            if not known.all():
-                new = at[~known]
-                self._learn(buf, start[new], stop[new], keys[~known])
-                place = np.searchsorted(self.keys, keys)
-            place = place[back]
-            size = self.size[place]
-            ids = self.pool[spread(self.first[place], size)]
+            place = self.index.find(h)
+            new = np.flatnonzero(place < 0)
+            if len(new):
+                keys, at = np.unique(h[new], return_index=True)
+                if self.index.used + len(keys) > self.most_kept:
+                    self._forget()
+                    new = np.arange(len(h))
+                    keys, at = np.unique(h, return_index=True)
+                    if len(keys) > self.most_kept:
+                        self.index = HashIndex(len(keys))
+                self._learn(buf, start[new[at]], stop[new[at]], keys)
+                place = self.index.find(h)
+            size = self.size[place].astype(np.int64)
+            ids = self.pool[spread(self.first[place].astype(np.int64), size)]
             ends = np.concatenate([[0], np.cumsum(size)])
             yield i, j, ids, ends[before]
