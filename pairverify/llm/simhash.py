@@ -205,7 +205,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     linked = groups.join(roots, groups.fp == roots.node)
     smallest = linked.groupBy("root").agg(F.min("least").alias("low"))
     joined = roots.join(smallest, "root").select(F.col("node").alias("fp"), "low")
-    final = groups.join(joined, "fp", "left").select("fp", F.coalesce("low", "least").alias("component_id"))
+    # a table of its own, so that a fingerprint with very many documents is split between tasks in the join
+    final = materialize(groups.join(joined, "fp", "left").select("fp", F.coalesce("low", "least").alias("component_id")), "components")
     return marked.join(final, "fp").select(F.col("id").alias(id_col), "fp", "component_id")
 
 
@@ -215,8 +216,6 @@ def hex_fingerprint(col="fp"):
 
 def one_of_each(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
     """The documents that are the smallest id of their component, with all their columns; rows of one id stay together."""
-    if not docs.schema[id_col].nullable:
-        pass
     found = near_duplicates(docs, id_col, **options)
     keep = found.where(F.col(id_col) == F.col("component_id")).select(F.col(id_col).alias("__kept")).distinct()
     return docs.join(keep, docs[id_col] == keep["__kept"], "left_semi")
