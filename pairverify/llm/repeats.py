@@ -99,14 +99,31 @@ def _by_document(ids: np.ndarray, labels: np.ndarray):
     return ids[cut], [raw[8 * a : 8 * b] for a, b in zip(cut.tolist(), ends.tolist(), strict=True)]
 
 
-def repeated_labels(docs: DataFrame, window: int = 13, group: int = 4_000_000, slot_bits: int = 12, batch: int = 1_500_000) -> DataFrame:
-    """(id, labels): for each document the labels of its windows that a document with a smaller id has too, in parts.
+def _pack(ids: np.ndarray, labels: np.ndarray) -> bytes:
+    """Labels with their documents' ids in one value, ordered by id."""
+    order = np.argsort(ids, kind="stable")
+    own, runs = np.unique(ids, return_counts=True)
+    return np.array([len(own)], "<i8").tobytes() + np.diff(own, prepend=0).astype("<i8").tobytes() + runs.astype("<u4").tobytes() + labels[order].astype("<u8").tobytes()
+
+
+def _unpack(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
+    n = int(np.frombuffer(raw, "<i8", 1)[0])
+    own = np.cumsum(np.frombuffer(raw, "<i8", n, 8))
+    return np.repeat(own, np.frombuffer(raw, "<u4", n, 8 + 8 * n)), np.frombuffer(raw, "<u8", -1, 8 + 12 * n)
+
+
+def repeated_labels(docs: DataFrame, window: int = 13, group: int = 1 << 20, slot_bits: int = 12, batch: int = 1_500_000) -> DataFrame:
+    """(id, labels): for each document with any the labels of its windows that a document with a smaller id has too.
+
+    Subtrees' findings travel in one value for each task and bucket of documents, whatever number of groups a document's
+    suffixes went to; a bucket holds the windows of about `group` suffixes, and gives one row for each of its documents.
 
     docs: columns id (long) and text. Rows without an id take no part.
     """
     ship()
     docs = docs.where("id is not null")
-    router = Router(prefix_counts(docs, window, slot_bits), group)
+    counts = prefix_counts(docs, window, slot_bits)
+    router, buckets = Router(counts, group), int(counts[0].sum()) // max(group, 1) + 1
 
     def suffixes(batches):
         reader = Suffixes(window)
@@ -119,22 +136,16 @@ def repeated_labels(docs: DataFrame, window: int = 13, group: int = 4_000_000, s
             ids, label, where = ids[order], label[order], where[order]
             new = np.append(True, label[1:] != label[:-1])
             least = ids[np.maximum.accumulate(np.where(new, np.arange(len(ids)), 0))]
-            done, blobs = _by_document(ids[ids > least], label[ids > least])
-            for lo in range(0, len(done), 5000):
-                part = done[lo : lo + 5000]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), -1)), pa.array(part), pa.array(part, pa.int64()), pa.array(blobs[lo : lo + 5000], pa.binary())], names)
+            if (ids > least).any():
+                yield pa.RecordBatch.from_arrays([pa.array([-1]), pa.array([int(ids[-1])]), pa.array([_pack(ids[ids > least], label[ids > least])], pa.binary())], names)
             order = np.lexsort((ids[new], where[new]))
             ids, label, where = ids[new][order], label[new][order], where[new][order]
             groups, cut = np.unique(where, return_index=True)
             ends = np.append(cut[1:], len(where))
-            rows = []
-            for a, b in zip(cut.tolist(), ends.tolist(), strict=True):
-                own, first = np.unique(ids[a:b], return_index=True)
-                runs = np.diff(np.append(first, b - a)).astype("<u4")
-                rows.append(np.array([len(own)], "<i8").tobytes() + np.diff(own, prepend=0).astype("<i8").tobytes() + runs.tobytes() + label[a:b].tobytes())
-            yield pa.RecordBatch.from_arrays([pa.array(groups), pa.array(groups), pa.array([None] * len(rows), pa.int64()), pa.array(rows, pa.binary())], names)
-
-        names = ["group", "at", "id", "blob"]
+            rows = [_pack(ids[a:b], label[a:b]) for a, b in zip(cut.tolist(), ends.tolist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(groups), pa.array(groups), pa.array(rows, pa.binary())], names)
+
+        names = ["group", "at", "blob"]
         for b in batches:
             keys = b.column(0).to_numpy(zero_copy_only=False)
             for i, j, buf, off in slices(b.column(1)):
@@ -148,14 +159,9 @@ def repeated_labels(docs: DataFrame, window: int = 13, group: int = 4_000_000, s
         if held:
             yield from settle()
 
-    def subtree(blobs: list[bytes]):
-        ids, labels = [], []
-        for raw in blobs:
-            n = int(np.frombuffer(raw, "<i8", 1)[0])
-            own = np.cumsum(np.frombuffer(raw, "<i8", n, 8))
-            ids.append(np.repeat(own, np.frombuffer(raw, "<u4", n, 8 + 8 * n)))
-            labels.append(np.frombuffer(raw, "<u8", -1, 8 + 12 * n))
-        ids, labels = np.concatenate(ids), np.concatenate(labels)
+    def subtree(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids and labels of what a group's tree has in more than one document, but for the smallest of them."""
+        ids, labels = (np.concatenate(x) for x in zip(*map(_unpack, blobs), strict=True))
         order = np.argsort(labels)
         labels, ids = labels[order], ids[order]
         twin = np.zeros(len(labels), bool)
@@ -163,33 +169,64 @@ def repeated_labels(docs: DataFrame, window: int = 13, group: int = 4_000_000, s
         twin[:-1] |= twin[1:]
         labels, ids = labels[twin], ids[twin]
         if not len(labels):
-            return
+            return ids, labels
         new = np.append(True, labels[1:] != labels[:-1])
-        least = np.minimum.reduceat(ids, np.flatnonzero(new))[np.cumsum(new) - 1]
-        more = ids > least
-        keys, parts = _by_document(ids[more], labels[more])
-        for lo in range(0, len(keys), 5000):
-            yield pa.RecordBatch.from_arrays([pa.array(keys[lo : lo + 5000], pa.int64()), pa.array(parts[lo : lo + 5000], pa.binary())], ["id", "labels"])
+        more = ids > np.minimum.reduceat(ids, np.flatnonzero(new))[np.cumsum(new) - 1]
+        return ids[more], labels[more]
 
     def trees(batches):
+        held, now, out, size = [], None, [], 0
+
+        def flush():
+            ids, labels = (np.concatenate(x) for x in zip(*out, strict=True))
+            out.clear()
+            bucket = (mix(ids.astype(np.uint64)) % np.uint64(buckets)).astype(np.int64)
+            order = np.argsort(bucket, kind="stable")
+            own, cut = np.unique(bucket[order], return_index=True)
+            parts = np.split(order, cut[1:])
+            return pa.RecordBatch.from_arrays([pa.array(own), pa.array([_pack(ids[p], labels[p]) for p in parts], pa.binary())], ["bucket", "blob"])
+
+        for b in batches:
+            for g, blob in zip(b.column(0).to_pylist(), b.column(2), strict=True):
+                if g < 0:
+                    out.append(_unpack(blob.as_py()))
+                    size += len(out[-1][0])
+                    continue
+                if g != now and held:
+                    out.append(subtree(held))
+                    size += len(out[-1][0])
+                    held = []
+                now = g
+                held.append(blob.as_py())
+                if size >= batch and out:
+                    yield flush()
+                    size = 0
+        if held:
+            out.append(subtree(held))
+        if out:
+            yield flush()
+
+    def documents(batches):
         held, now = [], None
         for b in batches:
-            groups = b.column(0).to_numpy(zero_copy_only=False)
-            known = np.flatnonzero(groups < 0)
-            if len(known):
-                part = b.take(pa.array(known))
-                yield pa.RecordBatch.from_arrays([part.column(2), part.column(3)], ["id", "labels"])
-            for k in np.flatnonzero(groups >= 0).tolist():
-                if groups[k] != now and held:
-                    yield from subtree(held)
+            for g, blob in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+                if g != now and held:
+                    yield from rows(held)
                     held = []
-                now = groups[k]
-                held.append(b.column(3)[k].as_py())
+                now = g
+                held.append(blob.as_py())
         if held:
-            yield from subtree(held)
+            yield from rows(held)
+
+    def rows(blobs: list[bytes]):
+        keys, parts = _by_document(*(np.concatenate(x) for x in zip(*map(_unpack, blobs), strict=True)))
+        for lo in range(0, len(keys), 5000):
+            yield pa.RecordBatch.from_arrays([pa.array(keys[lo : lo + 5000], pa.int64()), pa.array(parts[lo : lo + 5000], pa.binary())], ["id", "labels"])
 
-    sent = docs.select("id", text_or_empty("text").alias("text")).mapInArrow(suffixes, "group long, at long, id long, blob binary")
-    return sent.repartition("group", "at").sortWithinPartitions("group").mapInArrow(trees, "id long, labels binary")
+    sent = docs.select("id", text_or_empty("text").alias("text")).mapInArrow(suffixes, "group long, at long, blob binary")
+    found = sent.repartition("group", "at").sortWithinPartitions("group").mapInArrow(trees, "bucket long, blob binary")
+    found = materialize(found, "found")
+    return found.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(documents, "id long, labels binary")
 
 
 def remove_repeats(docs: DataFrame, window: int = 13, id_col: str = "doc_id", text_col: str = "text", with_text: bool = False, with_spans: bool = False, **options) -> DataFrame:
@@ -202,8 +239,7 @@ def remove_repeats(docs: DataFrame, window: int = 13, id_col: str = "doc_id", te
     ship()
     kind = docs.schema[id_col].dataType.simpleString()
     base = docs.select(F.col(id_col).cast("long").alias("id"), F.col(id_col).alias("own_id"), text_or_empty(text_col).alias("text"))
-    marks = materialize(repeated_labels(base.select("id", "text"), window, **options), "labels")
-    marks = marks.groupBy("id").agg(F.collect_list("labels").alias("labels"))
+    marks = repeated_labels(base.select("id", "text"), window, **options)
     joined = base.join(marks.hint("shuffle_hash"), "id", "left").select("own_id", "text", "labels")
     schema = f"id {kind}, n_words long, n_removed long, kept_sha256 string" + ", kept string" * with_text + ", spans array<struct<first:long,stop:long>>" * with_spans
 
@@ -215,7 +251,7 @@ def remove_repeats(docs: DataFrame, window: int = 13, id_col: str = "doc_id", te
                 start, stop, before, count, first, label, _ = reader.read(buf, off)
                 n = j - i
                 keep = np.ones(len(start), bool)
-                own = [(r, x.as_buffer()) for r in range(n) if column[i + r].is_valid for x in column[i + r].values]
+                own = [(r, column[i + r].as_buffer()) for r in range(n) if column[i + r].is_valid]
                 if own and len(label):
                     row = np.repeat(np.arange(n), count)
                     salt = mix(np.arange(1, n + 1, dtype=np.uint64))
