@@ -196,7 +196,7 @@ class BiEncoder:
         return out, loss
 
     @staticmethod
-    def fit(pairs: DataFrame, epochs: int = 10, rate: float = 0.02, margin: float = MARGIN, buckets: int = BI_BUCKETS, width: int = WIDTH, seed: int = 1) -> "BiEncoder":
+    def fit(pairs: DataFrame, epochs: int = 10, rate: float = 0.1, margin: float = MARGIN, buckets: int = BI_BUCKETS, width: int = WIDTH, seed: int = 1) -> "BiEncoder":
         """Full-batch Adagrad: tasks sum gradients by bucket, one shuffle adds them up, the driver takes the step.
 
         What comes back is one row for each touched bucket, never more than the table has.
@@ -225,7 +225,7 @@ class BiEncoder:
                 g = np.stack([sums[i] for i in k.tolist()]).astype(np.float64) / max(n, 1)
                 seen[k] += (g * g).sum(1, keepdims=True)
                 table = table.copy()
-                table[k] += (rate * g / np.sqrt(seen[k])).astype(np.float32)
+                table[k] -= (rate * g / np.sqrt(seen[k])).astype(np.float32)
             shared.unpersist()
         rows.unpersist()
         return BiEncoder(table, losses)
