@@ -109,13 +109,20 @@ class Network:
         logit = pooled @ self.p["out"] + self.p["out0"][0]
         return (logit, (both, key, a, pooled, tape, pad)) if keep else logit
 
-    def gradients(self, v: Vocabulary, index: np.ndarray, truth: np.ndarray, weight: np.ndarray):
-        """Gradients of the weighted logistic loss. index: windows of vocabulary entries, -1 for padding."""
+    def gradients(self, v: Vocabulary, index: np.ndarray, truth: np.ndarray, weight: np.ndarray, dropped=None):
+        """Gradients of the weighted logistic loss. index: windows of vocabulary entries, -1 for padding.
+
+        dropped: a generator and a share of words that enter by their characters alone this time.
+        """
         used, flat = np.unique(index, return_inverse=True)
         flat = flat.reshape(index.shape)
         if used[0] < 0:
             used, flat = used[1:], np.where(flat == 0, len(used) - 1, flat - 1)
         x = self.features(v, used)
+        there = np.ones((len(used), 1), np.float32)
+        if dropped:
+            there[dropped[0].random(len(used)) < dropped[1]] = 0
+            x[:, :WORD_DIM] *= there
         gates = self.gates(x)
         logit, (both, key, a, pooled, tape, pad) = self.forward(gates, flat, True)
         n, t = index.shape
@@ -154,7 +161,7 @@ class Network:
         g["in"] = np.matmul(x.T[None], dgates)
         dx = np.matmul(dgates, p["in"].transpose(0, 2, 1)).sum(0)
         g["word"] = np.zeros_like(p["word"])
-        np.add.at(g["word"], v.row[used], dx[:, :WORD_DIM])
+        np.add.at(g["word"], v.row[used], dx[:, :WORD_DIM] * there)
         size = v.size[used]
         g["char"] = np.zeros_like(p["char"])
         np.add.at(g["char"], v.grams[spread(v.first[used], size)], np.repeat(dx[:, WORD_DIM:] / size[:, None], size, axis=0))
@@ -213,7 +220,7 @@ def all_windows(before: np.ndarray):
     return before[:-1][owner] + np.minimum(step * STRIDE, more[owner]), owner, before[1:][owner]
 
 
-def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample: int = 3000, windows_each: int = 24, epochs: int = 12, seed: int = 5) -> ToxicityModel:
+def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample: int = 4000, windows_each: int = 24, epochs: int = 14, rate: float = 0.03, steps: int = 32, most_batch: int = 96, drop: float = 0.4, decay: float = 0.002, seed: int = 5) -> ToxicityModel:
     """A model from labelled documents for whose id `learn` holds (an expression over `id_col`).
 
     At most about `sample` documents, in equal parts by label and drawn by a hash of their id, are learned from, and of
@@ -290,11 +297,13 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id
         any_ = best_of(fit_windows, rng.random(len(fit_windows)))
         chosen = np.unique(np.concatenate([top, any_[truth[doc[any_]] == 0]]))
         chosen = rng.permutation(chosen)
-        adam.rate = 0.01 if epoch < epochs * 2 // 3 else 0.003
-        batch = min(128, max(16, len(chosen) // 24))
+        adam.rate = rate if epoch < epochs * 2 // 3 else rate * 0.3
+        batch = min(most_batch, max(16, len(chosen) // steps))
         for k in range(0, len(chosen), batch):
             part = chosen[k : k + batch]
-            g, _ = network.gradients(v, index[part], truth[doc[part]], balance[doc[part]])
+            g, _ = network.gradients(v, index[part], truth[doc[part]], balance[doc[part]], (rng, drop))
+            for name in ("word", "char"):
+                network.p[name] *= 1 - decay
             adam.step(g)
     # a document's best logit, calibrated by logistic regression on documents kept out, at the labels' own base rate
     check = np.flatnonzero(held[doc]) if held.any() and len(np.unique(truth[held])) == 2 else np.arange(len(doc))
