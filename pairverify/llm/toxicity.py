@@ -220,7 +220,7 @@ def all_windows(before: np.ndarray):
     return before[:-1][owner] + np.minimum(step * STRIDE, more[owner]), owner, before[1:][owner]
 
 
-def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample: int = 4000, windows_each: int = 24, epochs: int = 14, rate: float = 0.03, steps: int = 32, most_batch: int = 96, drop: float = 0.4, decay: float = 0.002, seed: int = 5) -> ToxicityModel:
+def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample: int = 3000, windows_each: int = 16, epochs: int = 14, rate: float = 0.03, steps: int = 32, most_batch: int = 96, drop: float = 0.4, decay: float = 0.002, seed: int = 5) -> ToxicityModel:
     """A model from labelled documents for whose id `learn` holds (an expression over `id_col`).
 
     At most about `sample` documents, in equal parts by label and drawn by a hash of their id, are learned from, and of
