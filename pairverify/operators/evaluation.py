@@ -43,6 +43,12 @@ def wilson(t: DataFrame, p: str = "accuracy", n: str = "n", z: float = 1.959964)
     return t.withColumn("low", mid - half).withColumn("high", mid + half)
 
 
+def score_gap(scores: DataFrame, by: list[str], truth: str = "correct", score: str = "score") -> DataFrame:
+    """Mean score, share judged right and the distance between both; rows without a score or a verdict count in neither."""
+    t = scores.where(F.col(score).isNotNull() & F.col(truth).isNotNull()).groupBy(*by).agg(F.count("*").alias("n"), F.avg(score).alias("mean_score"), F.avg(F.col(truth).cast("double")).alias("accuracy"))
+    return t.withColumn("gap", F.abs(F.col("mean_score") - F.col("accuracy")))
+
+
 def histogram(scores: DataFrame, by: list[str], bins: int = BINS, score: str = "score") -> DataFrame:
     """Counts of all bins of [0, 1], empty ones included; the last bin is closed."""
     put = scores.where(F.col(score).isNotNull()).withColumn("bin", F.least(F.floor(F.col(score) * bins), F.lit(bins - 1)).cast("int"))

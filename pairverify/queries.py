@@ -413,6 +413,18 @@ def overlap_baseline(spark, d):
     return verifier.overlap_score(_turns(spark, d), "prompt", "reply").select("conv_id", "turn", r6(F.col("score"), "score"))
 
 
+@query(f"SELECT source, count(*)::BIGINT AS n, round(avg(score), 6) AS mean_score, round(avg(quality), 6) AS accuracy, round(abs(avg(score) - avg(quality)), 6) AS gap FROM ({SQL_SCORED}) GROUP BY source")
+def mean_score_gap(spark, d):
+    return ev.score_gap(_scored(spark, d), ["source"], "quality").select("source", "n", *[r6(F.col(c), c) for c in ("mean_score", "accuracy", "gap")])
+
+
+@query(f"""WITH t AS (SELECT source, count(*)::BIGINT AS n, avg(quality) AS p, 1.959964 AS z FROM ({SQL_SCORED}) GROUP BY source), w AS (SELECT *, z::DOUBLE * z / n AS k FROM t)
+SELECT source, n, round(p, 6) AS accuracy, round((p + k / 2 - z * sqrt((p * (1 - p) + k / 4) / n)) / (1 + k), 6) AS low, round((p + k / 2 + z * sqrt((p * (1 - p) + k / 4) / n)) / (1 + k), 6) AS high FROM w""")
+def accuracy_intervals(spark, d):
+    t = _scored(spark, d).groupBy("source").agg(F.count("*").alias("n"), F.avg(F.col("quality").cast("double")).alias("accuracy"))
+    return ev.wilson(t).select("source", "n", *[r6(F.col(c), c) for c in ("accuracy", "low", "high")])
+
+
 @query(f"WITH h AS (SELECT quality, least(floor(score * 20), 19)::INT AS bin, count(*) AS n FROM ({SQL_SCORED}) GROUP BY ALL) SELECT s.quality, b.bin::INT AS bin, coalesce(h.n, 0)::BIGINT AS n FROM (SELECT DISTINCT quality FROM h) s CROSS JOIN range(0, 20) b(bin) LEFT JOIN h ON h.quality = s.quality AND h.bin = b.bin")
 def score_histogram(spark, d):
     return ev.histogram(_scored(spark, d), ["quality"])
@@ -643,6 +655,13 @@ def cross_encoder_trained(spark, d):
     return ev.confusion(verifier.CrossEncoder.fit(_train(r, good)).score(_judged(a)), ["system"])
 
 
+@query(None)
+def bi_encoder_losses(spark, d):
+    r, _, good = _world(spark, d)
+    losses = verifier.BiEncoder.fit(_train(r, good)).losses  # one number for each pass over the training pairs
+    return spark.createDataFrame([(i, float(x)) for i, x in enumerate(losses)], "epoch int, loss double")
+
+
 @query(None)
 def bi_encoder_trained(spark, d):
     r, a, good = _world(spark, d)
