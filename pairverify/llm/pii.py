@@ -153,14 +153,15 @@ def replace_entities(docs: DataFrame, key: str = "corpus", id_col: str = "doc_id
     """docs with every entity in the text replaced, and n_entities, the number of replaced places.
 
     All other columns stay. A null text stays null with no entities. Rows that repeat an id, or have none, are treated one
-    by one alike. An empty table gives no rows.
+    by one alike: surrogates are gathered by id and hash of the text, so that a gathered group is never more than the
+    entities of one text, however many rows share an id. An empty table gives no rows.
     """
     text = F.col(text_col).cast("string")
-    found = docs.select(F.col(id_col).alias("__id"), F.explode(F.array_distinct(entities(text))).alias("value"))
+    found = docs.select(F.col(id_col).alias("__id"), F.xxhash64(text).alias("__hash"), F.explode(F.array_distinct(entities(text))).alias("value"))
     found = materialize(found, "found")
     table = surrogates(found, key).select("value", "surrogate")
-    maps = found.distinct().join(table, "value").groupBy("__id").agg(F.map_from_entries(F.collect_list(F.struct("value", "surrogate"))).alias("__map"))
-    joined = docs.join(maps, docs[id_col].eqNullSafe(maps["__id"]), "left").drop("__id")
+    maps = found.distinct().join(table, "value").groupBy("__id", "__hash").agg(F.map_from_entries(F.collect_list(F.struct("value", "surrogate"))).alias("__map"))
+    joined = docs.join(maps, docs[id_col].eqNullSafe(maps["__id"]) & (F.xxhash64(docs[text_col].cast("string")) == maps["__hash"]), "left").drop("__id", "__hash")
     here = F.transform(entities(text), lambda e: F.coalesce(F.element_at(F.col("__map"), e), e))
     gaps = F.split(text, PATTERN, -1)
     woven = F.array_join(F.flatten(F.transform(F.arrays_zip(gaps.alias("g"), here.alias("e")), lambda z: F.array(F.coalesce(z["g"], F.lit("")), F.coalesce(z["e"], F.lit(""))))), "")

@@ -215,7 +215,12 @@ def hex_fingerprint(col="fp"):
 
 
 def one_of_each(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
-    """The documents that are the smallest id of their component, with all their columns; rows of one id stay together."""
+    """The documents that are the smallest id of their component, with all their columns.
+
+    Rows of one id stay together: they go only if none of them has the smallest id of its component. Rows without an id
+    stay, as nothing names the document that would stand for them.
+    """
     found = near_duplicates(docs, id_col, **options)
-    keep = found.where(F.col(id_col) == F.col("component_id")).select(F.col(id_col).alias("__kept")).distinct()
-    return docs.join(keep, docs[id_col] == keep["__kept"], "left_semi")
+    stands = found.where(F.col(id_col).isNotNull()).groupBy(id_col).agg(F.max(F.col(id_col) == F.col("component_id")).alias("stands"))
+    gone = stands.where(~F.col("stands")).select(F.col(id_col).alias("__gone"))
+    return docs.join(gone, docs[id_col] == gone["__gone"], "left_anti")

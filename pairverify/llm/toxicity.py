@@ -224,14 +224,16 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id
     """A model from labelled documents for whose id `learn` holds (an expression over `id_col`).
 
     At most about `sample` documents, in equal parts by label and drawn by a hash of their id, are learned from, and of
-    each at most `windows_each` windows drawn at random. A label table without both labels gives a model without weights.
+    each at most `windows_each` windows drawn at random. A label table without both labels, or labelled documents without any word, give a model without
+    weights, which scores every text by the labels' base rate.
     """
     ship()
     rows = labels.where(learn & F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("y"))
     counts = {r["y"]: r["n"] for r in rows.groupBy("y").agg(F.count("*").alias("n")).collect()}
     prior = counts.get(1, 0) / max(1, sum(counts.values()))
+    untrained = ToxicityModel(Network(seed).p, 0.0, float(np.log((prior + 1e-3) / (1 - prior + 1e-3))), prior)
     if len(counts) < 2:
-        return ToxicityModel(Network(seed).p, 0.0, float(np.log((prior + 1e-3) / (1 - prior + 1e-3))), prior)
+        return untrained
     share = {y: min(1.0, sample / 2 / n) for y, n in counts.items()}
     low = lambda y: F.pmod(F.xxhash64(F.col("id"), F.lit(seed)), F.lit(1 << 20)) < int(share[y] * (1 << 20)) + 1
     drawn = rows.where(((F.col("y") == 0) & low(0)) | ((F.col("y") == 1) & low(1))).groupBy("id").agg(F.max("y").alias("y"))
@@ -262,6 +264,8 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id
                     yield pa.RecordBatch.from_arrays([*cols[:5], cols[5].cast(pa.int32())], ["id", "at", "words", "grams", "size", "y"])
 
     got = texts.mapInArrow(some, "id string, at long, words binary, grams binary, size binary, y int").toArrow().to_pylist()
+    if not got:
+        return untrained
     got.sort(key=lambda r: (r["id"], r["at"], r["words"]))
     words = np.concatenate([np.frombuffer(r["words"], "<u8") for r in got])
     grams = np.concatenate([np.frombuffer(r["grams"], "<u2") for r in got]).astype(np.int64)
