@@ -157,7 +157,8 @@ def replace_entities(docs: DataFrame, key: str = "corpus", id_col: str = "doc_id
     entities of one text, however many rows share an id. An empty table gives no rows.
     """
     text = F.col(text_col).cast("string")
-    found = docs.select(F.col(id_col).alias("__id"), F.xxhash64(text).alias("__hash"), F.explode(F.array_distinct(entities(text))).alias("value"))
+    keyed = docs.select(F.col(id_col).alias("__id"), F.xxhash64(text).alias("__hash"), text.alias("__text"))  # first, or each entity would hash its whole text again
+    found = keyed.select("__id", "__hash", F.explode(F.array_distinct(entities(F.col("__text")))).alias("value"))
     found = materialize(found, "found")
     table = surrogates(found, key).select("value", "surrogate")
     maps = found.distinct().join(table, "value").groupBy("__id", "__hash").agg(F.map_from_entries(F.collect_list(F.struct("value", "surrogate"))).alias("__map"))
