@@ -6,7 +6,7 @@ of documents. run() writes every stage's rows as Parquet in the shared scratch f
 
 from __future__ import annotations
 
-from pairverify.llm import decontam, packing, pii, simhash, toxicity
+from pairverify.llm import decontam, packing, pii, shingles, simhash, toxicity
 from pairverify.llm._common import id_crc32, materialize
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -21,8 +21,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates. Shingles of five words, so that only close copies meet."""
-    return simhash.one_of_each(docs, k=2, shingle=5)
+    """One document of each group of near-duplicates: sets of five-word shingles with a Jaccard similarity of 0.8 or more."""
+    return simhash.one_of_each(docs, found=shingles.near_duplicates(docs, shingle=5, bound=(4, 5)))
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -214,13 +214,13 @@ def hex_fingerprint(col="fp"):
     return F.lower(F.lpad(F.hex(col), 16, "0"))
 
 
-def one_of_each(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
-    """The documents that are the smallest id of their component, with all their columns.
+def one_of_each(docs: DataFrame, id_col: str = "doc_id", found: DataFrame | None = None, **options) -> DataFrame:
+    """The documents that are the smallest id of their component, with all their columns. Components may be given as `found`.
 
     Rows of one id stay together: they go only if none of them has the smallest id of its component. Rows without an id
     stay, as nothing names the document that would stand for them.
     """
-    found = near_duplicates(docs, id_col, **options)
+    found = near_duplicates(docs, id_col, **options) if found is None else found
     stands = found.where(F.col(id_col).isNotNull()).groupBy(id_col).agg(F.max(F.col(id_col) == F.col("component_id")).alias("stands"))
     gone = stands.where(~F.col("stands")).select(F.col(id_col).alias("__gone"))
     return docs.join(gone, docs[id_col] == gone["__gone"], "left_anti")
