@@ -298,13 +298,21 @@ SQL_RING = """WITH n AS (SELECT count(*) AS n FROM embeddings), e AS (SELECT vec
 p AS (SELECT a.vec_id AS left_id, b.vec_id AS right_id, greatest(list_cosine_similarity(a.v, b.v), 0) AS cos, (a.label = b.label)::INT AS same FROM e a, n, range(1, 6) s(s) JOIN e b ON b.k = (a.k + s.s) % n.n)"""
 
 
-def _ring(spark, d):
-    """Each vector with the next five by id, around the end."""
-    e = table(spark, d, "embeddings")
-    n = e.count()
-    keys = e.select("vec_id", F.row_number().over(Window.orderBy("vec_id")).alias("k")) if n <= 1_000_000 else e.select("vec_id", (F.col("vec_id") + 1).cast("int").alias("k"))  # beyond that, ids are taken as consecutive
-    v = e.join(keys, "vec_id").withColumn("k", F.col("k") - 1)
-    a = v.withColumn("s", F.explode(F.sequence(F.lit(1), F.lit(5)))).withColumn("j", (F.col("k") + F.col("s")) % n)
+def _ring(spark, d, rows: int = 100_000):
+    """Each vector with the next five by id, around the end. A rank is that within a range of ids plus the counts of the ranges before."""
+    e = table(spark, d, "embeddings").select("vec_id", "embedding", "label")
+    parts = min(e.count() // rows + 1, 1000)
+    cuts = e.agg(F.percentile_approx("vec_id", [k / parts for k in range(1, parts)])).first()[0] if parts > 1 else None
+    cuts = sorted(set(cuts or []))
+    part = F.size(F.filter(F.array(*map(F.lit, cuts)), lambda c: c < F.col("vec_id"))) if cuts else F.lit(0)
+    e = e.withColumn("part", F.when(F.col("vec_id").isNull(), len(cuts)).otherwise(part))
+    before, n = [], 0
+    for r in e.groupBy("part").count().orderBy("part").collect():
+        before.append((r["part"], n))
+        n += r["count"]
+    own = F.row_number().over(Window.partitionBy("part").orderBy(F.col("vec_id").asc_nulls_last(), "label", "embedding"))
+    v = e.withColumn("own", own).join(F.broadcast(spark.createDataFrame(before, "part int, before long")), "part").withColumn("k", F.col("before") + F.col("own") - 1)
+    a = v.withColumn("s", F.explode(F.sequence(F.lit(1), F.lit(5)))).withColumn("j", (F.col("k") + F.col("s")) % max(n, 1))
     b = v.select(F.col("k").alias("j"), F.col("vec_id").alias("right_id"), F.col("embedding").alias("w"), F.col("label").alias("label2"))
     return a.join(b, "j").select(F.col("vec_id").alias("left_id"), "right_id", cosine(F.col("embedding"), F.col("w")).alias("cos"), (F.col("label") == F.col("label2")).cast("int").alias("same"))
 
