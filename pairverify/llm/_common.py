@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import contextlib
+import shutil
 import tempfile
 import uuid
 
@@ -20,21 +22,36 @@ def ship() -> None:
     cloudpickle.register_pickle_by_value(pairverify)
 
 
-def scratch_dir(spark: SparkSession) -> str:
-    """A fresh folder below spark.checkpoint.dir; a temporary one only where that setting is missing."""
+def scratch_base(spark: SparkSession) -> str:
+    """The folder in spark.checkpoint.dir. Where that is unset, a temporary folder in local mode, where all tasks share this machine, and an error on a cluster."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not base:
-        base = _fallback()
-    return f"{base.rstrip('/')}/{spark.sparkContext.applicationId}/{uuid.uuid4().hex}"
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        if not _LOCAL:
+            _LOCAL.append(tempfile.mkdtemp(prefix="pairverify-"))
+            atexit.register(shutil.rmtree, _LOCAL[0], ignore_errors=True)
+        base = f"file://{_LOCAL[0]}"
+    return f"{base.rstrip('/')}/{spark.sparkContext.applicationId}"
+
+
+def scratch_dir(spark: SparkSession) -> str:
+    """A fresh folder in this application's part of the scratch folder."""
+    return f"{scratch_base(spark)}/{uuid.uuid4().hex}"
 
 
 _LOCAL: list[str] = []
 
 
-def _fallback() -> str:
-    if not _LOCAL:
-        _LOCAL.append(tempfile.mkdtemp(prefix="pairverify-"))
-    return f"file://{_LOCAL[0]}"
+def delete(spark: SparkSession, path: str) -> None:
+    """Delete a path of any store that Spark can write."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(where, True)
+
+
+def cleanup(spark: SparkSession) -> None:
+    """Delete all scratch tables of this application, once its results have been written."""
+    delete(spark, scratch_base(spark))
 
 
 @contextlib.contextmanager
@@ -54,13 +71,36 @@ def freed_shuffles(spark: SparkSession):
             spark.conf.set(_CLEANUP, before)
 
 
-def materialize(df: DataFrame, name: str = "rows") -> DataFrame:
+def materialize(df: DataFrame, name: str = "rows", codec: str | None = None) -> DataFrame:
     """Write df as Parquet in the shared scratch folder and read it again: lineage ends here, lost executors or not."""
     spark = df.sparkSession
     path = f"{scratch_dir(spark)}/{name}"
     with freed_shuffles(spark):
-        df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+        (df.write.option("compression", codec) if codec else df.write).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._scratch = path
+    return out
+
+
+def release(*tables: DataFrame) -> None:
+    """Delete tables made by materialize() that nothing reads any more."""
+    for df in tables:
+        delete(df.sparkSession, df._scratch)
+
+
+def join_counted(rows: DataFrame, keys: DataFrame, on: str, n: str, most: int = 10_000) -> DataFrame:
+    """rows joined with keys, which has one row for each value of `on` and in column n how many rows have it (dropped here).
+
+    Values that over a thousandth of all rows, and over `most`, have are fewer than a thousand: they are broadcast, so that
+    their rows stay where they are. The others are shuffled. Both sides should be tables, as they may be read twice.
+    """
+    total, top = keys.agg(F.sum(n), F.max(n)).first()
+    line = max(most, (total or 0) // 1000)
+    if (top or 0) <= line:
+        return rows.join(keys.drop(n), on)
+    hot = keys.where(F.col(n) > line).drop(n)
+    rest = rows.join(F.broadcast(hot.select(on)), on, "left_anti").join(keys.where(F.col(n) <= line).drop(n), on)
+    return rows.join(F.broadcast(hot), on).unionByName(rest)
 
 
 def text_or_empty(name: str = "text") -> Column:
@@ -81,22 +121,24 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_round
     """Smallest node reachable from each node that has an edge.
 
     edges: two long columns, any direction, repeats and loops allowed. Returns (node, root). Alternates two star
-    contractions until nothing changes, with a written table after every round; each neighbourhood is reduced to its
-    minimum by a map-side combined aggregate, so no neighbourhood is gathered in one task. Empty edges: no rows.
+    contractions until nothing changes, with a written table after every round. Minima are taken by a map-side combined
+    aggregate, and the edges of a node with very many neighbours get its minimum by a broadcast, so that no
+    neighbourhood is gathered in one task. Empty edges: no rows.
     """
-    spark = edges.sparkSession
     e = edges.select(F.col(a).cast("long").alias("a"), F.col(b).cast("long").alias("b")).where("a <> b")
     e = materialize(e.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct(), "edges")
     state = None
     for _ in range(max_rounds):
         both = e.unionAll(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        low = materialize(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"), F.count("*").alias("n")), "low")
+        large = join_counted(both, low, "u", "n").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
         large = large.unionAll(low.where("m < u").select("u", F.col("m").alias("v"))).where("u <> v").distinct()
         large = materialize(large, "large")
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(least, "u").where("v <> m").select(F.greatest("v", "m").alias("u"), F.least("v", "m").alias("v"))
+        release(e, low)
+        least = materialize(large.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")), "least")
+        small = join_counted(large, least, "u", "n").where("v <> m").select(F.greatest("v", "m").alias("u"), F.least("v", "m").alias("v"))
         e = materialize(small.unionAll(least.select("u", F.col("m").alias("v"))).where("u <> v").distinct(), "edges")
+        release(large, least)
         now = e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if now == state:
             break

@@ -2,14 +2,18 @@
 
 Every word position starts a suffix. A first pass counts suffixes by hashed prefixes of one to four words; a prefix class
 with more than `group` suffixes is told apart by one more word, and one that stays too large by its whole window. Classes
-are put together into groups of at most about `group` suffixes, so each group's subtree fits one task's memory. A
-suffix enters its group as the 64-bit label of its path of `window` words; sorting a group lines up equal paths, and a
-run of two or more is an internal node of the tree at least `window` words deep: a repeat. Its smallest document keeps
-the passage and every other one gets the label back. A document's labels, joined to its text, give the words they cover;
-neighbouring windows grow together into maximal repeats.
-
-What a task has seen twice itself is settled there, so a passage that a third of all documents share comes to its group
-once for each map batch only. Texts are compared by labels: 64 bits and, independently of them, the group's prefix.
+are put together into groups of at most about `group` suffixes, so each group's subtree fits one task's memory.
+
+A leaf that hangs less than `window` words deep can't be part of a repeat, so such leaves are pruned before words are
+shipped: suffixes go to their groups as the 64-bit labels of their paths of `window` words, and a label that no second
+document has is a leaf to prune. What is left travels with its words. In each group the words are numbered exactly, the
+suffixes are sorted into a suffix array with the lengths of common prefixes between neighbours, and a run of common
+prefixes of `window` words is an internal node that deep: a repeat. Its smallest document keeps the passage. Neighbouring
+windows grow together into maximal repeats. Labels only propose; a proposal that no node of real words confirms is
+returned as an exception, so labels that collide cost time and change nothing.
+
+What a task has seen twice itself is settled there, after a comparison of the words, so a passage that a third of all
+documents share comes to its group once for each map batch only.
 """
 
 from __future__ import annotations
@@ -22,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ._bytes import Hasher, mix, slices, space_table, spread, word_bounds
-from ._common import materialize, ship, text_or_empty
+from ._common import materialize, release, ship, text_or_empty
 
 LEVELS = 4
 
@@ -30,8 +34,9 @@ LEVELS = 4
 class Suffixes:
     """Of each text of a slice: word bounds, and for each start of a window its label and its prefix hashes."""
 
-    def __init__(self, window: int):
+    def __init__(self, window: int, label_bits: int = 64):
         self.window, self.hasher, self.space = window, Hasher(), space_table()
+        self.mask = np.uint64((1 << label_bits) - 1)
 
     def read(self, buf: np.ndarray, off: np.ndarray, levels: int = 0):
         start, stop, before = word_bounds(buf, off, self.space)
@@ -39,7 +44,7 @@ class Suffixes:
         first = spread(before[:-1], count)
         words = self.hasher.word(buf, start, stop)
         sums = self.hasher.words.sums(words)
-        label = self.hasher.words.runs(sums, first, first + self.window) if len(first) else np.zeros(0, np.uint64)
+        label = self.hasher.words.runs(sums, first, first + self.window) & self.mask if len(first) else np.zeros(0, np.uint64)
         prefix = [mix(self.hasher.words.runs(sums, first, first + min(n, self.window)) ^ np.uint64(n)) for n in range(1, levels + 1)] if len(first) else [label] * levels
         return start, stop, before, count, first, label, prefix
 
@@ -88,15 +93,10 @@ def prefix_counts(docs: DataFrame, window: int, slot_bits: int) -> np.ndarray:
     return out.reshape(LEVELS, slots)
 
 
-def _by_document(ids: np.ndarray, labels: np.ndarray):
-    if not len(ids):
-        return ids, []
-    order = np.argsort(ids, kind="stable")
-    ids, labels = ids[order], np.ascontiguousarray(labels[order])
-    cut = np.flatnonzero(np.append(True, ids[1:] != ids[:-1]))
-    ends = np.append(cut[1:], len(ids))
-    raw = labels.tobytes()
-    return ids[cut], [raw[8 * a : 8 * b] for a, b in zip(cut.tolist(), ends.tolist(), strict=True)]
+def slot_bits_for(texts: DataFrame, group: int) -> int:
+    """Bits of the prefix table: some eight classes for each group that the texts can fill, between 2^12 and 2^22."""
+    size = texts.agg(F.sum(F.octet_length("text").cast("long"))).first()[0] or 0
+    return min(22, max(12, (8 * size // (6 * max(group, 1))).bit_length()))
 
 
 def _pack(ids: np.ndarray, labels: np.ndarray) -> bytes:
@@ -112,21 +112,31 @@ def _unpack(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
     return np.repeat(own, np.frombuffer(raw, "<u4", n, 8 + 8 * n)), np.frombuffer(raw, "<u8", -1, 8 + 12 * n)
 
 
-def repeated_labels(docs: DataFrame, window: int = 13, group: int = 1 << 20, slot_bits: int = 12, batch: int = 1_500_000) -> DataFrame:
-    """(id, labels): for each document with any the labels of its windows that a document with a smaller id has too.
+MORE, LEAST = 0, 1
+
+
+def repeated_labels(docs: DataFrame, window: int = 13, group: int = 1 << 20, slot_bits: int | None = None, batch: int = 1_500_000, label_bits: int = 64) -> tuple[DataFrame, Router, DataFrame]:
+    """(id, more, least) for each document with any, how suffixes are routed, and the scratch table that the rows come from.
 
-    Subtrees' findings travel in one value for each task and bucket of documents, whatever number of groups a document's
-    suffixes went to; a bucket holds the windows of about `group` suffixes, and gives one row for each of its documents.
+    more: labels of the document's windows that a document with a smaller id has too; least: those that only larger ids
+    have too. Both are proposals by labels. Subtrees' findings travel in one value for each task and bucket of documents,
+    whatever number of groups a document's suffixes went to; a bucket holds the windows of about `group` suffixes, and
+    gives one row for each of its documents.
 
     docs: columns id (long) and text. Rows without an id take no part.
     """
     ship()
-    docs = docs.where("id is not null")
-    counts = prefix_counts(docs, window, slot_bits)
+    docs = docs.where("id is not null").select("id", text_or_empty("text").alias("text"))
+    bits = slot_bits or slot_bits_for(docs, group)
+    counts = prefix_counts(docs, window, bits)
     router, buckets = Router(counts, group), int(counts[0].sum()) // max(group, 1) + 1
+    names = ["group", "at", "kind", "blob"]
+
+    def row(group, at, kind, blob):
+        return pa.RecordBatch.from_arrays([pa.array([group], pa.int64()), pa.array([at], pa.int64()), pa.array([kind], pa.int32()), pa.array([blob], pa.binary())], names)
 
     def suffixes(batches):
-        reader = Suffixes(window)
+        reader = Suffixes(window, label_bits)
         held, size = [], 0
 
         def settle():
@@ -135,17 +145,19 @@ def repeated_labels(docs: DataFrame, window: int = 13, group: int = 1 << 20, slo
             order = np.lexsort((ids, label))
             ids, label, where = ids[order], label[order], where[order]
             new = np.append(True, label[1:] != label[:-1])
-            least = ids[np.maximum.accumulate(np.where(new, np.arange(len(ids)), 0))]
-            if (ids > least).any():
-                yield pa.RecordBatch.from_arrays([pa.array([-1]), pa.array([int(ids[-1])]), pa.array([_pack(ids[ids > least], label[ids > least])], pa.binary())], names)
+            head = np.maximum.accumulate(np.where(new, np.arange(len(ids)), 0))
+            more = ids > ids[head]
+            if more.any():  # the batch has both sides of these
+                first = np.unique(head[more])
+                yield row(-1, int(ids[-1]), MORE, _pack(ids[more], label[more]))
+                yield row(-1, int(ids[-1]), LEAST, _pack(ids[first], label[first]))
             order = np.lexsort((ids[new], where[new]))
             ids, label, where = ids[new][order], label[new][order], where[new][order]
             groups, cut = np.unique(where, return_index=True)
             ends = np.append(cut[1:], len(where))
             rows = [_pack(ids[a:b], label[a:b]) for a, b in zip(cut.tolist(), ends.tolist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([pa.array(groups), pa.array(groups), pa.array(rows, pa.binary())], names)
+            yield pa.RecordBatch.from_arrays([pa.array(groups), pa.array(groups), pa.array(np.zeros(len(groups), np.int32)), pa.array(rows, pa.binary())], names)
 
-        names = ["group", "at", "blob"]
         for b in batches:
             keys = b.column(0).to_numpy(zero_copy_only=False)
             for i, j, buf, off in slices(b.column(1)):
@@ -159,8 +171,8 @@ def repeated_labels(docs: DataFrame, window: int = 13, group: int = 1 << 20, slo
         if held:
             yield from settle()
 
-    def subtree(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        """Ids and labels of what a group's tree has in more than one document, but for the smallest of them."""
+    def shared(blobs: list[bytes]):
+        """Ids and labels of the paths that more than one document of a group has: of all but the smallest, and of the smallest."""
         ids, labels = (np.concatenate(x) for x in zip(*map(_unpack, blobs), strict=True))
         order = np.argsort(labels)
         labels, ids = labels[order], ids[order]
@@ -169,108 +181,330 @@ def repeated_labels(docs: DataFrame, window: int = 13, group: int = 1 << 20, slo
         twin[:-1] |= twin[1:]
         labels, ids = labels[twin], ids[twin]
         if not len(labels):
-            return ids, labels
+            return (ids, labels), (ids, labels)
         new = np.append(True, labels[1:] != labels[:-1])
-        more = ids > np.minimum.reduceat(ids, np.flatnonzero(new))[np.cumsum(new) - 1]
-        return ids[more], labels[more]
+        start, of = np.flatnonzero(new), np.cumsum(new) - 1
+        low, high = np.minimum.reduceat(ids, start)[of], np.maximum.reduceat(ids, start)[of]
+        more, least = ids > low, (ids == low) & (high > low)
+        return (ids[more], labels[more]), (ids[least], labels[least])
 
-    def trees(batches):
-        held, now, out, size = [], None, [], 0
+    def prune(batches):
+        held, now, out, size = [], None, ([], []), 0
 
         def flush():
-            ids, labels = (np.concatenate(x) for x in zip(*out, strict=True))
-            out.clear()
-            bucket = (mix(ids.astype(np.uint64)) % np.uint64(buckets)).astype(np.int64)
-            order = np.argsort(bucket, kind="stable")
-            own, cut = np.unique(bucket[order], return_index=True)
-            parts = np.split(order, cut[1:])
-            return pa.RecordBatch.from_arrays([pa.array(own), pa.array([_pack(ids[p], labels[p]) for p in parts], pa.binary())], ["bucket", "blob"])
+            for kind, own in enumerate(out):
+                if own:
+                    ids, labels = (np.concatenate(x) for x in zip(*own, strict=True))
+                    own.clear()
+                    bucket = (mix(ids.astype(np.uint64)) % np.uint64(buckets)).astype(np.int64)
+                    order = np.argsort(bucket, kind="stable")
+                    own_buckets, cut = np.unique(bucket[order], return_index=True)
+                    parts = np.split(order, cut[1:]) if len(order) else []
+                    yield pa.RecordBatch.from_arrays([pa.array(own_buckets), pa.array(np.full(len(parts), kind, np.int32)), pa.array([_pack(ids[p], labels[p]) for p in parts], pa.binary())], ["bucket", "kind", "blob"])
+
+        def take(found) -> int:
+            for own, got in zip(out, found, strict=True):
+                own.append(got)
+            return sum(len(x[0]) for x in found)
 
         for b in batches:
-            for g, blob in zip(b.column(0).to_pylist(), b.column(2), strict=True):
+            for g, kind, blob in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
                 if g < 0:
-                    out.append(_unpack(blob.as_py()))
-                    size += len(out[-1][0])
+                    out[kind].append(_unpack(blob.as_py()))
+                    size += len(out[kind][-1][0])
                     continue
                 if g != now and held:
-                    out.append(subtree(held))
-                    size += len(out[-1][0])
+                    size += take(shared(held))
                     held = []
                 now = g
                 held.append(blob.as_py())
-                if size >= batch and out:
-                    yield flush()
+                if size >= batch:
+                    yield from flush()
                     size = 0
         if held:
-            out.append(subtree(held))
-        if out:
-            yield flush()
+            take(shared(held))
+        yield from flush()
 
     def documents(batches):
+        held, now = ([], []), None
+        for b in batches:
+            for g, kind, blob in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
+                if g != now and now is not None:
+                    yield from rows(held)
+                    held = ([], [])
+                now = g
+                held[kind].append(blob.as_py())
+        if now is not None:
+            yield from rows(held)
+
+    def rows(held):
+        """One row for each document of a bucket, its labels cut out of the bucket's labels in order of ids."""
+        sides = []
+        for blobs in held:
+            ids, labels = (np.concatenate(x) for x in zip(*map(_unpack, blobs), strict=True)) if blobs else (np.zeros(0, np.int64), np.zeros(0, np.uint64))
+            order = np.argsort(ids, kind="stable")
+            sides.append((ids[order], np.ascontiguousarray(labels[order])))
+        keys = np.unique(np.concatenate([ids for ids, _ in sides]))
+        cols = []
+        for ids, labels in sides:
+            raw, lo, hi = labels.tobytes(), np.searchsorted(ids, keys) * 8, np.searchsorted(ids, keys, "right") * 8
+            cols.append([raw[x:y] for x, y in zip(lo.tolist(), hi.tolist(), strict=True)])
+        for k in range(0, len(keys), 5000):
+            yield pa.RecordBatch.from_arrays([pa.array(keys[k : k + 5000], pa.int64()), *(pa.array(c[k : k + 5000], pa.binary()) for c in cols)], ["id", "more", "least"])
+
+    sent = docs.mapInArrow(suffixes, "group long, at long, kind int, blob binary")
+    found = sent.repartition("group", "at").sortWithinPartitions("group").select("group", "kind", "blob").mapInArrow(prune, "bucket long, kind int, blob binary")
+    found = materialize(found, "found")
+    marks = found.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(documents, "id long, more binary, least binary")
+    return marks, router, found
+
+
+class Flat:
+    """The words of some texts joined by one space, in one buffer: window k is the bytes lo[k] to hi[k]."""
+
+    def __init__(self, buf: np.ndarray, start: np.ndarray, stop: np.ndarray, space: np.ndarray):
+        size = stop - start
+        self.at = np.cumsum(size + 1) - size - 1
+        self.bytes = np.full(int(size.sum()) + len(size), 0x20, np.uint8)
+        letters = np.ones(len(self.bytes), bool)
+        letters[self.at + size] = False
+        self.bytes[letters] = buf[~space[buf]]
+        self.end = self.at + size
+
+
+def same_bytes(buf: np.ndarray, a: np.ndarray, b: np.ndarray, size: np.ndarray, chunk: int = 1 << 22) -> np.ndarray:
+    """Whether the size[k] bytes from a[k] on equal those from b[k] on."""
+    out = np.ones(len(a), bool)
+    ends = np.cumsum(size)
+    lo = 0
+    while lo < len(a):
+        hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + chunk, "right")))
+        n = size[lo:hi]
+        equal = buf[spread(a[lo:hi], n)] == buf[spread(b[lo:hi], n)]
+        have = np.flatnonzero(n)
+        out[lo + have] = np.logical_and.reduceat(equal, (np.cumsum(n) - n)[have]) if len(have) else out[lo + have]
+        lo = hi
+    return out
+
+
+def twins(label: np.ndarray, ids: np.ndarray, first: np.ndarray, word_at: np.ndarray, word_end: np.ndarray, buf: np.ndarray, window: int) -> np.ndarray:
+    """Of each window, the window of the smallest id that has its label and its words; itself where there is none.
+
+    first: each window's first word, ascending; word_at and word_end: where words stand in buf. A window that follows its
+    neighbour, as its twin does, only compares its last word.
+    """
+    order = np.lexsort((ids, label))
+    new = np.append(True, label[order][1:] != label[order][:-1])
+    twin = np.empty(len(label), np.int64)
+    twin[order] = order[np.maximum.accumulate(np.where(new, np.arange(len(order)), 0))]
+    f, t, last = first, first[twin], window - 1
+    follows = np.zeros(len(label), bool)
+    follows[1:] = (f[1:] == f[:-1] + 1) & (t[1:] == t[:-1] + 1)
+    size = word_end[f + last] - word_at[f]
+    alike = word_end[t + last] - word_at[t] == size
+    words = alike.copy()
+    k = np.flatnonzero(follows)
+    n, m = (word_end[x[k] + last] - word_at[x[k] + last] for x in (f, t))
+    words[k] = n == m
+    k = k[n == m]
+    words[k] = same_bytes(buf, word_at[f[k] + last], word_at[t[k] + last], word_end[f[k] + last] - word_at[f[k] + last])
+    k = np.flatnonzero(~follows & alike)
+    words[k] = same_bytes(buf, word_at[f[k]], word_at[t[k]], size[k])
+    # a window behind one that failed in its run has more than its last word to compare
+    failed = np.cumsum(~words)
+    head = np.maximum.accumulate(np.where(~follows, np.arange(len(label)), 0))
+    k = np.flatnonzero(follows & (failed - failed[head] + ~words[head] > 0))
+    words[k] = alike[k]
+    k = k[alike[k]]
+    words[k] = same_bytes(buf, word_at[f[k]], word_at[t[k]], size[k])
+    return np.where(words, twin, np.arange(len(label)))
+
+
+def suffix_array(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Order of the rows of numbered words, and how many words each row in that order shares with the row before it."""
+    order = np.lexsort(words.T[::-1])
+    sorted_ = words[order]
+    common = np.zeros(len(words), np.int64)
+    if len(words) > 1:
+        common[1:] = np.logical_and.accumulate(sorted_[1:] == sorted_[:-1], axis=1).sum(1)
+    return order, common
+
+
+def numbered(raw: np.ndarray, size: np.ndarray, window: int) -> np.ndarray:
+    """Words of windows (bytes one after the other, each of `window` words between single spaces) as rows of exact numbers."""
+    ends = np.cumsum(size)
+    gap = raw == 0x20
+    gap_at = np.flatnonzero(gap)
+    stop = np.sort(np.concatenate([gap_at, ends]))
+    own = pa.array(np.delete(raw, gap_at)).buffers()[1]
+    length = np.diff(stop, prepend=0) - 1
+    length[::window] += 1  # no space stands between two windows
+    off = np.concatenate([[0], np.cumsum(length)]).astype(np.int64)
+    words = pa.Array.from_buffers(pa.large_binary(), len(length), [None, pa.py_buffer(off), own])
+    return words.dictionary_encode().indices.to_numpy().reshape(-1, window)
+
+
+def exceptions(marked: DataFrame, router: Router, window: int, label_bits: int, batch: int = 400_000) -> DataFrame:
+    """(rid, at): windows proposed for removal whose words start in no document with a smaller id.
+
+    marked: rid, id, text, more, least, the last two as packed bits of the text's windows.
+    """
+
+    def words(batches):
+        reader = Suffixes(window, label_bits)
+        held, size = [], 0
+
+        def settle():
+            buf = np.concatenate([x[0].bytes for x in held])
+            shift = np.cumsum([0] + [len(x[0].bytes) for x in held])
+            count = np.cumsum([0] + [len(x[0].at) for x in held])
+            word_at = np.concatenate([x[0].at + s for x, s in zip(held, shift, strict=False)])
+            word_end = np.concatenate([x[0].end + s for x, s in zip(held, shift, strict=False)])
+            first = np.concatenate([x[1] + c for x, c in zip(held, count, strict=False)])
+            label, ids, rid, at, more, where = (np.concatenate([x[k] for x in held]) for k in range(2, 8))
+            held.clear()
+            twin = twins(label, ids, first, word_at, word_end, buf, window)
+            goes = np.flatnonzero((twin == np.arange(len(twin))) | (ids == ids[twin]) & more)
+            goes = goes[np.lexsort((at[goes], rid[goes], where[goes]))]
+            groups, cut = np.unique(where[goes], return_index=True)
+            for g, own in zip(groups.tolist(), np.split(goes, cut[1:]), strict=True):
+                rids, head, runs = np.unique(rid[own], return_index=True, return_counts=True)
+                lo = word_at[first[own]]
+                n = word_end[first[own] + window - 1] - lo
+                blob = b"".join([np.array([len(own), len(rids)], "<i8").tobytes(), rids.astype("<i8").tobytes(), ids[own[head]].astype("<i8").tobytes(), runs.astype("<i4").tobytes(), at[own].astype("<i4").tobytes(), more[own].astype(np.uint8).tobytes(), n.astype("<i4").tobytes(), buf[spread(lo, n)].tobytes()])
+                yield pa.RecordBatch.from_arrays([pa.array([g], pa.int64()), pa.array([blob], pa.binary())], ["group", "blob"])
+
+        for b in batches:
+            rids, keys = (b.column(k).to_numpy(zero_copy_only=False) for k in (0, 1))
+            for i, j, buf, off in slices(b.column(2)):
+                start, stop, before, count, first, label, prefix = reader.read(buf, off, LEVELS)
+                more, least = (np.concatenate([bits_of(b.column(c)[r], n) for r, n in zip(range(i, j), count.tolist(), strict=True)]) for c in (3, 4))
+                k = np.flatnonzero(more | least)
+                if len(k):
+                    row = np.repeat(np.arange(i, j), count)[k]
+                    held.append((Flat(buf, start, stop, reader.space), first[k], label[k], keys[row], rids[row], first[k] - before[row - i], more[k], router.route([p[k] for p in prefix], label[k])))
+                    size += len(k)
+                if size >= batch:
+                    yield from settle()
+                    size = 0
+        if held:
+            yield from settle()
+
+    def subtree(blobs: list[bytes]):
+        """The group's suffix array over real words; of each node `window` words deep, what was proposed of its smallest document."""
+        parts = []
+        for raw in blobs:
+            n, m = np.frombuffer(raw, "<i8", 2).tolist()
+            rids, ids, runs, p = np.frombuffer(raw, "<i8", m, 16), np.frombuffer(raw, "<i8", m, 16 + 8 * m), np.frombuffer(raw, "<i4", m, 16 + 16 * m), 16 + 20 * m
+            at, more, size = np.frombuffer(raw, "<i4", n, p), np.frombuffer(raw, np.uint8, n, p + 4 * n), np.frombuffer(raw, "<i4", n, p + 5 * n)
+            parts.append((np.repeat(rids, runs), np.repeat(ids, runs), at, more, size, np.frombuffer(raw, np.uint8, -1, p + 9 * n)))
+        rids, ids, at, more, size, text = (np.concatenate(x) for x in zip(*parts, strict=True))
+        order, common = suffix_array(numbered(text, size.astype(np.int64), window))
+        node = np.cumsum(common < window) - 1
+        low = np.minimum.reduceat(ids[order], np.flatnonzero(common < window))[node]
+        wrong = order[(more[order] > 0) & (ids[order] == low)]
+        return pa.RecordBatch.from_arrays([pa.array(rids[wrong], pa.int64()), pa.array(at[wrong].astype(np.int32))], ["rid", "at"])
+
+    def trees(batches):
         held, now = [], None
         for b in batches:
             for g, blob in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 if g != now and held:
-                    yield from rows(held)
+                    yield subtree(held)
                     held = []
                 now = g
                 held.append(blob.as_py())
         if held:
-            yield from rows(held)
+            yield subtree(held)
 
-    def rows(blobs: list[bytes]):
-        keys, parts = _by_document(*(np.concatenate(x) for x in zip(*map(_unpack, blobs), strict=True)))
-        for lo in range(0, len(keys), 5000):
-            yield pa.RecordBatch.from_arrays([pa.array(keys[lo : lo + 5000], pa.int64()), pa.array(parts[lo : lo + 5000], pa.binary())], ["id", "labels"])
+    sent = marked.select("rid", "id", "text", "more", "least").mapInArrow(words, "group long, blob binary")
+    return sent.repartition("group").sortWithinPartitions("group").mapInArrow(trees, "rid long, at int")
 
-    sent = docs.select("id", text_or_empty("text").alias("text")).mapInArrow(suffixes, "group long, at long, blob binary")
-    found = sent.repartition("group", "at").sortWithinPartitions("group").mapInArrow(trees, "bucket long, blob binary")
-    found = materialize(found, "found")
-    return found.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(documents, "id long, labels binary")
+
+def bits_of(value, n: int) -> np.ndarray:
+    """The first n of packed bits; a null stands for none set."""
+    if not value.is_valid or not n:
+        return np.zeros(n, bool)
+    return np.unpackbits(np.frombuffer(value.as_buffer(), np.uint8), count=n).astype(bool)
 
 
-def remove_repeats(docs: DataFrame, window: int = 13, id_col: str = "doc_id", text_col: str = "text", with_text: bool = False, with_spans: bool = False, **options) -> DataFrame:
+def marked_windows(base: DataFrame, marks: DataFrame, window: int, label_bits: int) -> DataFrame:
+    """base (id, own_id, text) with rid, which numbers the rows, and its windows' proposals as packed bits in more and least."""
+    kind = base.schema["own_id"].dataType.simpleString()
+
+    def mark(batches):
+        reader = Suffixes(window, label_bits)
+        for b in batches:
+            sides = (b.column(3), b.column(4))
+            for i, j, buf, off in slices(b.column(2)):
+                bits = [[None] * (j - i), [None] * (j - i)]
+                if any(s[r].is_valid for s in sides for r in range(i, j)):
+                    _, _, _, count, _, label, _ = reader.read(buf, off)
+                    row = np.repeat(np.arange(j - i), count)
+                    salt = mix(np.arange(1, j - i + 1, dtype=np.uint64))
+                    for s, out in zip(sides, bits, strict=True):
+                        own = [mix(np.frombuffer(s[i + r].as_buffer(), "<u8") ^ salt[r]) for r in range(j - i) if s[i + r].is_valid]
+                        hit = np.isin(mix(label ^ salt[row]), np.concatenate(own)) if own else np.zeros(len(label), bool)
+                        ends = np.cumsum(count)
+                        for r in np.unique(row[hit]).tolist():
+                            out[r] = np.packbits(hit[ends[r] - count[r] : ends[r]]).tobytes()
+                cols = [b.column(k).slice(i, j - i) for k in range(3)]
+                yield pa.RecordBatch.from_arrays([*cols, pa.array(bits[MORE], pa.binary()), pa.array(bits[LEAST], pa.binary())], ["id", "own_id", "text", "more", "least"])
+
+    joined = base.join(marks.hint("shuffle_hash"), "id", "left").select("id", "own_id", "text", "more", "least")
+    rows = joined.mapInArrow(mark, f"id long, own_id {kind}, text string, more binary, least binary")
+    return materialize(rows.withColumn("rid", F.monotonically_increasing_id()), "marked", "zstd")
+
+
+def remove_repeats(docs: DataFrame, window: int = 13, id_col: str = "doc_id", text_col: str = "text", with_text: bool = False, with_spans: bool = False, label_bits: int = 64, **options) -> DataFrame:
     """One row per document: id, n_words, n_removed, kept_sha256, and on request the kept words and the removed spans.
 
     A word goes if a window of `window` words that covers it also starts in a document with a smaller id. spans: array of
     (first word, word after the last) of each maximal removed stretch. Null and empty texts have no words. Rows that
     repeat an id do not count against each other; rows without an id keep all their words. Empty tables give no rows.
+    Other columns of docs play no part, whatever their names. Ids have to be whole numbers. label_bits: fewer bits let
+    labels collide, which changes no result.
     """
     ship()
     kind = docs.schema[id_col].dataType.simpleString()
     base = docs.select(F.col(id_col).cast("long").alias("id"), F.col(id_col).alias("own_id"), text_or_empty(text_col).alias("text"))
-    marks = repeated_labels(base.select("id", "text"), window, **options)
-    joined = base.join(marks.hint("shuffle_hash"), "id", "left").select("own_id", "text", "labels")
+    marks, router, found = repeated_labels(base.select("id", "text"), window, label_bits=label_bits, **options)
+    marked = marked_windows(base, marks, window, label_bits)
+    release(found)
+    odd = materialize(exceptions(marked.where("more is not null or least is not null"), router, window, label_bits), "exceptions")
+    if odd.limit(1).count():
+        rows = marked.join(odd.groupBy("rid").agg(F.collect_list("at").alias("odd")), "rid", "left")
+    else:
+        rows = marked.withColumn("odd", F.lit(None).cast("array<int>"))
     schema = f"id {kind}, n_words long, n_removed long, kept_sha256 string" + ", kept string" * with_text + ", spans array<struct<first:long,stop:long>>" * with_spans
 
     def cut(batches):
-        reader = Suffixes(window)
+        space = space_table()
         for b in batches:
-            column = b.column(2)
             for i, j, buf, off in slices(b.column(1)):
-                start, stop, before, count, first, label, _ = reader.read(buf, off)
+                start, stop, before = word_bounds(buf, off, space)
                 n = j - i
                 keep = np.ones(len(start), bool)
-                own = [(r, column[i + r].as_buffer()) for r in range(n) if column[i + r].is_valid]
-                if own and len(label):
-                    row = np.repeat(np.arange(n), count)
-                    salt = mix(np.arange(1, n + 1, dtype=np.uint64))
-                    marked = np.concatenate([mix(np.frombuffer(x, "<u8") ^ salt[r]) for r, x in own])
-                    hit = first[np.isin(mix(label ^ salt[row]), marked)]
-                    edge = np.zeros(len(start) + 1, np.int64)
-                    np.add.at(edge, hit, 1)
-                    np.add.at(edge, hit + window, -1)
-                    keep = np.cumsum(edge[:-1]) == 0
+                edge = np.zeros(len(start) + 1, np.int64)
+                for r in range(n):
+                    if b.column(2)[i + r].is_valid:
+                        hit = bits_of(b.column(2)[i + r], int(before[r + 1] - before[r]) - window + 1)
+                        if b.column(3)[i + r].is_valid:
+                            hit[b.column(3)[i + r].as_py()] = False
+                        at = before[r] + np.flatnonzero(hit)
+                        edge[at] += 1
+                        edge[at + window] -= 1
+                keep = np.cumsum(edge[:-1]) == 0
                 words = np.diff(before)
                 kept = np.add.reduceat(np.append(keep, False).astype(np.int64), before[:-1]) * (words > 0)
                 size = (stop - start)[keep]
                 room = size + 1
                 flat = np.full(int(room.sum()) + 1, 0x20, np.uint8)
                 at = np.cumsum(room) - room
-                letters = np.zeros(len(flat) + 1, np.int8)
-                np.add.at(letters, at, 1)
-                np.add.at(letters, at + size, -1)
-                flat[np.cumsum(letters[:-1]) > 0] = buf[~reader.space[buf]][np.repeat(keep, stop - start)]
+                letters = np.ones(len(flat), bool)
+                letters[at + size] = False
+                letters[-1] = False
+                flat[letters] = buf[~space[buf]][np.repeat(keep, stop - start)]
                 ends = np.cumsum(kept)
                 edges = np.append(at, len(flat) - 1)
                 lo, hi = edges[ends - kept], np.where(kept > 0, edges[ends] - 1, edges[ends])
@@ -292,4 +526,4 @@ def remove_repeats(docs: DataFrame, window: int = 13, id_col: str = "doc_id", te
                     cols.append(pa.array(spans, pa.list_(pa.struct([("first", pa.int64()), ("stop", pa.int64())]))))
                 yield pa.RecordBatch.from_arrays(cols, ["id", "n_words", "n_removed", "kept_sha256"] + ["kept"] * with_text + ["spans"] * with_spans)
 
-    return joined.mapInArrow(cut, schema).withColumnRenamed("id", id_col)
+    return rows.select("own_id", "text", "more", "odd").mapInArrow(cut, schema).withColumnRenamed("id", id_col)
