@@ -43,11 +43,23 @@ class Suffixes:
         count = np.maximum(np.diff(before) - self.window + 1, 0)
         first = spread(before[:-1], count)
         words = self.hasher.word(buf, start, stop)
-        sums = self.hasher.words.sums(words)
+        sums = self.sums = self.hasher.words.sums(words)
         label = self.hasher.words.runs(sums, first, first + self.window) & self.mask if len(first) else np.zeros(0, np.uint64)
         prefix = [mix(self.hasher.words.runs(sums, first, first + min(n, self.window)) ^ np.uint64(n)) for n in range(1, levels + 1)] if len(first) else [label] * levels
         return start, stop, before, count, first, label, prefix
 
+    def prefixes(self, at: np.ndarray) -> list[np.ndarray]:
+        """Prefix hashes of the suffixes at these words of the texts last read; each has as many words as a prefix takes."""
+        return [mix(self.hasher.words.runs(self.sums, at, at + min(n, self.window)) ^ np.uint64(n)) for n in range(1, LEVELS + 1)]
+
+    def values(self, before: np.ndarray) -> np.ndarray:
+        """For each word of the texts last read the hash of its longest prefix; the last words of a text have none."""
+        n = min(LEVELS, self.window)
+        at = spread(before[:-1], np.maximum(np.diff(before) - n + 1, 0))
+        out = np.full(int(before[-1]), ~np.uint64(0))
+        out[at] = self.hasher.words.runs(self.sums, at, at + n)
+        return out
+
 
 class Router:
     """Group of each suffix from the prefix classes' counts."""
@@ -259,70 +271,42 @@ def repeated_labels(docs: DataFrame, window: int = 13, group: int = 1 << 20, slo
     return marks, router, found
 
 
-class Flat:
-    """The words of some texts joined by one space, in one buffer: window k is the bytes lo[k] to hi[k]."""
-
-    def __init__(self, buf: np.ndarray, start: np.ndarray, stop: np.ndarray, space: np.ndarray):
-        size = stop - start
-        self.at = np.cumsum(size + 1) - size - 1
-        self.bytes = np.full(int(size.sum()) + len(size), 0x20, np.uint8)
-        letters = np.ones(len(self.bytes), bool)
-        letters[self.at + size] = False
-        self.bytes[letters] = buf[~space[buf]]
-        self.end = self.at + size
+def word_array(letters: np.ndarray, size: np.ndarray) -> pa.Array:
+    """Words of given sizes that stand one after the other, as an Arrow array."""
+    off = np.concatenate([[0], np.cumsum(size)]).astype(np.int64)
+    return pa.Array.from_buffers(pa.large_binary(), len(size), [None, pa.py_buffer(off), pa.py_buffer(np.ascontiguousarray(letters))])
 
 
-def same_bytes(buf: np.ndarray, a: np.ndarray, b: np.ndarray, size: np.ndarray, chunk: int = 1 << 22) -> np.ndarray:
-    """Whether the size[k] bytes from a[k] on equal those from b[k] on."""
-    out = np.ones(len(a), bool)
-    ends = np.cumsum(size)
-    lo = 0
-    while lo < len(a):
-        hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + chunk, "right")))
-        n = size[lo:hi]
-        equal = buf[spread(a[lo:hi], n)] == buf[spread(b[lo:hi], n)]
-        have = np.flatnonzero(n)
-        out[lo + have] = np.logical_and.reduceat(equal, (np.cumsum(n) - n)[have]) if len(have) else out[lo + have]
-        lo = hi
-    return out
-
-
-def twins(label: np.ndarray, ids: np.ndarray, first: np.ndarray, word_at: np.ndarray, word_end: np.ndarray, buf: np.ndarray, window: int) -> np.ndarray:
+def twins(label: np.ndarray, ids: np.ndarray, first: np.ndarray, number: np.ndarray, window: int) -> np.ndarray:
     """Of each window, the window of the smallest id that has its label and its words; itself where there is none.
 
-    first: each window's first word, ascending; word_at and word_end: where words stand in buf. A window that follows its
-    neighbour, as its twin does, only compares its last word.
+    first: each window's first word, ascending; number: of all words, one for each distinct word. A window that follows
+    its neighbour, as its twin does, only compares its last word.
     """
     order = np.lexsort((ids, label))
     new = np.append(True, label[order][1:] != label[order][:-1])
     twin = np.empty(len(label), np.int64)
     twin[order] = order[np.maximum.accumulate(np.where(new, np.arange(len(order)), 0))]
-    f, t, last = first, first[twin], window - 1
+    f, t, step = first, first[twin], np.arange(window)
     follows = np.zeros(len(label), bool)
     follows[1:] = (f[1:] == f[:-1] + 1) & (t[1:] == t[:-1] + 1)
-    size = word_end[f + last] - word_at[f]
-    alike = word_end[t + last] - word_at[t] == size
-    words = alike.copy()
-    k = np.flatnonzero(follows)
-    n, m = (word_end[x[k] + last] - word_at[x[k] + last] for x in (f, t))
-    words[k] = n == m
-    k = k[n == m]
-    words[k] = same_bytes(buf, word_at[f[k] + last], word_at[t[k] + last], word_end[f[k] + last] - word_at[f[k] + last])
-    k = np.flatnonzero(~follows & alike)
-    words[k] = same_bytes(buf, word_at[f[k]], word_at[t[k]], size[k])
+    same = number[f + window - 1] == number[t + window - 1]
+    whole = lambda k: (number[f[k][:, None] + step] == number[t[k][:, None] + step]).all(1)
+    k = np.flatnonzero(~follows & same)
+    same[k] = whole(k)
     # a window behind one that failed in its run has more than its last word to compare
-    failed = np.cumsum(~words)
+    failed = np.cumsum(~same)
     head = np.maximum.accumulate(np.where(~follows, np.arange(len(label)), 0))
-    k = np.flatnonzero(follows & (failed - failed[head] + ~words[head] > 0))
-    words[k] = alike[k]
-    k = k[alike[k]]
-    words[k] = same_bytes(buf, word_at[f[k]], word_at[t[k]], size[k])
-    return np.where(words, twin, np.arange(len(label)))
+    k = np.flatnonzero(follows & same & (failed - failed[head] + ~same[head] > 0))
+    same[k] = whole(k)
+    return np.where(same, twin, np.arange(len(label)))
 
 
 def suffix_array(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Order of the rows of numbered words, and how many words each row in that order shares with the row before it."""
-    order = np.lexsort(words.T[::-1])
+    wide = np.zeros((len(words), words.shape[1] + words.shape[1] % 2), np.uint32)
+    wide[:, : words.shape[1]] = words
+    order = np.lexsort((wide[:, ::2].astype(np.uint64) << np.uint64(32) | wide[:, 1::2]).T[::-1])
     sorted_ = words[order]
     common = np.zeros(len(words), np.int64)
     if len(words) > 1:
@@ -330,23 +314,50 @@ def suffix_array(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return order, common
 
 
-def numbered(raw: np.ndarray, size: np.ndarray, window: int) -> np.ndarray:
-    """Words of windows (bytes one after the other, each of `window` words between single spaces) as rows of exact numbers."""
-    ends = np.cumsum(size)
-    gap = raw == 0x20
-    gap_at = np.flatnonzero(gap)
-    stop = np.sort(np.concatenate([gap_at, ends]))
-    own = pa.array(np.delete(raw, gap_at)).buffers()[1]
-    length = np.diff(stop, prepend=0) - 1
-    length[::window] += 1  # no space stands between two windows
-    off = np.concatenate([[0], np.cumsum(length)]).astype(np.int64)
-    words = pa.Array.from_buffers(pa.large_binary(), len(length), [None, pa.py_buffer(off), own])
-    return words.dictionary_encode().indices.to_numpy().reshape(-1, window)
+def anchors(value: np.ndarray, first: np.ndarray, window: int) -> np.ndarray:
+    """Of each window, the place of its inner suffix with the least value, the leftmost of several; value: of all words."""
+    best, at = value[first], first.copy()
+    for step in range(1, max(window - LEVELS, 0) + 1):
+        v = value[first + step]
+        less = v < best
+        best[less], at[less] = v[less], first[less] + step
+    return at
+
+
+def pack_stretches(rid: np.ndarray, ids: np.ndarray, at: np.ndarray, more: np.ndarray, first: np.ndarray, window: int, letters: np.ndarray, word_at: np.ndarray, sizes: np.ndarray) -> bytes:
+    """Windows, ordered by row and place, as stretches: neighbours share the words that they have in common."""
+    new = np.append(True, (rid[1:] != rid[:-1]) | (at[1:] != at[:-1] + 1))
+    head = np.flatnonzero(new)
+    runs = np.diff(np.append(head, len(rid)))
+    words = spread(first[head], runs + window - 1)
+    lo = word_at[first[head]]
+    last = first[head] + runs + window - 2
+    text = letters[spread(lo, word_at[last] + sizes[last] - lo)]
+    size = sizes[words]
+    wide = size.max(initial=0) > 255
+    parts = [np.array([len(rid), len(head), len(words), wide], "<i8"), rid[head].astype("<i8"), ids[head].astype("<i8"), at[head].astype("<i4"), runs.astype("<i4"), more.astype(np.uint8), size.astype("<u4" if wide else "<u1"), text]
+    return b"".join(x.tobytes() for x in parts)
+
+
+def unpack_stretches(raw: bytes, window: int):
+    """Row, id, place and proposal of each window, its first word, and the sizes and letters of all words."""
+    n, m, w, wide = np.frombuffer(raw, "<i8", 4).tolist()
+    at, out = 32, []
+    for kind, size in (("<i8", m), ("<i8", m), ("<i4", m), ("<i4", m), (np.uint8, n), ("<u4" if wide else "<u1", w)):
+        out.append(np.frombuffer(raw, kind, size, at))
+        at += out[-1].nbytes
+    rid, ids, place, runs, more, size = out
+    runs = runs.astype(np.int64)
+    words = runs + window - 1
+    return np.repeat(rid, runs), np.repeat(ids, runs), spread(place.astype(np.int64), runs), more, spread(np.cumsum(words) - words, runs), size.astype(np.int64), np.frombuffer(raw, np.uint8, -1, at)
 
 
 def exceptions(marked: DataFrame, router: Router, window: int, label_bits: int, batch: int = 400_000) -> DataFrame:
     """(rid, at): windows proposed for removal whose words start in no document with a smaller id.
 
+    A window goes to the group of the least of its inner suffixes by prefix hash. Equal windows choose alike, and so do
+    most neighbours, whose words then travel once.
+
     marked: rid, id, text, more, least, the last two as packed bits of the text's windows.
     """
 
@@ -355,34 +366,30 @@ def exceptions(marked: DataFrame, router: Router, window: int, label_bits: int,
         held, size = [], 0
 
         def settle():
-            buf = np.concatenate([x[0].bytes for x in held])
-            shift = np.cumsum([0] + [len(x[0].bytes) for x in held])
-            count = np.cumsum([0] + [len(x[0].at) for x in held])
-            word_at = np.concatenate([x[0].at + s for x, s in zip(held, shift, strict=False)])
-            word_end = np.concatenate([x[0].end + s for x, s in zip(held, shift, strict=False)])
-            first = np.concatenate([x[1] + c for x, c in zip(held, count, strict=False)])
-            label, ids, rid, at, more, where = (np.concatenate([x[k] for x in held]) for k in range(2, 8))
+            letters, sizes = (np.concatenate([x[k] for x in held]) for k in (0, 1))
+            count = np.cumsum([0] + [len(x[1]) for x in held])
+            first = np.concatenate([x[2] + c for x, c in zip(held, count, strict=False)])
+            label, ids, rid, at, more, where = (np.concatenate([x[k] for x in held]) for k in range(3, 9))
             held.clear()
-            twin = twins(label, ids, first, word_at, word_end, buf, window)
-            goes = np.flatnonzero((twin == np.arange(len(twin))) | (ids == ids[twin]) & more)
+            number = word_array(letters, sizes).dictionary_encode().indices.to_numpy()
+            word_at = np.cumsum(sizes) - sizes
+            twin = twins(label, ids, first, number, window)
+            goes = np.flatnonzero((twin == np.arange(len(twin))) | ((ids == ids[twin]) & more))
             goes = goes[np.lexsort((at[goes], rid[goes], where[goes]))]
             groups, cut = np.unique(where[goes], return_index=True)
-            for g, own in zip(groups.tolist(), np.split(goes, cut[1:]), strict=True):
-                rids, head, runs = np.unique(rid[own], return_index=True, return_counts=True)
-                lo = word_at[first[own]]
-                n = word_end[first[own] + window - 1] - lo
-                blob = b"".join([np.array([len(own), len(rids)], "<i8").tobytes(), rids.astype("<i8").tobytes(), ids[own[head]].astype("<i8").tobytes(), runs.astype("<i4").tobytes(), at[own].astype("<i4").tobytes(), more[own].astype(np.uint8).tobytes(), n.astype("<i4").tobytes(), buf[spread(lo, n)].tobytes()])
-                yield pa.RecordBatch.from_arrays([pa.array([g], pa.int64()), pa.array([blob], pa.binary())], ["group", "blob"])
+            rows = [pack_stretches(rid[k], ids[k], at[k], more[k], first[k], window, letters, word_at, sizes) for k in np.split(goes, cut[1:])]
+            yield pa.RecordBatch.from_arrays([pa.array(groups), pa.array(rows, pa.binary())], ["group", "blob"])
 
         for b in batches:
             rids, keys = (b.column(k).to_numpy(zero_copy_only=False) for k in (0, 1))
             for i, j, buf, off in slices(b.column(2)):
-                start, stop, before, count, first, label, prefix = reader.read(buf, off, LEVELS)
+                start, stop, before, count, first, label, _ = reader.read(buf, off)
                 more, least = (np.concatenate([bits_of(b.column(c)[r], n) for r, n in zip(range(i, j), count.tolist(), strict=True)]) for c in (3, 4))
                 k = np.flatnonzero(more | least)
                 if len(k):
                     row = np.repeat(np.arange(i, j), count)[k]
-                    held.append((Flat(buf, start, stop, reader.space), first[k], label[k], keys[row], rids[row], first[k] - before[row - i], more[k], router.route([p[k] for p in prefix], label[k])))
+                    at = anchors(reader.values(before), first[k], window)
+                    held.append((buf[~reader.space[buf]], stop - start, first[k], label[k], keys[row], rids[row], first[k] - before[row - i], more[k], router.route(reader.prefixes(at), label[k])))
                     size += len(k)
                 if size >= batch:
                     yield from settle()
@@ -392,18 +399,16 @@ def exceptions(marked: DataFrame, router: Router, window: int, label_bits: int,
 
     def subtree(blobs: list[bytes]):
         """The group's suffix array over real words; of each node `window` words deep, what was proposed of its smallest document."""
-        parts = []
-        for raw in blobs:
-            n, m = np.frombuffer(raw, "<i8", 2).tolist()
-            rids, ids, runs, p = np.frombuffer(raw, "<i8", m, 16), np.frombuffer(raw, "<i8", m, 16 + 8 * m), np.frombuffer(raw, "<i4", m, 16 + 16 * m), 16 + 20 * m
-            at, more, size = np.frombuffer(raw, "<i4", n, p), np.frombuffer(raw, np.uint8, n, p + 4 * n), np.frombuffer(raw, "<i4", n, p + 5 * n)
-            parts.append((np.repeat(rids, runs), np.repeat(ids, runs), at, more, size, np.frombuffer(raw, np.uint8, -1, p + 9 * n)))
-        rids, ids, at, more, size, text = (np.concatenate(x) for x in zip(*parts, strict=True))
-        order, common = suffix_array(numbered(text, size.astype(np.int64), window))
+        parts = [unpack_stretches(raw, window) for raw in blobs]
+        rid, ids, at, more = (np.concatenate([p[k] for p in parts]) for k in range(4))
+        number = word_array(*(np.concatenate([p[k] for p in parts]) for k in (6, 5))).dictionary_encode().indices.to_numpy()
+        base = np.cumsum([0] + [len(p[5]) for p in parts])
+        first = np.concatenate([p[4] + c for p, c in zip(parts, base, strict=False)])
+        order, common = suffix_array(number[first[:, None] + np.arange(window)])
         node = np.cumsum(common < window) - 1
         low = np.minimum.reduceat(ids[order], np.flatnonzero(common < window))[node]
         wrong = order[(more[order] > 0) & (ids[order] == low)]
-        return pa.RecordBatch.from_arrays([pa.array(rids[wrong], pa.int64()), pa.array(at[wrong].astype(np.int32))], ["rid", "at"])
+        return pa.RecordBatch.from_arrays([pa.array(rid[wrong], pa.int64()), pa.array(at[wrong].astype(np.int32))], ["rid", "at"])
 
     def trees(batches):
         held, now = [], None
