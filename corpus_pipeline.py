@@ -8,6 +8,7 @@ from __future__ import annotations
 
 from pairverify.llm import decontam, packing, pii, shingles, simhash, toxicity
 from pairverify.llm._common import id_crc32, materialize
+from pairverify.llm.queries import pii_key
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -32,7 +33,7 @@ def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def hide_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents with surrogates for personal data; n_chars follows the new text."""
-    out = pii.replace_entities(docs).drop("n_entities")
+    out = pii.replace_entities(docs, pii_key(spark), count_col="__entities").drop("__entities")
     return out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else out
 
 

@@ -18,13 +18,21 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._common import connected_components, materialize, ship
+from ._common import connected_components, join_counted, materialize, ship
 from .simhash import settle
 
 LEVEL_RADII = (1.0, 0.5, 0.25)
 SLACK = 1e-4
 
 
+def level_radii(reach: float, most: int = 12) -> tuple[float, ...]:
+    """Halving radii from 1 down to half the distance that is searched for."""
+    out = [1.0]
+    while out[-1] > reach / 2 and len(out) < most:
+        out.append(out[-1] / 2)
+    return tuple(out)
+
+
 class CoverTree:
     """Nested levels over unit vectors: centres (indices), their covering radii, and each node's parent above."""
 
@@ -111,7 +119,8 @@ def cell_links(vec: np.ndarray, home: np.ndarray, weight: np.ndarray, min_cos: f
     reach = float(np.sqrt(max(0.0, 2 - 2 * min_cos)))
     order = np.argsort(~home, kind="stable")
     n_home = int(home.sum())
-    trees = [(s, CoverTree(x[order[s : min(s + block, n_home)]])) for s in range(0, n_home, block)]
+    radii = level_radii(reach)
+    trees = [(s, CoverTree(x[order[s : min(s + block, n_home)]], radii)) for s in range(0, n_home, block)]
     links, label = np.zeros(n, np.int64), np.arange(n)
 
     def take(ta, tb, sa, sb):
@@ -132,7 +141,7 @@ def cell_links(vec: np.ndarray, home: np.ndarray, weight: np.ndarray, min_cos: f
         for sb, tb in trees[k:] if within else ():
             take(ta, tb, sa, sb)
     for sb in range(n_home, n, block):
-        tb = CoverTree(x[order[sb : min(sb + block, n)]])
+        tb = CoverTree(x[order[sb : min(sb + block, n)]], radii)
         for sa, ta in trees:
             take(ta, tb, sa, sb)
     return links, label
@@ -144,15 +153,20 @@ def near_vectors(vectors: DataFrame, min_cos: float = 0.95, id_col: str = "vec_i
     Vectors that are null, empty, zero, or hold nulls or non-finite numbers link with nothing; so do vectors of different
     lengths with each other. Rows that repeat an id are vectors of their own. Pivots come from at most `sample` rows; they
     set where work is done, never what is found. A cell of more than `most_in_task` points is worked off in pairs of
-    blocks, each in a task of its own. An empty table gives no rows.
+    blocks, each in a task of its own. Components are scaled by a power of two
+    first, so that very large and very small ones neither overflow nor vanish when squared. An empty table gives no rows.
+    Other columns of vectors play no part, whatever their names.
     """
     ship()
     spark = vectors.sparkSession
     kind = vectors.schema[id_col].dataType.simpleString()
     rows = vectors.select(F.col(id_col).alias("id"), F.col(vec_col).cast("array<double>").alias("v"))
     sound = F.col("v").isNotNull() & (F.size("v") > 0) & ~F.exists("v", lambda e: e.isNull() | F.isnan(e) | (F.abs(e) == float("inf"))) & F.exists("v", lambda e: e != 0)
-    rows = rows.withColumn("v", F.when(sound, F.transform("v", lambda e: e + F.lit(0.0)))).withColumn("key", F.xxhash64("v"))
-    rows = materialize(rows, "vectors")
+    power = -F.floor(F.log2(F.array_max(F.transform("v", lambda e: F.abs(e))))).cast("int")
+    rows = rows.withColumn("power", F.when(sound, power)).withColumn("half", F.floor(F.col("power") / 2).cast("int"))
+    # in two steps, as the power itself may be out of range; an exact product but for what is too small to matter
+    scaled = lambda e: e * F.pow(F.lit(2.0), F.col("half")) * F.pow(F.lit(2.0), F.col("power") - F.col("half")) + F.lit(0.0)
+    rows = materialize(rows.select("id", F.when(sound, F.transform("v", scaled)).alias("v")), "vectors")
     points = rows.where("v is not null").groupBy("v").agg(F.count("*").alias("n"), F.min("id").alias("least"), F.min(F.xxhash64("v")).alias("key"))
     points = materialize(points.withColumn("point", F.monotonically_increasing_id()), "points")
     total = points.count()
@@ -265,11 +279,13 @@ def near_vectors(vectors: DataFrame, min_cos: float = 0.95, id_col: str = "vec_i
     counts = found.groupBy("point").agg(F.sum("links").alias("links"))
     roots = connected_components(found.where("low <> point").select(F.col("point").alias("a"), F.col("low").alias("b")))
     base = points.select("point", "v", "n", "least").join(counts, "point", "left").join(roots.withColumnRenamed("node", "point"), "point", "left")
-    base = base.select("v", (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("root", "point").alias("root"), "least")
+    base = base.select("v", "n", (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("root", "point").alias("root"), "least")
     base = materialize(base, "points")
-    low = base.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = base.join(low, "root").select("v", "n_links", "component_id")
-    out = rows.join(named, "v", "left").select("id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component_id", "id").alias("component_id"))
+    low = materialize(base.groupBy("root").agg(F.min("least").alias("component_id"), F.count("*").alias("members")), "low")
+    named = materialize(join_counted(base, low, "root", "members").select("v", "n", "n_links", "component_id"), "named")
+    none = rows.where("v is null").select("id", F.lit(0).cast("long").alias("n_links"), F.lit(None).cast(kind).alias("component_id"))
+    out = join_counted(rows.where("v is not null"), named, "v", "n").select("id", F.col("n_links").cast("long").alias("n_links"), "component_id").unionAll(none)
+    out = out.withColumn("component_id", F.coalesce("component_id", "id"))
     out = out.withColumn("kept", F.col("id").eqNullSafe(F.col("component_id"))).withColumn("component_id", F.col("component_id").cast(kind))
     return out.withColumnRenamed("id", id_col)
 

@@ -138,11 +138,15 @@ def _windows(items: Items, words: np.ndarray, before: np.ndarray, at: np.ndarray
     return text, item, lo, hi
 
 
-def matches(docs: DataFrame, benchmark: DataFrame, n: int = 3, min_share: float = 0.6, rare: float = 4.0, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", block_bytes: int = 4 << 20) -> DataFrame:
+def matches(docs: DataFrame, benchmark: DataFrame, n: int = 3, min_share: float = 0.6, rare: float = 4.0, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", block_bytes: int = 16 << 20) -> DataFrame:
     """(id, item_id, score, first_word, stop_word) of each document and item whose alignment reaches min_share.
 
     score: 1 for a whole exact copy. Several places of one document count by the best one. Null and empty texts match
-    nothing; rows that repeat an id give rows of their own; an item of fewer than n words is looked up whole.
+    nothing; rows that repeat an id give rows of their own, items that repeat an id too; an item of fewer than n words is
+    looked up whole. Empty tables on either side give no rows. Other columns play no part, whatever their names.
+
+    Items are broadcast in blocks of at most about `block_bytes` of text, by a hash of their texts; documents are read
+    twice for each block.
     """
     ship()
     spark = docs.sparkSession
@@ -156,7 +160,7 @@ def matches(docs: DataFrame, benchmark: DataFrame, n: int = 3, min_share: float
         rows = tests.where(F.pmod(F.xxhash64("text"), F.lit(blocks)) == block).collect()
         items = Items([r["key"] for r in rows], [r["text"] for r in rows], n)
         items.keep_rare(_frequencies(texts, items), rare)
-        own = _aligned(texts, items, min_share, kind, item_kind, spark)
+        own = _aligned(texts, spark.sparkContext.broadcast(items), min_share, kind, item_kind)
         out = own if out is None else out.unionAll(own)
     return out.withColumnsRenamed({"id": id_col, "item": item_col})
 
@@ -164,7 +168,10 @@ def matches(docs: DataFrame, benchmark: DataFrame, n: int = 3, min_share: float
 def _frequencies(texts: DataFrame, items: Items) -> np.ndarray:
     """In how many texts each n-gram of the block stands, over all texts."""
 
+    shared = texts.sparkSession.sparkContext.broadcast(items)
+
     def count(batches):
+        items = shared.value
         hasher, lower, gaps, n = Hasher(), lower_table(), gap_table(), np.zeros(len(items.grams), np.int64)
         for b in batches:
             for _, _, buf, off in slices(b.column(0)):
@@ -182,9 +189,9 @@ def _frequencies(texts: DataFrame, items: Items) -> np.ndarray:
     return out
 
 
-def _aligned(texts: DataFrame, items: Items, min_share: float, kind: str, item_kind: str, spark) -> DataFrame:
+def _aligned(texts: DataFrame, shared, min_share: float, kind: str, item_kind: str) -> DataFrame:
     def run(batches):
-        hasher, lower, gaps = Hasher(), lower_table(), gap_table()
+        items, hasher, lower, gaps = shared.value, Hasher(), lower_table(), gap_table()
         for b in batches:
             item_type = pa.int64() if item_kind in ("bigint", "int", "smallint", "tinyint") else pa.string()
             for i, _, buf, off in slices(b.column(1)):

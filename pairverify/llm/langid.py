@@ -102,7 +102,8 @@ def fit(docs: DataFrame, learn: Column, id_col: str = "doc_id", text_col: str =
     """A model from the rows of docs for which `learn` holds and the language is there.
 
     Document frequencies cover all those rows; weights are fitted on about `sample` of them in equal parts by language
-    (all rows of a rare one), drawn by a hash of the id.
+    (all rows of a rare one), drawn by a hash of the id. Rows that repeat an id, or have none, count one by one; null texts
+    are empty ones. An empty table gives a model that answers `und`. Other columns play no part, whatever their names.
     """
     ship()
     rows = docs.where(learn & F.col(lang_col).isNotNull()).select(F.col(id_col).cast("string").alias("id"), text_or_empty(text_col).alias("text"), F.col(lang_col).cast("string").alias("lang"))
@@ -146,7 +147,10 @@ def fit(docs: DataFrame, learn: Column, id_col: str = "doc_id", text_col: str =
 
 
 def predict(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, lang_pred, score) for every row's whole text. Null texts and texts without a letter get `und` and score 0."""
+    """(id, lang_pred, score) for every row's whole text. Null texts and texts without a letter get `und` and score 0.
+
+    Rows that repeat an id give rows of their own. An empty table gives no rows. Other columns play no part.
+    """
     ship()
     kind = docs.schema[id_col].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast((model.names, model.idf, model.weights, model.temperature))

@@ -9,7 +9,8 @@ as the sum passes k.
 
 Exact copies share a fingerprint and so one entry; tasks emit one link for each fingerprint that is not the smallest of
 its local component, never the pairs of a group. Block values with more than `hot_group` fingerprints are divided by
-the same argument over the bits outside the block, so no task holds an unbounded group.
+the same argument over the bits outside the block, again and again, so no task holds an unbounded group; a task searches
+the groups that it gets one run of groups after the other.
 """
 
 from __future__ import annotations
@@ -20,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ._bytes import lower_table, slices, space_table, spread, word_bounds, xxh64
-from ._common import connected_components, materialize, ship, text_or_empty
+from ._common import connected_components, join_counted, materialize, ship, text_or_empty
 
 FAN = 16
 
@@ -170,27 +171,46 @@ def _signed(x: int) -> int:
 def links(fps: DataFrame, k: int = 2, hot_group: int = 1 << 18) -> DataFrame:
     """Links (a, b) between distinct fingerprints of column fp, enough to connect every pair at most k bits apart."""
     ship()
-    top = blocks(k, list(range(64)))
-    entry = lambda t, m: F.struct(F.lit(t).alias("t"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("key"))
-    rows = fps.select("fp", F.explode(F.array(*[entry(t, m) for t, m in enumerate(top)])).alias("e")).select("fp", "e.t", "e.key")
-    hot = materialize(rows.groupBy("t", "key").count().where(F.col("count") > hot_group).select("t", "key"), "hot")
-    if hot.limit(1).count():
+    masks = dict(enumerate(blocks(k, list(range(64)))))
+    entry = lambda t: F.struct(F.lit(t).alias("t"), F.col("fp").bitwiseAND(F.lit(_signed(masks[t]))).alias("key"))
+    rows, done = fps.select("fp", F.explode(F.array(*map(entry, masks))).alias("e")).select("fp", "e.t", "e.key"), None
+    while True:
+        hot = materialize(rows.groupBy("t", "key").count().where(F.col("count") > hot_group).select("t", "key"), "hot")
+        over = sorted(r["t"] for r in hot.select("t").distinct().collect())  # one for each mask at most
+        if not over:
+            break
         finer = None
-        for t, m in enumerate(top):
-            parts = blocks(k, [b for b in range(64) if not m >> b & 1])
-            e = F.array(*[entry((t + 1) * 64 + s, m | p) for s, p in enumerate(parts)])
+        for t in over:
+            own = {len(masks) + s: masks[t] | p for s, p in enumerate(blocks(k, [b for b in range(64) if not masks[t] >> b & 1]))}
+            masks |= own
+            e = F.array(*map(entry, own))
             finer = F.when(F.col("t") == t, e) if finer is None else finer.when(F.col("t") == t, e)
-        divided = rows.join(hot, ["t", "key"], "left_semi").select("fp", F.explode(finer).alias("e")).select("fp", "e.t", "e.key")
-        rows = rows.join(hot, ["t", "key"], "left_anti").select("fp", "t", "key").unionAll(divided)
+        hot = F.broadcast(hot)  # at most one row for every hot_group rows
+        cool = rows.join(hot, ["t", "key"], "left_anti").select("fp", "t", "key")
+        done = cool if done is None else done.unionAll(cool)
+        rows = rows.join(hot, ["t", "key"], "left_semi").select("fp", F.explode(finer).alias("e")).select("fp", "e.t", "e.key")
+    done = rows if done is None else done.unionAll(rows)
 
     def search(batches):
-        got = [(b.column(0).to_numpy(zero_copy_only=False), b.column(1).to_numpy(zero_copy_only=False), b.column(2).to_numpy(zero_copy_only=False)) for b in batches]
-        if got:
-            t, key, fp = (np.concatenate(x) for x in zip(*got, strict=True))
+        held, size = [], 0
+
+        def found(t, key, fp):
             a, b = local_links(t, key, fp.view(np.uint64), k)
-            yield pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], ["a", "b"])
+            return pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], ["a", "b"])
+
+        for b in batches:
+            held.append([b.column(c).to_numpy(zero_copy_only=False) for c in range(3)])
+            size += b.num_rows
+            if size >= 2 * hot_group:
+                t, key, fp = (np.concatenate(x) for x in zip(*held, strict=True))
+                last = int(np.argmax((t == t[-1]) & (key == key[-1])))  # the last group may go on
+                if last:
+                    yield found(t[:last], key[:last], fp[:last])
+                held, size = [[t[last:], key[last:], fp[last:]]], len(t) - last
+        if size:
+            yield found(*(np.concatenate(x) for x in zip(*held, strict=True)))
 
-    return rows.select("t", "key", "fp").repartition("t", "key").mapInArrow(search, "a long, b long")
+    return done.select("t", "key", "fp").repartition("t", "key").sortWithinPartitions("t", "key").mapInArrow(search, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 2, shingle: int = 3, seed: int = 42, hot_group: int = 1 << 18) -> DataFrame:
@@ -200,14 +220,20 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     row each; a null id counts for no minimum. Other columns of docs play no part. An empty table gives no rows.
     """
     marked = materialize(fingerprints(docs, id_col, text_col, shingle, seed), "fingerprints")
-    groups = materialize(marked.groupBy("fp").agg(F.min("id").alias("least")), "groups")
-    roots = connected_components(links(groups.select("fp"), k, hot_group))
-    linked = groups.join(roots, groups.fp == roots.node)
-    smallest = linked.groupBy("root").agg(F.min("least").alias("low"))
-    joined = roots.join(smallest, "root").select(F.col("node").alias("fp"), "low")
-    # a table of its own, so that a fingerprint with very many documents is split between tasks in the join
-    final = materialize(groups.join(joined, "fp", "left").select("fp", F.coalesce("low", "least").alias("component_id")), "components")
-    return marked.join(final, "fp").select(F.col("id").alias(id_col), "fp", "component_id")
+    groups = materialize(marked.groupBy("fp").agg(F.min("id").alias("least"), F.count("*").alias("n")), "groups")
+    return components_of(marked, groups, links(groups.select("fp"), k, hot_group), "fp").withColumnRenamed("id", id_col)
+
+
+def components_of(marked: DataFrame, groups: DataFrame, linked: DataFrame, key: str) -> DataFrame:
+    """Each row of marked (id, key) with component_id, the smallest id reachable over links between keys.
+
+    groups: key, least id, and n, how many rows have the key. Frequent keys and large components are joined by broadcast.
+    """
+    roots = materialize(connected_components(linked).withColumnRenamed("node", key), "roots")
+    low = materialize(groups.join(roots, key).groupBy("root").agg(F.min("least").alias("low"), F.count("*").alias("members")), "low")
+    named = join_counted(roots, low, "root", "members").select(key, "low")
+    final = materialize(groups.join(named, key, "left").select(key, F.coalesce("low", "least").alias("component_id"), "n"), "components")
+    return join_counted(marked, final, key, "n").select("id", key, "component_id")
 
 
 def hex_fingerprint(col="fp"):

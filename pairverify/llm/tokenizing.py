@@ -3,13 +3,15 @@
 A chunk is a stretch that the tokenizer treats by itself whatever stands beside it. "lone_space" (byte-level BPE with its
 usual splitting pattern): a text may be cut before any space that a visible character follows. "words" (white space
 dropped before splitting): the stretches between ASCII white space. In both, a cut also stands between an ASCII letter
-and ASCII punctuation, except the bar, which is part of special tokens. Ids of chunks are kept for all tasks of a worker.
+and ASCII punctuation, except the bar, which is part of special tokens. Ids of chunks are kept for all tasks of a worker, found
+by a hash of the chunk's bytes; the bytes are kept too and compared on every hit, so hashes that collide change no id.
 """
 
 from __future__ import annotations
 
 import os
 import sys
+import types
 
 import numpy as np
 
@@ -28,7 +30,8 @@ def tokenizer_file(name: str) -> str:
 
 def encoder(path: str, style: str) -> "ChunkEncoder":
     """This process's encoder for a tokenizer; it outlives the task, so later tasks find the chunks it knows."""
-    held = sys.__dict__.setdefault("_pairverify_encoders", {})
+    # functions are shipped by value, so what a worker keeps between tasks has to live in a module of its own
+    held = sys.modules.setdefault("pairverify_worker_state", types.ModuleType("pairverify_worker_state")).__dict__.setdefault("encoders", {})
     if (path, style) not in held:
         held.clear()
         held[path, style] = ChunkEncoder(path, style)
@@ -36,11 +39,12 @@ def encoder(path: str, style: str) -> "ChunkEncoder":
 
 
 class ChunkEncoder:
-    def __init__(self, path: str, style: str, most_kept: int = 2_000_000):
+    def __init__(self, path: str, style: str, most_kept: int = 2_000_000, hash_bits: int = 64):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tokenizer, self.style, self.most_kept = Tokenizer.from_file(path), style, most_kept
+        self.mask = np.uint64(((1 << hash_bits) - 1) << (64 - hash_bits))
         self.hasher, self.space = Hasher(), space_table()
         self.mark = "<|endoftext|>"
         self.mark_id = self.tokenizer.token_to_id(self.mark)
@@ -59,6 +63,7 @@ class ChunkEncoder:
     def _forget(self) -> None:
         self.index = HashIndex(self.most_kept)
         self.first, self.size, self.pool, self.used = np.zeros(1 << 14, np.int32), np.zeros(1 << 14, np.int32), np.zeros(1 << 16, np.uint32), 0
+        self.begin, self.length, self.text, self.filled = np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int32), np.zeros(1 << 18, np.uint8), 0
 
     @property
     def vocabulary(self) -> int:
@@ -87,6 +92,29 @@ class ChunkEncoder:
         stop = np.append(start[1:], len(buf)) if len(start) else start
         return start, stop, np.searchsorted(start, off)
 
+    def _keep(self, buf: np.ndarray, start: np.ndarray, stop: np.ndarray) -> None:
+        """Keep the bytes of chunks that are about to be numbered."""
+        held, more, size = self.index.used, self.index.used + len(start), stop - start
+        total = int(size.sum())
+        if self.filled + total > len(self.text):
+            self.text = np.concatenate([self.text[: self.filled], np.zeros(total + self.filled // 2 + 1, np.uint8)])
+        if more > len(self.begin):
+            self.begin, self.length = (np.concatenate([x[:held], np.zeros(more + more // 2 - held, x.dtype)]) for x in (self.begin, self.length))
+        self.text[self.filled : self.filled + total] = buf[spread(start, size)]
+        self.begin[held:more], self.length[held:more] = self.filled + np.cumsum(size) - size, size
+        self.filled += total
+
+    def _other(self, buf: np.ndarray, start: np.ndarray, stop: np.ndarray, place: np.ndarray) -> np.ndarray:
+        """Chunks whose bytes are not those kept under their number."""
+        size = stop - start
+        alike = self.length[place] == size
+        k = np.flatnonzero(alike)
+        if len(k):
+            n = size[k]
+            equal = buf[spread(start[k], n)] == self.text[spread(self.begin[place[k]], n)]
+            alike[k] = np.logical_and.reduceat(equal, np.cumsum(n) - n)
+        return np.flatnonzero(~alike)
+
     def _learn(self, buf: np.ndarray, start: np.ndarray, stop: np.ndarray, keys: np.ndarray) -> None:
         raw = buf.tobytes()
         texts = [raw[a:b].decode("utf-8", "replace") for a, b in zip(start.tolist(), stop.tolist(), strict=True)]
@@ -113,6 +141,7 @@ class ChunkEncoder:
         self.pool[self.used : self.used + total] = ids
         self.first[held:more], self.size[held:more] = self.used + np.cumsum(size) - size, size
         self.used += total
+        self._keep(buf, start, stop)
         self.index.add(keys)
 
     def encode(self, column):
@@ -122,7 +151,7 @@ class ChunkEncoder:
             if not len(start):
                 yield i, j, np.zeros(0, np.uint32), np.zeros(j - i + 1, np.int64)
                 continue
-            h = mix(self.hasher.word(buf, start, stop) ^ (stop - start).astype(np.uint64))
+            h = mix(self.hasher.word(buf, start, stop) ^ (stop - start).astype(np.uint64)) & self.mask
             place = self.index.find(h)
             new = np.flatnonzero(place < 0)
             if len(new):
@@ -136,6 +165,15 @@ class ChunkEncoder:
                 self._learn(buf, start[new[at]], stop[new[at]], keys)
                 place = self.index.find(h)
             size = self.size[place].astype(np.int64)
-            ids = self.pool[spread(self.first[place].astype(np.int64), size)]
+            other = self._other(buf, start, stop, place)
+            if len(other):  # hashes that collide: such a chunk is encoded anew each time
+                own = [self.tokenizer.encode(buf[start[k] : stop[k]].tobytes().decode("utf-8", "replace"), add_special_tokens=False).ids for k in other.tolist()]
+                size[other] = 0
+                ids = self.pool[spread(self.first[place].astype(np.int64), size)]
+                at = np.cumsum(size)[other]
+                size[other] = [len(x) for x in own]
+                ids = np.insert(ids, np.repeat(at, size[other]), np.array([y for x in own for y in x], np.uint32))
+            else:
+                ids = self.pool[spread(self.first[place].astype(np.int64), size)]
             ends = np.concatenate([[0], np.cumsum(size)])
             yield i, j, ids, ends[before]

@@ -220,12 +220,14 @@ def all_windows(before: np.ndarray):
     return before[:-1][owner] + np.minimum(step * STRIDE, more[owner]), owner, before[1:][owner]
 
 
-def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample: int = 3000, windows_each: int = 16, epochs: int = 14, rate: float = 0.03, steps: int = 32, most_batch: int = 96, drop: float = 0.4, decay: float = 0.002, seed: int = 5) -> ToxicityModel:
+def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", sample: int = 3000, epochs: int = 14, rate: float = 0.03, steps: int = 32, most_batch: int = 96, drop: float = 0.4, decay: float = 0.002, seed: int = 5) -> ToxicityModel:
     """A model from labelled documents for whose id `learn` holds (an expression over `id_col`).
 
-    At most about `sample` documents, in equal parts by label and drawn by a hash of their id, are learned from, and of
-    each at most `windows_each` windows drawn at random. A label table without both labels, or labelled documents without any word, give a model without
-    weights, which scores every text by the labels' base rate.
+    At most about `sample` documents, in equal parts by label and drawn by a hash of their id, are learned from, each with
+    all its windows. Labels of rows without an id, and other values than 0 and 1, count for nothing; of several labels of
+    one id the largest holds; every row of a drawn id is learned from. A label table without both labels, or labelled
+    documents without any word, give a model without weights, which scores every text by the labels' base rate; so does an
+    empty table. Other columns of either table play no part, whatever their names.
     """
     ship()
     rows = labels.where(learn & F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("y"))
@@ -239,7 +241,8 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id
     drawn = rows.where(((F.col("y") == 0) & low(0)) | ((F.col("y") == 1) & low(1))).groupBy("id").agg(F.max("y").alias("y"))
     texts = docs.select(F.col(id_col).alias("id"), text_or_empty(text_col).alias("text")).join(F.broadcast(drawn), "id").select("id", "text", "y")  # about `sample` rows
 
-    def some(batches):
+    def read(batches):
+        """Of each text the hashes of its words, and its distinct words with their trigrams."""
         hasher, space, lower = Hasher(), space_table(), lower_table()
         for b in batches:
             ids = b.column(0).to_pylist()
@@ -249,39 +252,39 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id
                 h = hasher.word(buf, start, stop)
                 rows = []
                 for r in range(len(off) - 1):
-                    n = int(before[r + 1] - before[r])
-                    if not n:
-                        continue
-                    at = starts_of_windows(n)
-                    if len(at) > windows_each:
-                        at = sorted(np.random.default_rng([seed, int(h[before[r]] % np.uint64(1 << 31)), n]).choice(at, windows_each, replace=False).tolist())
-                    for w in at:
-                        a, z = before[r] + w, before[r] + min(n, w + WINDOW)
-                        g, size = trigrams(buf, start[a:z], stop[a:z])
-                        rows.append((str(ids[i + r]), w, h[a:z].tobytes(), g.astype("<u2").tobytes(), size.astype("<u4").tobytes(), b.column(2)[i + r].as_py()))
+                    own = slice(int(before[r]), int(before[r + 1]))
+                    if own.stop > own.start:
+                        _, first = np.unique(h[own], return_index=True)
+                        g, size = trigrams(buf, start[own][first], stop[own][first])
+                        rows.append((str(ids[i + r]), b.column(2)[i + r].as_py(), h[own].tobytes(), g.astype("<u2").tobytes(), size.astype("<u4").tobytes()))
                 if rows:
                     cols = [pa.array(c) for c in zip(*rows, strict=True)]
-                    yield pa.RecordBatch.from_arrays([*cols[:5], cols[5].cast(pa.int32())], ["id", "at", "words", "grams", "size", "y"])
+                    yield pa.RecordBatch.from_arrays([cols[0], cols[1].cast(pa.int32()), *cols[2:]], ["id", "y", "words", "grams", "size"])
 
-    got = texts.mapInArrow(some, "id string, at long, words binary, grams binary, size binary, y int").toArrow().to_pylist()
-    if not got:
+    got = texts.mapInArrow(read, "id string, y int, words binary, grams binary, size binary").toArrow()
+    if not got.num_rows:
         return untrained
-    got.sort(key=lambda r: (r["id"], r["at"], r["words"]))
-    words = np.concatenate([np.frombuffer(r["words"], "<u8") for r in got])
-    grams = np.concatenate([np.frombuffer(r["grams"], "<u2") for r in got]).astype(np.int64)
-    size = np.concatenate([np.frombuffer(r["size"], "<u4") for r in got]).astype(np.int64)
-    keys, first, back = np.unique(words, return_index=True, return_inverse=True)
+    got = got.take(pa.array(sorted(range(got.num_rows), key=lambda k: (got["id"][k].as_py(), got["words"][k].as_py()))))
+    part = lambda name, kind: [np.frombuffer(x.as_buffer(), kind) for x in got[name]]
+    texts_ = part("words", "<u8")
+    own = [np.unique(x) for x in texts_]
+    keys, first = np.unique(np.concatenate(own), return_index=True)
+    size = np.concatenate(part("size", "<u4")).astype(np.int64)
     at = (np.cumsum(size) - size)[first]
-    v = Vocabulary(keys, grams[spread(at, size[first])], size[first])
-    lengths = np.array([len(r["words"]) // 8 for r in got])
-    begin = np.cumsum(lengths) - lengths
+    v = Vocabulary(keys, np.concatenate(part("grams", "<u2"))[spread(at, size[first])].astype(np.int64), size[first])
+    begins = [np.array(starts_of_windows(len(x))) for x in texts_]
+    count = np.array([len(x) for x in texts_])
+    base = np.cumsum(count) - count
+    back = np.searchsorted(keys, np.concatenate(texts_)).astype(np.int32)
+    begin, n = np.concatenate([x + b for x, b in zip(begins, base, strict=True)]), np.array([len(x) for x in begins])
+    end = np.repeat(base + count, n)
     grid = begin[:, None] + np.arange(WINDOW)[None, :]
-    index = np.where(np.arange(WINDOW)[None, :] < lengths[:, None], back[np.minimum(grid, len(back) - 1)], -1)
-    names, doc = np.unique([r["id"] for r in got], return_inverse=True)
-    truth = np.zeros(len(names), np.float32)
-    truth[doc] = [r["y"] for r in got]
+    index = np.where(grid < end[:, None], back[np.minimum(grid, len(back) - 1)], -1)
+    doc = np.repeat(np.arange(len(texts_)), n)
+    truth = np.array(got["y"].to_pylist(), np.float32)
+    del grid, texts_, own, got
     rng = np.random.default_rng(seed)
-    held = rng.random(len(names)) < 0.2
+    held = rng.random(len(truth)) < 0.2
     network = Network(seed)
     adam = Adam(network.p)
 
@@ -328,7 +331,10 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id
 
 
 def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, score) for every row's whole text; null and empty texts get the base rate of the labels."""
+    """(id, score) for every row's whole text, rows that repeat an id included; null and empty texts get the base rate of the labels.
+
+    An empty table gives no rows. Other columns play no part.
+    """
     ship()
     kind = docs.schema[id_col].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast((model.network.p, model.slope, model.shift, model.prior))

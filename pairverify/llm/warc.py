@@ -34,7 +34,8 @@ def write(pages: DataFrame, path: str, min_bytes: int = 0, date: str = "2024-01-
     """One record per row of pages (page_id, url, html). A null html is empty, a null url leaves out its field.
 
     Among equal payloads of at least min_bytes the row with the largest page_id is the response and the others are
-    revisits of it; rows that repeat that largest id are all responses, as are all rows of a group without any id.
+    revisits of it; rows that repeat that largest id are all responses, as are all rows of a group without any id. Other
+    columns of pages play no part. An empty table gives archives without records.
     """
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html"))
     rows = rows.withColumn("size", F.octet_length("html").cast("long")).withColumn("hex", F.sha1(F.col("html").cast("binary")))
@@ -127,7 +128,8 @@ def read(spark: SparkSession, path: str) -> DataFrame:
     """One row per record on the boundary chains: page_id, record_type, refers_to, payload_bytes, payload_digest, digest_ok.
 
     payload_bytes and payload_digest of a response are taken from its bytes; those of a revisit from the response it
-    refers to. Records whose mark also stands inside their payload are put together again from their pieces.
+    refers to. Records whose mark also stands inside their payload are put together again from their pieces. Archives
+    without records give no rows.
     """
     value = F.col("value")
     f = _fields(value)
@@ -167,18 +169,17 @@ def read(spark: SparkSession, path: str) -> DataFrame:
     )
 
 
-def _mended(spark: SparkSession, path: str, found: DataFrame) -> DataFrame:
-    """The torn records of found, with `bytes` and `hex` from all their pieces. Only byte ranges with such records are read whole."""
+def _mended(spark: SparkSession, path: str, found: DataFrame, cell: int = 1 << 20) -> DataFrame:
+    """The torn records of found, with `bytes` and `hex` from all their pieces.
+
+    Pieces meet the records that hold them in cells of a file's bytes, so a task gets the pieces of single records.
+    """
     torn = found.where("not whole")
-    files = torn.select("file").distinct()
-    rows = pieces(spark, path).join(files, "file", "left_semi").withColumn("size", F.octet_length("value").cast("long"))
-    rows = _offsets(rows)
+    rows = _offsets(pieces(spark, path).withColumn("size", F.octet_length("value").cast("long"))).where("off >= 0")
     spans = torn.select("file", F.col("off").alias("first"), F.col("next").alias("last"))
-    # the nearest record at or before a piece is the one that holds it
-    marks = rows.join(found.select("file", "off", F.col("off").alias("at")), ["file", "off"], "left")
-    back = Window.partitionBy("file").orderBy("off").rowsBetween(Window.unboundedPreceding, 0)
-    marks = marks.where("off >= 0").select("file", "off", "value", F.last("at", ignorenulls=True).over(back).alias("first"))
-    joined = marks.join(spans, ["file", "first"]).where("off < last")
+    spans = spans.withColumn("cell", F.explode(F.sequence(F.floor(F.col("first") / cell), F.floor((F.col("last") - 1) / cell))))
+    marks = rows.select("file", "off", "value", F.floor(F.col("off") / cell).alias("cell"))
+    joined = marks.join(spans, ["file", "cell"]).where("off >= first and off < last")
     texts = joined.groupBy("file", "first").agg(F.array_sort(F.collect_list(F.struct("off", "value"))).alias("all"))
     texts = texts.select("file", F.col("first").alias("off"), F.array_join(F.transform("all", lambda x: x["value"]), MARK).alias("value"))
     full = torn.drop("bytes", "hex").join(texts, ["file", "off"])
