@@ -1,10 +1,16 @@
-"""Near-duplicates by exact Jaccard similarity of word shingles.
+"""Near-duplicates by exact Jaccard similarity of word shingles, with SimHash links first.
 
 Shingles are XXH64 values of runs of words, taken as in simhash. Texts with one set of shingles share a key and so one
-entry. Shingles are put in one order for all texts, rare ones first by counts in hashed slots. Two sets that are alike
-enough must share one of their first members: at similarity 4/5 one of the first fifth of each. A shuffle on these
-members finds candidates, whose sizes and places rule most of them out, and whole sets decide on the rest. Every pair
-at or above the bound is found, whatever the counts say; equality of shingles and of keys rests on 64 bits.
+entry, whose fingerprint is the SimHash of the set. The Gray-order index links fingerprints within k bits. Sets at a
+similarity of 4/5 may differ in more bits than any such index can search, so the rest is found by the sets themselves:
+shingles are put in one order for all texts, rare ones first by counts in hashed slots, and two sets that are alike enough
+must share one of their first members, at 4/5 one of the first fifth of each. Whole sets decide on all candidates, those
+of the index too; equality of shingles and of keys rests on 64 bits.
+
+Only components are wanted, so a group of many near-copies isn't compared pair by pair: each set first meets one other
+set for each of its first members, and the index's links; after the components of what is alike among these, sets are
+compared across components only. Every component is complete, whatever the counts and the index say. Work still grows
+with the square of the number of sets that share a rare member without being alike, and one task takes one member.
 """
 
 from __future__ import annotations
@@ -15,7 +21,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ._bytes import lower_table, mix, slices, space_table, spread, word_bounds, xxh64
-from ._common import connected_components, materialize, ship, text_or_empty
+from ._common import connected_components, join_counted, materialize, release, ship, text_or_empty
+from .simhash import components_of
+from .simhash import links as close_prints
 
 SLOTS, PART = 1 << 20, 1 << 14
 
@@ -54,14 +62,26 @@ def set_keys(cuts: np.ndarray, hashes: np.ndarray) -> np.ndarray:
     return mix(sums[cuts[1:]] - sums[cuts[:-1]])
 
 
+def set_prints(cuts: np.ndarray, hashes: np.ndarray) -> np.ndarray:
+    """The SimHash of each set; zero for an empty one."""
+    out, size = np.zeros(len(cuts) - 1, np.uint64), np.diff(cuts)
+    have = np.flatnonzero(size)
+    if len(have):
+        bits = np.unpackbits(hashes.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+        votes = np.add.reduceat(bits, cuts[:-1][have], axis=0, dtype=np.uint32)
+        out[have] = np.packbits(2 * votes > size[have][:, None], axis=1, bitorder="little").view("<u8").ravel()
+    return out
+
+
 def _keyed(docs: DataFrame, id_col: str, text_col: str, shingle: int, seed: int) -> DataFrame:
     def keys(batches):
         for b in batches:
-            found = [set_keys(cuts, h) for _, cuts, h in shingle_sets(b.column(1), shingle, seed)]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.concatenate([np.zeros(0, np.uint64), *found]).view(np.int64))], ["id", "key"])
+            found = [(set_keys(cuts, h), set_prints(cuts, h)) for _, cuts, h in shingle_sets(b.column(1), shingle, seed)]
+            cols = [np.concatenate([np.zeros(0, np.uint64), *(x[k] for x in found)]).view(np.int64) for k in (0, 1)]
+            yield pa.RecordBatch.from_arrays([b.column(0), *map(pa.array, cols)], ["id", "key", "fp"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("id"), text_or_empty(text_col).alias("text")).mapInArrow(keys, f"id {kind}, key long")
+    return docs.select(F.col(id_col).alias("id"), text_or_empty(text_col).alias("text")).mapInArrow(keys, f"id {kind}, key long, fp long")
 
 
 def slot_counts(texts: DataFrame, shingle: int, seed: int) -> np.ndarray:
@@ -99,37 +119,154 @@ def prefixes(cuts: np.ndarray, hashes: np.ndarray, level: np.ndarray, bound: tup
     return row[keep], place[keep], hashes[order][keep]
 
 
-def candidates(token: np.ndarray, key: np.ndarray, size: np.ndarray, place: np.ndarray, bound: tuple[int, int], chunk: int = 1 << 21):
-    """Yields arrays (a, b), a < b, of keys that share a token and whose sizes and places leave room for the bound."""
+def _met(token, key, size, place, *more):
+    """The rows ordered by token, size and key, each key once for a token, and their token's number."""
     order = np.lexsort((key, size, token))
-    token, key, size, place = token[order], key[order], size[order].astype(np.int64), place[order].astype(np.int64)
-    new = np.append(True, (token[1:] != token[:-1]) | (key[1:] != key[:-1]))[: len(token)]
-    token, key, size, place = token[new], key[new], size[new], place[new]
-    group = np.cumsum(np.append(True, token[1:] != token[:-1])[: len(token)]) - 1
+    new = np.append(True, (token[order][1:] != token[order][:-1]) | (key[order][1:] != key[order][:-1]))[: len(token)]
+    order = order[new]
+    token, key, size, place, *more = (x[order] for x in (token, key, size.astype(np.int64), place.astype(np.int64), *more))
+    return np.cumsum(np.append(True, token[1:] != token[:-1])[: len(token)]) - 1, token, key, size, place, *more
+
+
+def _fits(size: np.ndarray, place: np.ndarray, a: np.ndarray, b: np.ndarray, bound: tuple[int, int]) -> np.ndarray:
+    """Whether rows a and b can be alike if this is their first common member: what is left of the shorter has to be enough."""
+    room = np.minimum(size[a] - place[a], size[b] - place[b])
+    return (bound[0] + bound[1]) * room >= bound[0] * (size[a] + size[b])
+
+
+def _distinct(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    order = np.lexsort((y, x))
+    x, y = x[order], y[order]
+    new = np.append(True, (x[1:] != x[:-1]) | (y[1:] != y[:-1]))[: len(x)]
+    return x[new], y[new]
+
+
+def stars(token: np.ndarray, key: np.ndarray, size: np.ndarray, place: np.ndarray, bound: tuple[int, int]):
+    """Pairs of each key with the smallest set that shares its token and may be alike, and which rows have more partners."""
+    group, _, key, size, place = met = _met(token, key, size, place)
+    step = int(size.max(initial=0)) + 1
+    first = np.searchsorted(group * step + size, group * step + -(-bound[0] * size // bound[1]), "left")
+    b = np.flatnonzero(first < np.arange(len(key)))
+    b = b[_fits(size, place, first[b], b, bound)]
+    return _distinct(key[first[b]], key[b]), np.bincount(group, minlength=1)[group] > 2 if len(group) else np.zeros(0, bool), met
+
+
+def candidates(token: np.ndarray, key: np.ndarray, size: np.ndarray, place: np.ndarray, bound: tuple[int, int], chunk: int = 1 << 21, own: np.ndarray | None = None):
+    """Yields arrays (a, b), a < b, of keys that share a token and whose sizes and places leave room for the bound.
+
+    own: a component for each row; then only keys of different components are paired, and a token's rows of one component
+    are not met with each other if that is less work than to take all partners by size.
+    """
+    group, _, key, size, place, *own = _met(token, key, size, place, *([] if own is None else [own]))
+    at, n = np.arange(len(key)), len(key)
     step = int(size.max(initial=0)) * bound[1] + 1
-    rank = group * step + size
     # sizes rise within a token, so partners of a row are the run behind it up to the largest size the bound allows
-    end = np.searchsorted(rank, group * step + np.minimum(size * bound[1] // bound[0], step - 1), "right")
-    count = end - np.arange(len(key)) - 1
-    sums = np.cumsum(count)
-    lo = 0
-    while lo < len(key):
-        hi = max(int(np.searchsorted(sums, (sums[lo - 1] if lo else 0) + chunk, "right")), lo + 1)
-        a = np.repeat(np.arange(lo, hi), count[lo:hi])
-        b = spread(np.arange(lo, hi) + 1, count[lo:hi])
-        room = np.minimum(size[a] - place[a], size[b] - place[b])  # what the two can share if this is their first common member
-        fits = (bound[0] + bound[1]) * room >= bound[0] * (size[a] + size[b])
-        x, y = key[a[fits]], key[b[fits]]
-        x, y = np.minimum(x, y), np.maximum(x, y)
-        order = np.lexsort((y, x))
-        x, y = x[order], y[order]
-        new = np.append(True, (x[1:] != x[:-1]) | (y[1:] != y[:-1]))[: len(x)]
-        yield x[new], y[new]
-        lo = hi
-
-
-def links(docs: DataFrame, text_col: str = "text", shingle: int = 5, bound: tuple[int, int] = (4, 5), seed: int = 42, rows: int = 1_000_000) -> DataFrame:
-    """Pairs (a, b), a < b, of keys of different sets whose Jaccard similarity is at least bound[0] / bound[1]."""
+    end = np.searchsorted(group * step + size, group * step + np.minimum(size * bound[1] // bound[0], step - 1), "right")
+    ways = [(at, at + 1, end)]
+    if own and n:
+        order = np.lexsort((own[0], group))
+        run = np.cumsum(np.append(True, (group[order][1:] != group[order][:-1]) | (own[0][order][1:] != own[0][order][:-1])))
+        behind, last = np.searchsorted(run, run, "right"), np.searchsorted(group, group, "right")  # both orders keep tokens together
+        across, by_size = (np.bincount(group, x) for x in (last - behind, end - at - 1))
+        use = (across < by_size)[group]
+        ways = [(at, at + 1, np.where(use, at + 1, end)), (order, behind, np.where(use, last, behind))]
+    for order, lo_, hi_ in ways:
+        count = hi_ - lo_
+        sums, lo = np.cumsum(count), 0
+        while lo < n:
+            hi = max(int(np.searchsorted(sums, (sums[lo - 1] if lo else 0) + chunk, "right")), lo + 1)
+            a = order[np.repeat(np.arange(lo, hi), count[lo:hi])]
+            b = order[spread(lo_[lo:hi], count[lo:hi])]
+            good = _fits(size, place, a, b, bound)
+            if own:
+                good &= own[0][a] != own[0][b]
+            x, y = key[a[good]], key[b[good]]
+            yield _distinct(np.minimum(x, y), np.maximum(x, y))
+            lo = hi
+
+
+def by_token(batches, rows: int = 1 << 21):
+    """Columns of batches that are sorted by their first column, in runs of about so many rows that end with a value of it."""
+    held, size = [], 0
+    for b in batches:
+        if b.num_rows:
+            held.append([b.column(k).to_numpy(zero_copy_only=False) for k in range(b.num_columns)])
+            size += b.num_rows
+        if size >= rows:
+            cols = [np.concatenate(x) for x in zip(*held, strict=True)]
+            last = int(np.argmax(cols[0] == cols[0][-1]))
+            if last:
+                yield [c[:last] for c in cols]
+            held, size = [[c[last:] for c in cols]], size - last
+    if size:
+        yield [np.concatenate(x) for x in zip(*held, strict=True)]
+
+
+def key_bits(keys: DataFrame) -> tuple[np.ndarray, int]:
+    """A packed bit for each hashed slot that a key falls in, and the mask that gives the slot: 2^27 bits at most."""
+    n = keys.count()
+    mask = (1 << min(27, max(14, (8 * n).bit_length()))) - 1
+
+    def slots(batches):
+        held: dict[int, np.ndarray] = {}
+        for b in batches:
+            at = b.column(0).to_numpy(zero_copy_only=False) & mask
+            for part in np.unique(at // PART).tolist():
+                held.setdefault(part, np.zeros(PART, bool))[at[at // PART == part] % PART] = True
+        yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.int64()), pa.array([np.packbits(v).tobytes() for v in held.values()], pa.binary())], ["part", "blob"])
+
+    def either(batches):
+        held: dict[int, np.ndarray] = {}
+        for b in batches:
+            for part, blob in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                held[part] = held.get(part, 0) | np.frombuffer(blob, np.uint8)
+        yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.int64()), pa.array([v.tobytes() for v in held.values()], pa.binary())], ["part", "blob"])
+
+    out = np.zeros(((mask + 1) // PART, PART // 8), np.uint8)
+    for part, blob in keys.mapInArrow(slots, "part long, blob binary").repartition("part").mapInArrow(either, "part long, blob binary").collect():
+        out[part] = np.frombuffer(blob, np.uint8)
+    return out.ravel(), mask
+
+
+def sets_of(texts: DataFrame, wanted: DataFrame, shingle: int, seed: int) -> DataFrame:
+    """(key, members) of the distinct keys in wanted, whose sets are taken from the texts again."""
+    wanted = materialize(wanted.distinct(), "wanted")
+    bits, mask = key_bits(wanted)
+    shared = texts.sparkSession.sparkContext.broadcast(bits)
+
+    def whole_sets(batches):
+        marks, seen = shared.value, set()
+        for b in batches:
+            keys, sets = [], []
+            for _, cuts, h in shingle_sets(b.column(0), shingle, seed):
+                own = set_keys(cuts, h).view(np.int64)
+                slot = own & mask
+                for r in np.flatnonzero(marks[slot >> 3] >> (7 - (slot & 7)) & 1).tolist():
+                    if (k := int(own[r])) not in seen:
+                        seen.add(k)
+                        keys.append(k)
+                        sets.append(h[cuts[r] : cuts[r + 1]].view(np.int64))
+            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(sets, pa.list_(pa.int64()))], ["key", "members"])
+
+    return texts.mapInArrow(whole_sets, "key long, members array<long>").join(wanted, "key", "left_semi").dropDuplicates(["key"])
+
+
+def alike(texts: DataFrame, pairs: DataFrame, shingle: int, bound: tuple[int, int], seed: int) -> DataFrame:
+    """The rows of pairs (a, b) whose sets have at least the similarity; each distinct set is read from the texts once on each side."""
+    right = sets_of(texts, pairs.select(F.col("b").alias("key")), shingle, seed).select(F.col("key").alias("b"), F.col("members").alias("y"))
+    right = materialize(pairs.join(right, "b"), "right")
+    left = sets_of(texts, pairs.select(F.col("a").alias("key")), shingle, seed).select(F.col("key").alias("a"), F.col("members").alias("x"))
+    both = right.join(left, "a").select("a", "b", (F.size("x") + F.size("y")).alias("total"), F.size(F.array_intersect("x", "y")).alias("shared"))
+    out = materialize(both.where((bound[0] + bound[1]) * F.col("shared") >= bound[0] * F.col("total")).select("a", "b"), "alike")
+    release(right)
+    return out
+
+
+def links(docs: DataFrame, text_col: str = "text", shingle: int = 5, bound: tuple[int, int] = (4, 5), seed: int = 42, rows: int = 1_000_000, first: DataFrame | None = None) -> DataFrame:
+    """Edges (a, b) between keys of sets that connect exactly those which chains of sets with at least the similarity connect.
+
+    first: pairs of keys to compare before all others, from another index.
+    """
     ship()
     texts = docs.select(text_or_empty(text_col).alias("text"))
     counts = slot_counts(texts, shingle, seed)
@@ -153,47 +290,43 @@ def links(docs: DataFrame, text_col: str = "text", shingle: int = 5, bound: tupl
                 yield pa.RecordBatch.from_arrays([pa.array(token.view(np.int64)), pa.array(keys[row]), pa.array(size.astype(np.int32)), pa.array(place.astype(np.int32))], ["token", "key", "size", "place"])
 
     def meet(batches):
-        got = [[b.column(k).to_numpy(zero_copy_only=False) for k in range(4)] for b in batches if b.num_rows]
-        if got:
-            for a, b in candidates(*(np.concatenate(x) for x in zip(*got, strict=True)), bound):
+        """Pairs as rows without a size, and rows that may have further partners."""
+        for token, key, size, place in by_token(batches):
+            (a, b), more, (_, token, key, size, place) = stars(token, key, size, place, bound)
+            none = pa.nulls(len(a), pa.int32())
+            yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), none, none], names)
+            yield pa.RecordBatch.from_arrays([pa.array(token[more]), pa.array(key[more]), pa.array(size[more].astype(np.int32)), pa.array(place[more].astype(np.int32))], names)
+
+    def across(batches):
+        for token, key, size, place, own in by_token(batches):
+            for a, b in candidates(token, key, size, place, bound, own=own):
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
 
+    names = ["token", "key", "size", "place"]
     members = texts.mapInArrow(first_members, "token long, key long, size int, place int")
-    pairs = materialize(members.repartition(tasks, "token").mapInArrow(meet, "a long, b long").distinct(), "candidates")
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("key"))
-    marks = np.zeros(SLOTS, bool)
-    marks[[r[0] for r in wanted.select(F.col("key").bitwiseAND(F.lit(SLOTS - 1))).distinct().collect()]] = True
-
-    def whole_sets(batches):
-        seen = set()
-        for b in batches:
-            keys, sets = [], []
-            for _, cuts, h in shingle_sets(b.column(0), shingle, seed):
-                own = set_keys(cuts, h).view(np.int64)
-                for r in np.flatnonzero(marks[own & (SLOTS - 1)]).tolist():
-                    if (k := int(own[r])) not in seen:
-                        seen.add(k)
-                        keys.append(k)
-                        sets.append(h[cuts[r] : cuts[r + 1]].view(np.int64))
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(sets, pa.list_(pa.int64()))], ["key", "members"])
-
-    sets = texts.mapInArrow(whole_sets, "key long, members array<long>").join(wanted.distinct(), "key", "left_semi").dropDuplicates(["key"])
-    sets = materialize(sets, "sets")
-    x, y = sets.select(F.col("key").alias("a"), F.col("members").alias("x")), sets.select(F.col("key").alias("b"), F.col("members").alias("y"))
-    both = pairs.join(x, "a").join(y, "b").select("a", "b", (F.size("x") + F.size("y")).alias("total"), F.size(F.array_intersect("x", "y")).alias("shared"))
-    return both.where((bound[0] + bound[1]) * F.col("shared") >= bound[0] * F.col("total")).select("a", "b")
+    met = materialize(members.repartition(tasks, "token").sortWithinPartitions("token").mapInArrow(meet, "token long, key long, size int, place int"), "met")
+    pairs = met.where("size is null").select(F.col("token").alias("a"), F.col("key").alias("b"))
+    pairs = materialize((pairs if first is None else pairs.unionAll(first.select("a", "b"))).where("a <> b").distinct(), "pairs")
+    close = alike(texts, pairs, shingle, bound, seed)
+    roots = materialize(connected_components(close), "roots")
+    rest = met.where("size is not null").join(roots.withColumnRenamed("node", "key"), "key", "left").select("token", "key", "size", "place", F.coalesce("root", "key").alias("own"))
+    more = materialize(rest.repartition(tasks, "token").sortWithinPartitions("token").mapInArrow(across, "a long, b long").distinct(), "candidates")
+    release(met, pairs)
+    edges = roots.select(F.col("node").alias("a"), F.col("root").alias("b"))
+    return edges.unionAll(alike(texts, more, shingle, bound, seed)) if more.limit(1).count() else edges
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, bound: tuple[int, int] = (4, 5), seed: int = 42) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, bound: tuple[int, int] = (4, 5), seed: int = 42, k: int = 3) -> DataFrame:
     """One row per document: id and component_id, the smallest id reachable over pairs at or above the bound.
 
     Texts without words have the empty set and are alike. Ids are treated as in simhash.near_duplicates.
     """
     ship()
     marked = materialize(_keyed(docs, id_col, text_col, shingle, seed), "keys")
-    groups = materialize(marked.groupBy("key").agg(F.min("id").alias("least")), "groups")
-    roots = connected_components(links(docs, text_col, shingle, bound, seed))
-    smallest = groups.join(roots, groups.key == roots.node).groupBy("root").agg(F.min("least").alias("low"))
-    joined = roots.join(smallest, "root").select(F.col("node").alias("key"), "low")
-    final = materialize(groups.join(joined, "key", "left").select("key", F.coalesce("low", "least").alias("component_id")), "components")
-    return marked.join(final, "key").select(F.col("id").alias(id_col), "component_id")
+    groups = materialize(marked.groupBy("key").agg(F.min("id").alias("least"), F.count("*").alias("n"), F.first("fp").alias("fp")), "groups")
+    heads = materialize(groups.groupBy("fp").agg(F.min("key").alias("head"), F.count("*").alias("n")), "heads")
+    same = join_counted(groups.select("key", "fp"), heads, "fp", "n").select(F.col("head").alias("a"), F.col("key").alias("b"))
+    head = lambda fp, name: heads.select(F.col("fp").alias(fp), F.col("head").alias(name))
+    close = close_prints(heads.select("fp"), k).join(head("a", "x"), "a").join(head("b", "y"), "b").select(F.col("y").alias("a"), F.col("x").alias("b"))
+    edges = links(docs, text_col, shingle, bound, seed, first=same.unionAll(close))
+    return components_of(marked.select("id", "key"), groups.drop("fp"), edges, "key").withColumnRenamed("id", id_col).select(id_col, "component_id")

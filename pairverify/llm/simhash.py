@@ -213,12 +213,19 @@ def links(fps: DataFrame, k: int = 2, hot_group: int = 1 << 18) -> DataFrame:
     return done.select("t", "key", "fp").repartition("t", "key").sortWithinPartitions("t", "key").mapInArrow(search, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 2, shingle: int = 3, seed: int = 42, hot_group: int = 1 << 18) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 2, shingle: int = 3, seed: int = 42, hot_group: int = 1 << 18, similarity: tuple[int, int] | None = None) -> DataFrame:
     """One row per document: id, fp (signed 64-bit) and component_id, the smallest id reachable over links.
 
+    similarity: then documents are linked by the Jaccard similarity of their shingle sets instead, exactly: the index's
+    links are checked, and completed by what its bits can't reach (see shingles); the rows have no fp.
+
     Null and empty texts have no words and so fingerprint zero, linked like any other. Rows that repeat an id stay, one
     row each; a null id counts for no minimum. Other columns of docs play no part. An empty table gives no rows.
     """
+    if similarity:
+        from .shingles import near_duplicates as by_similarity
+
+        return by_similarity(docs, id_col, text_col, shingle, similarity, seed, k)
     marked = materialize(fingerprints(docs, id_col, text_col, shingle, seed), "fingerprints")
     groups = materialize(marked.groupBy("fp").agg(F.min("id").alias("least"), F.count("*").alias("n")), "groups")
     return components_of(marked, groups, links(groups.select("fp"), k, hot_group), "fp").withColumnRenamed("id", id_col)
