@@ -114,7 +114,7 @@ def removed(rows, window):
     return sorted(out, key=str)
 
 
-@pytest.mark.parametrize("options", [{}, {"group": 5, "slot_bits": 4, "batch": 100}])
+@pytest.mark.parametrize("options", [{}, {"group": 5, "slot_bits": 4, "batch": 100}, {"label_bits": 5}])
 @pytest.mark.parametrize("window", [13, 3])
 def test_repeats(spark, texts, window, options):
     ids = [*range(len(texts) - 3), 5, 5, None]
@@ -216,8 +216,8 @@ def test_chunked_ids_equal_whole_texts(name, texts):
     path = tokenizing.tokenizer_file(name)
     all_ = [*EDGES, *(t or "" for t in texts)]
     plain = Tokenizer.from_file(path)
-    for most in (2_000_000, 5):
-        coder = tokenizing.ChunkEncoder(path, tokenizing.STYLES[name], most)
+    for most, bits in ((2_000_000, 64), (5, 64), (2_000_000, 4)):  # few bits: hashes collide
+        coder = tokenizing.ChunkEncoder(path, tokenizing.STYLES[name], most, bits)
         got = [ids[off[r] : off[r + 1]].tolist() for i, j, ids, off in coder.encode(pa.array(all_)) for r in range(j - i)]
         assert got == [e.ids for e in plain.encode_batch(all_, add_special_tokens=False)]
 
@@ -279,6 +279,20 @@ def test_level_choice_minimises_squares():
         p.put((0, 0, size), size)
 
 
+def test_rests_lie_where_the_rule_puts_them():
+    g = random.Random(8)
+    p, out, total = packing.SquaresPacker(1024), [], 0
+    for doc in range(6000):
+        size = g.randint(1, 1023)
+        total += size
+        out += p.put((doc, 0, size), size)
+    out += p.close()
+    pieces = [x for own in out for x in own]
+    assert sum(x[2] for x in pieces) == total and p.n_open == 0
+    assert all(sum(x[2] for x in own) == 1024 or sum(x[2] for x in own).bit_count() == 1 for own in out)
+    assert sum(x[2] for x in pieces if x[3]) >= 0.95 * total
+
+
 def test_token_files(spark, texts, tmp_path):
     from tokenizers import Tokenizer
 
@@ -290,11 +304,11 @@ def test_token_files(spark, texts, tmp_path):
         want[i] = (at, len(own), zlib.crc32(np.array(own, "<u4").tobytes()))
         at += len(own)
     path = f"file://{tmp_path}/tokens"
-    tokenfile.write(table(spark, texts, ids).repartition(5), path)
+    tokenfile.write(table(spark, texts, ids).repartition(5), path, file_bytes=2000)
     got = tokenfile.read(spark, path, with_ids=True).collect()
     assert {r["doc_id"]: (r["start"], r["n_tokens"], r["ids_crc32"]) for r in got} == want
     for f in sorted((tmp_path / "tokens").glob("part-*")):
-        _, stream, keys, starts = tokenfile.open_file(str(f))
+        _, stream, keys, _, starts = tokenfile.open_file(str(f))
         assert isinstance(stream, np.memmap)
         for k, key in enumerate(keys):
             assert zlib.crc32(stream[starts[k] : starts[k + 1]].astype("<u4").tobytes()) == want[key][2]
@@ -334,6 +348,31 @@ def test_cover_tree_holds_all_points_in_its_radii():
         assert (np.linalg.norm(x - centre, axis=1) <= tree.radii[level - 1][mine] + 1e-3).all()
         if level > 1:
             assert (tree.radii[level - 1] <= covertree.LEVEL_RADII[level - 2] + 1e-3).all()
+    assert covertree.level_radii(0.32) == (1.0, 0.5, 0.25, 0.125) and len(covertree.level_radii(0.0)) == 12
+
+
+def test_very_large_and_small_vectors(spark):
+    v = [[1.0, 2.0, 3.0], [1.0, 2.0, 3.01], [3.0, -2.0, 1.0]]
+    rows = [(3 * k + j, [x * s for x in own]) for k, s in enumerate((1e170, 1e-170, 1e300, 1e-308)) for j, own in enumerate(v)]
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in covertree.near_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()}
+    assert got == {i: (7, 0) if i % 3 < 2 else (3, 2) for i in range(12)}
+
+
+def test_ftrl_against_plain_formulas():
+    g = np.random.default_rng(2)
+    model, z, n = langid.FtrlSoftmax(3, 6, alpha=0.5, beta=1.0, l1=0.01, l2=0.1), np.zeros((6, 3)), np.zeros((6, 3))
+    for _ in range(50):
+        at, x, y = np.sort(g.choice(6, 3, replace=False)), g.random(3), int(g.integers(3))
+        w = [[0.0 if abs(z[f, c]) <= 0.01 else -(z[f, c] - math.copysign(0.01, z[f, c])) / ((1.0 + math.sqrt(n[f, c])) / 0.5 + 0.1) for c in range(3)] for f in at]
+        margin = [sum(v * own[c] for v, own in zip(x, w, strict=True)) for c in range(3)]
+        p = [math.exp(m) / sum(math.exp(k) for k in margin) for m in margin]
+        for f, v, own in zip(at, x, w, strict=True):
+            for c in range(3):
+                d = v * (p[c] - (c == y))
+                z[f, c] += d - (math.sqrt(n[f, c] + d * d) - math.sqrt(n[f, c])) / 0.5 * own[c]
+                n[f, c] += d * d
+        model.learn(at, x, y)
+    assert np.allclose(model.z, z) and np.allclose(model.n, n)
 
 
 def test_language(spark):
@@ -422,34 +461,57 @@ PERSONAL = [
 
 
 def test_personal_data(spark):
-    got = {r["doc_id"]: r for r in pii.replace_entities(table(spark, PERSONAL)).collect()}
+    got = {r["doc_id"]: r for r in pii.replace_entities(table(spark, PERSONAL), "k").collect()}
     t = {k: r["text"] for k, r in got.items()}
     assert [got[k]["n_entities"] for k in range(8)] == [3, 4, 3, 3, 1, 0, 0, 0]
     assert (t[5], t[6], t[7]) == (PERSONAL[5], "", None)
     for k in range(5):
         for e in re.findall("|".join([r"\S+@\S+com", r"\+1 \(\d+\) \d+-\d+", "AKIA\\w+", r"\d+\.\d+\.\d+\.\d+", r"\d{16}", r"\"[0-9a-f]{40}\"", r"\d{3}-\d\d-\d{4}", "Meier|Петров"]), PERSONAL[k]):
             assert e not in t[k]
-    mails = re.findall(r"[\w.]+@example\.\w+", t[0])
+    mails = re.findall(r"[\w.]+@\w+\.example\.(?:com|net|org)", t[0])
     assert len(mails) == 2 and len(set(mails)) == 1 and mails[0] in t[2] and re.fullmatch(r"[a-z]{2}\.[a-z]{4}", mails[0].split("@")[0])
     assert re.search(r"\+1 \(\d{3}\) \d{3}-\d{4}\.", t[0]) and re.search(r"AKIA[A-Z0-9]{16} password=[a-z0-9]{18} host 10(\.\d+){3} card 4\d{15}$", t[1])
     assert re.search(r"10(\.\d+){3}", t[1]).group() == t[4]
     card = [int(c) for c in re.search(r"card (\d{16})", t[1]).group(1)][::-1]
     assert sum(d if k % 2 == 0 else sum(divmod(2 * d, 10)) for k, d in enumerate(card)) % 10 == 0
     herr, frau, cyr = re.match(r"Herr (\w+) \w+ met Frau (\w+) and Г-н (\w+) \w+", t[3]).groups()
-    assert herr in pii.FIRST["latin", "m"] and frau in pii.LAST["latin"] and cyr in pii.FIRST["cyrillic", "m"]
-    assert pii.replace_entities(table(spark, [])).count() == 0
+    ends = lambda name, script, role: name.endswith(tuple(pii.TAILS[script, role]))
+    assert ends(herr, "latin", "m") and ends(frau, "latin", "last") and ends(cyr, "cyrillic", "m")
+    assert re.match(rf"Herr {herr} {frau} met Frau {frau} ", t[3])  # one surname, one surrogate
+    assert pii.replace_entities(table(spark, []), "k").count() == 0
     same = pii.replace_entities(table(spark, PERSONAL, [1, 1, 1, None, None, 2, 2, 2]), key="other").collect()
     assert len(same) == 8 and all("4111111111111111" not in (r["text"] or "") for r in same)
 
 
 def test_surrogates_stay_distinct(spark):
-    names = [f"Herr {a}{b}" for a in "ABCDEFGH" for b in ("abc", "def", "ghi", "jkl", "mno")] + ["Herr Becker", "Herr Weber"]
-    got = pii.surrogates(spark.createDataFrame([(n,) for n in names], "value string"), "k").collect()
-    assert len({r["surrogate"] for r in got}) == len(names) and not {r["surrogate"] for r in got} & set(names)
+    rows = [("last", f"N{k}", None, 1) for k in range(5000)] + [("email", f"{a}@x.de", None, 1) for a in "abcdefghijklmnopqrstuvwxyz0123456789"] + [("ipv4", f"10.0.0.{k}", None, 1) for k in range(50)]
+    got = pii.surrogates(spark.createDataFrame(rows, "kind string, value string, gender string, n long"), "k").collect()
+    assert len({r["surrogate"] for r in got}) == len(rows) and not {r["surrogate"] for r in got} & {r[1] for r in rows}
+    assert all(re.fullmatch(r"\d+(\.\d+){3}", r["surrogate"]) for r in got if r["kind"] == "ipv4")
+
+
+def test_names_are_followed(spark):
+    texts = ["Herr Hans Meier came. Meier left. Herr Meier slept. Hans's dog. Meierhof.", "Frau Meier; Meier", "Meier alone", "call +49 30 1234567 or +49301234567, BO@A.de bo@a.de"]
+    t = [r["text"] for r in pii.replace_entities(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), "k").orderBy("doc_id").collect()]
+    first, last = re.match(r"Herr (\w+) (\w+) came", t[0]).groups()
+    assert t[0] == f"Herr {first} {last} came. {last} left. Herr {last} slept. {first}'s dog. Meierhof." and t[1] == f"Frau {last}; {last}" and t[2] == texts[2]
+    a, b, c, d = re.match(r"call (\S+ \S+ \S+) or (\S+), (\S+) (\S+)", t[3]).groups()
+    assert a.replace(" ", "") == b and c.split("@")[0].lower() == d.split("@")[0] and c.split("@")[1] == d.split("@")[1] and c != c.lower()
+    with pytest.raises(ValueError, match="key"):
+        pii.replace_entities(spark.createDataFrame([(1, "x")], "doc_id long, text string"), "")
+
+
+def test_hmac_of_the_library(spark):
+    import hmac
+
+    rows = spark.createDataFrame([("a",), ("Größe",)], "x string")
+    for key in ("k", "long " * 30):
+        got = [r[0] for r in rows.select(pii.keyed_hash(F.col("x"), key)).collect()]
+        assert got == [hmac.new(key.encode(), x.encode(), "sha256").hexdigest() for x in ("a", "Größe")]
 
 
 def test_personal_data_stays_in_the_jvm(spark):
-    plan = pii.replace_entities(table(spark, PERSONAL))._jdf.queryExecution().executedPlan().toString()
+    plan = pii.replace_entities(table(spark, PERSONAL), "k")._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan
 
 

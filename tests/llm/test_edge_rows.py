@@ -67,7 +67,9 @@ def test_one_of_each_keeps_rows_without_id(spark):
 
 def test_personal_data_rows(spark):
     docs = rows(spark)
-    got = pii.replace_entities(docs)
+    got = pii.replace_entities(docs, "k")
+    clash = pii.replace_entities(docs.withColumn("n_entities", F.lit(-1)), "k")
+    assert clash.columns == [*docs.columns, "n_entities", "n_entities_2"] and {r["n_entities"] for r in clash.collect()} == {-1}
     assert ids(got) == IDS and set(got.columns) == {*docs.columns, "n_entities"}
     texts = [r["text"] for r in got.where("doc_id is null").collect()]
     assert None in texts and not any("some.body" in (t or "") or "10.20.30.40" in (t or "") for t in texts)
