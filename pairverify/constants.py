@@ -2,10 +2,13 @@
 
 TAU, KEEP_TAU, DRAW_TAU = 0.5, 0.6, 0.5
 N_EVAL, N_DRAW, N_TRAIN, SHOTS = 300, 500, 6000, 4
-WIDTH, BI_BUCKETS, CROSS_BUCKETS = 768, 2048, 1 << 15
+#: Queries drawn of each shape for training, tuning and evaluation together (all of a shape that has fewer), and how they are shared out.
+DRAWN_PER_SHAPE, SHARES = 680, {"train": 0.8, "tune": 0.1, "eval": 0.1}
+WIDTH, BI_BUCKETS, CROSS_BUCKETS = 768, 4096, 1 << 15
+#: Kinds of errors that no negative example for training has.
+HELD_KINDS = ("add_statement", "count_or_list")
 MARGIN = 0.5
 BINS = 20
-PER_SHAPE = 60
 #: Fixed weights of the document-quality scorer, for which SQL gives the same numbers: bias, distinct ratio, punctuation density, upper-case ratio, log tokens.
 QUALITY_WEIGHTS = (-3.0, 7.0, -14.0, -1.0, 0.3)
 #: Stand-in systems: share of wrong translations, kinds of errors in equal parts, whether they reason by themselves. These are inputs.

@@ -10,14 +10,15 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .text import ngrams
+from .text import bind, ngrams
 
 
 def _overlap(a: Column, b: Column) -> Column:
-    """Matches of a's entries in b, each entry of b used once."""
-    once = F.array_distinct(a)
+    """Matches of a's entries in b, each entry of b used once; a may be much longer than b."""
     count = lambda xs, g: F.size(F.filter(xs, lambda x: x == g))
-    return F.aggregate(once, F.lit(0), lambda s, g: s + F.least(count(a, g), count(b, g)))
+    known = lambda s: F.struct(F.filter(s["a"], lambda x: F.array_contains(s["b"], x)).alias("a"), s["b"].alias("b"))
+    matched = lambda s: F.aggregate(F.array_distinct(s["b"]), F.lit(0), lambda n, g: n + F.least(count(s["a"], g), count(s["b"], g)))
+    return bind(bind(F.struct(a.alias("a"), b.alias("b")), known), matched)
 
 
 def bleu_counts(candidate: Column, reference: Column, most: int = 4) -> list[tuple[Column, Column]]:
@@ -87,14 +88,20 @@ def lcs(a: Column, b: Column) -> Column:
 
 def rouge_l(candidate: Column, reference: Column, native: bool = False) -> dict[str, Column]:
     """Precision, recall and F1 of the longest common subsequence of token arrays."""
-    n = (lcs_native if native else lcs)(candidate, reference)
+    if native:  # words that only one side has can't be common
+        own = lambda s: F.struct(F.filter(s["a"], lambda x: F.array_contains(s["b"], x)).alias("a"), s["b"].alias("b"))
+        n = bind(bind(F.struct(candidate.alias("a"), reference.alias("b")), own), lambda s: lcs_native(s["a"], s["b"]))
+    else:
+        n = lcs(candidate, reference)
     p, r = n / F.nullif(F.size(candidate), F.lit(0)), n / F.nullif(F.size(reference), F.lit(0))
     f = F.coalesce(2 * p * r / F.nullif(p + r, F.lit(0.0)), F.lit(0.0))
     return {"p": F.coalesce(p, F.lit(0.0)), "r": F.coalesce(r, F.lit(0.0)), "f": f}
 
 
-def edit_distance(a: Column, b: Column, normal: bool = False) -> Column:
-    """Single-character edits; normal: 1 for equal texts down to 0."""
+def edit_distance(a: Column, b: Column, normal: bool = False, unit: str = "character") -> Column:
+    """Single-character edits, or edits of UTF-8 bytes; normal: 1 for equal texts down to 0."""
+    if unit == "byte":  # one character for each byte
+        a, b = (F.decode(F.encode(x, "UTF-8"), "ISO-8859-1") for x in (a, b))
     d = F.levenshtein(a, b)
     return 1 - d / F.greatest(F.length(a), F.length(b), F.lit(1)) if normal else d
 

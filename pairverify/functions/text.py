@@ -11,10 +11,15 @@ def tokens(text: Column) -> Column:
     return F.regexp_extract_all(F.lower(F.coalesce(text, F.lit(""))), F.lit(r"[\p{L}\p{N}]+"), F.lit(0))
 
 
+def bind(value: Column, then) -> Column:
+    """then(value) with value computed once, where then uses it within functions over array elements."""
+    return F.element_at(F.transform(F.array(value), then), 1)
+
+
 def ngrams(words: Column, n: int) -> Column:
     """Runs of n words joined by a space; none if there are fewer words."""
-    grams = F.transform(F.sequence(F.lit(1), F.size(words) - (n - 1)), lambda i: F.array_join(F.slice(words, i, n), " "))
-    return F.when(F.size(words) >= n, grams).otherwise(F.array().cast("array<string>"))
+    grams = lambda w: F.transform(F.sequence(F.lit(1), F.size(w) - (n - 1)), lambda i: F.array_join(F.slice(w, i, n), " "))
+    return F.when(F.size(words) >= n, bind(words, grams)).otherwise(F.array().cast("array<string>"))
 
 
 def bucket(text: Column, size: int) -> Column:

@@ -36,13 +36,14 @@ def hard(queries: DataFrame, kinds=tuple(WRONG), seed: int = 0) -> DataFrame:
     return all_.groupBy("query_id").agg(F.min_by(F.struct("kind", "text"), best).alias("n")).select("query_id", "n.kind", "n.text")
 
 
-def random_swap(pairs: DataFrame, text: str = "text", buckets: int = 16) -> DataFrame:
-    """Every query with another one's text: rings by md5 within buckets, none with itself, all in one ring if there are few."""
+def random_swap(pairs: DataFrame, text: str = "text", ring: int = 1000) -> DataFrame:
+    """Every query with another one's text: rings of about `ring` pairs by md5, none with itself."""
+    rings = max(1, pairs.count() // ring)
     pairs = pairs.withColumn("_order", F.md5(F.col("query_id").cast("string")))
-    pairs = pairs.withColumn("_ring", F.conv(F.substring("_order", 1, 4), 16, 10).cast("int") % buckets)
+    pairs = pairs.withColumn("_ring", F.conv(F.substring("_order", 1, 8), 16, 10).cast("bigint") % rings)
     # a ring of one joins ring 0, which takes all such; if that leaves one alone, it has no partner
     alone = pairs.groupBy("_ring").agg(F.count("*").alias("_n"))
-    pairs = pairs.join(F.broadcast(alone), "_ring").withColumn("_ring", F.when(F.col("_n") < 2, -1).otherwise(F.col("_ring")))
+    pairs = pairs.join(alone, "_ring").withColumn("_ring", F.when(F.col("_n") < 2, -1).otherwise(F.col("_ring")))
     w = Window.partitionBy("_ring").orderBy("_order", "query_id")
     whole = Window.partitionBy("_ring").orderBy("_order", "query_id").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     rows = pairs.withColumn("_other", F.coalesce(F.lead(F.struct("query_id", F.col(text))).over(w), F.first(F.struct("query_id", F.col(text))).over(whole)))

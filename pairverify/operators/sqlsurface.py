@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
@@ -29,7 +31,7 @@ def register(spark: SparkSession) -> None:
     @F.udtf(returnType="pos int, gram string")
     class Grams:
         def eval(self, text: str, n: int):
-            words = (text or "").split()
+            words = re.findall(r"[^ \t\n\x0b\f\r]+", text or "")
             for k in range(len(words) - n + 1):
                 yield k, " ".join(words[k : k + n])
 

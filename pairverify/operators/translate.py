@@ -74,8 +74,8 @@ def queries_to_questions(built: DataFrame, make: Callable[[], TextGenerator], re
     return built.join(done, "prompt_sha")
 
 
-def systems_answers(built: DataFrame, systems=tuple(SYSTEMS), seed: int = 0) -> DataFrame:
-    """Answers of all stand-in systems with their truth: adds system, kind, question, correct."""
+def systems_answers(built: DataFrame, systems=tuple(SYSTEMS), seed: int = 0, revised: bool = True) -> DataFrame:
+    """Last (or, if not revised, first) answers of stand-in systems with their truth: adds system, kind, question, correct."""
     ship()
     schema = built.select("query_id", "shape", "q_text", "described").schema.add("system", "string").add("kind", "string").add("question", "string").add("correct", "boolean")
 
@@ -86,7 +86,7 @@ def systems_answers(built: DataFrame, systems=tuple(SYSTEMS), seed: int = 0) ->
             for query_id, shape, q, described in frame[["query_id", "shape", "q_text", "described"]].itertuples(index=False):
                 notes = dict(x.split(": ", 1) for x in described if ": " in x)
                 for s, g in made.items():
-                    kind = g.decide(q, True)
+                    kind = g.decide(q, revised)
                     rows.append((query_id, shape, q, list(described), s, kind, g.say(q, kind, notes), kind in ("correct", "alias_from_description", "bad_grammar")))
             yield pd.DataFrame(rows, columns=schema.names)
 

@@ -57,43 +57,79 @@ def explain(rows: DataFrame, q: str = "q_text", t: str = "text") -> DataFrame:
 
 # -- cross-encoder -----------------------------------------------------------------------------------------------
 
-CUES = {"count": r"how many|number of|^count ", "ask": r"^(is it|does it|can it)", "rank": r"highest|lowest", "more": r"greater|at least", "less": r"less|at most", "equal": r"equal"}
-OPERATORS = {"count": r"COUNT\(", "ask": r"^ASK", "rank": r"ORDER BY", "more": r"FILTER\([^)]*>", "less": r"FILTER\([^)]*<", "equal": r"FILTER\([^)]* = "}
 TERM = r'(\[[^\]]*\]|\?\w+|_:\w+|"[^"]*"|-?\d+(?:\.\d+)?)'
 PATTERN = re.compile(rf"{TERM} (\[[^\]]*\]) {TERM} \.")
+OPERATOR = re.compile(r"\b(?:ASK|COUNT|SUM|AVG|MIN|MAX|DISTINCT|FILTER|ORDER|DESC|LIMIT|GROUP)\b|[<>!]?=|[<>](?=\s*-?\d)")
+WORD = re.compile(r"'s\b|[\w#]+(?:[-.]\w+)*")
 
 
-def _said(term: str) -> str:
-    return (term[1:-1] if term[0] in '["' else f"some {term[2:]}" if term[0] == "_" else term[1:].upper() if term[0] == "?" else term).lower()
+def _said(term: str) -> tuple[str, ...]:
+    """The words that a term goes by: a label's or literal's, a variable's capital, a blank node's name."""
+    if term[0] in '["':
+        return tuple(WORD.findall(term[1:-1].lower()))
+    return ("some", term[2:].lower()) if term[0] == "_" else (term[1:].upper(),) if term[0] == "?" else (term,)
+
+
+def _spots(words: list[str], low: list[str], said: tuple[str, ...]) -> list[tuple[int, int]]:
+    """Where a term stands; a variable is a word of capitals."""
+    own = words if len(said) == 1 and said[0].isupper() else low
+    n = len(said)
+    return [(k, k + n) for k in range(len(own) - n + 1) if tuple(own[k : k + n]) == said] if n else []
+
+
+def _shortest(heads, relations, tails):
+    """Of the places of a pattern's three terms, those that stand closest together and don't overlap."""
+    best = None
+    for r in relations:
+        h = min((x for x in heads if x[1] <= r[0] or x[0] >= r[1]), key=lambda x: abs(x[0] - r[0]), default=None)
+        o = min((x for x in tails if x != h and (x[1] <= r[0] or x[0] >= r[1])), key=lambda x: abs(x[0] - r[0]), default=None)
+        if h and o:
+            size = max(h[1], r[1], o[1]) - min(h[0], r[0], o[0])
+            if best is None or size < best[0]:
+                best = (size, h, r, o)
+    return best
 
 
 def joint_features(q: str, t: str, context: str = "both") -> list[str]:
-    """Tokens of a pair read together: words by side, crossed cues, direction of every relation, and coverage."""
-    out, low = [], t.lower()
-    words = re.findall(r"[\w#]+", low)
-    out += [f"t:{w}" for w in words if not w[-1].isdigit()] + ([f"t:{a}_{b}" for a, b in zip(words, words[1:], strict=False)][: len(words)] if context == "both" else [])
-    for cue, form in CUES.items():
-        out.append(f"x:{cue}:{bool(re.search(form, low))}:{bool(re.search(OPERATORS[cue], q))}")
+    """Features of a pair read together; what they mean is learned.
+
+    Words and word pairs of the question; every operator of the query crossed with every word that names nothing; for each
+    pattern of the query the shortest stretch of the question that holds its three terms, with H, R and O in their places,
+    as runs of two and three and as a whole; and counts of terms that the other side lacks. context "left" keeps, of the
+    stretches, only what a reader knows before the last of the three terms.
+    """
+    words = WORD.findall(t)
+    low = [w.lower() for w in words]
+    plain = [w for w in low if w.isalpha() or w == "'s"]
+    out = [f"t:{w}" for w in plain] + [f"t:{a}_{b}" for a, b in zip(plain, plain[1:], strict=False)]
+    out += [f"x:{op}:{w}" for op in {"SELECT", *OPERATOR.findall(q)} for w in set(plain)]
     patterns = PATTERN.findall(q)
-    clauses = low.count(" and ") + 1 if patterns else 0
-    out.append(f"n:{max(-3, min(3, clauses - len(patterns) - q.count('FILTER(')))}")
-    right = lost = turned = 0
+    told: dict[tuple, int] = {}
     for h, r, o in patterns:
-        h, r, o = map(_said, (h, r, o))
-        good = (f"{o} is the {r} of {h}", f"{h} has the {r} {o}", f"the {r} for {h} is {o}", f"{o} {r} of {h}", f"{h} has {r} {o}", f"{r} for {h} {o}")
-        bad = (f"{h} is the {r} of {o}", f"{o} has the {r} {h}", f"the {r} for {o} is {h}", f"{h} {r} of {o}", f"{o} has {r} {h}", f"{r} for {o} {h}")
-        if any(g in low for g in good):
-            right += 1
-        elif any(b in low for b in bad) and h != o:
-            turned += 1
-        else:
-            lost += 1
-    out += [f"right:{right == len(patterns)}", f"turned:{min(turned, 2)}", f"lost:{min(lost, 2)}"]
-    labels = {x[1:-1].lower() for x in re.findall(r"\[[^\]]*\]", q)}
-    literals = set(re.findall(r'"([^"]*)"', q)) | set(re.findall(r"(?<=[<>=] )-?\d+(?:\.\d+)?", q))
-    out.append(f"gone:{min(3, sum(x not in low for x in labels))}")
-    out.append(f"literals:{min(2, sum(x.lower() not in low for x in literals))}")
-    out.append(f"extra:{min(3, sum(w.lower() not in q.lower() for w in re.findall(r'(?<=\s)[A-Z][a-z]{2,}', t)))}")
+        places = [_spots(words, low, _said(x)) for x in (h, r, o)]
+        told[_said(r)] = told.get(_said(r), 0) + 1
+        out += [f"lost:{n}" for n, own in zip("hro", places, strict=True) if not own]
+        best = _shortest(*places)
+        if not best:
+            continue
+        size, *spots = best
+        lo = min(x[0] for x in spots)
+        held = {x[0]: n for x, n in zip(spots, "HRO", strict=True)}
+        inside = {k for x in spots for k in range(x[0] + 1, x[1])}
+        stretch = [held.get(k, low[k]) for k in range(lo, lo + min(size, 16)) if k not in inside]
+        if context == "left":
+            stretch = stretch[: max(k for k, w in enumerate(stretch) if w in "HRO")] if len(stretch) > 1 else stretch
+        out += [f"s{n}:{'_'.join(stretch[k : k + n])}" for n in (2, 3) for k in range(len(stretch) - n + 1)]
+        out.append("S:" + "_".join(stretch))
+    for said, n in told.items():
+        out.append(f"often:{max(-2, min(2, len(_spots(words, low, said)) - n))}")
+    labels = {_said(x) for x in re.findall(r"\[[^\]]*\]", q)} | {_said(x) for x in re.findall(r'"[^"]*"', q)}
+    named = {w for x in labels for w in x}
+    out.append(f"gone:{min(3, sum(not _spots(words, low, x) for x in labels))}")
+    out.append(f"extra:{min(3, sum(w[0].isupper() and len(w) > 2 and w.lower() not in named for w in words[1:]))}")
+    numbers = set(re.findall(r"(?<=[<>=] )-?\d+(?:\.\d+)?|(?<=LIMIT )\d+", q))
+    out.append(f"numbers:{min(3, len(numbers ^ {w for w in words if re.fullmatch(r'-?[0-9]+(?:[.][0-9]+)?', w)} - named))}")
+    out.append(f"and:{max(-3, min(3, low.count('and') + 1 - len(patterns) - q.count('FILTER(')))}")
     return out
 
 
@@ -127,6 +163,7 @@ class CrossEncoder:
         rows.unpersist()
         out = CrossEncoder(made)
         out.buckets, out.options = buckets, options
+        out.losses = list(made.summary().objectiveHistory if head == "mlp" else made.summary.objectiveHistory)
         return out
 
     def score(self, pairs: DataFrame, out: str = "score") -> DataFrame:
@@ -152,11 +189,26 @@ def contrastive_loss(cos: Column, y: Column, margin: float = MARGIN) -> Column:
     return (y * d * d + (1 - y) * F.pow(F.greatest(margin - d, F.lit(0.0)), 2)) / 2
 
 
+def bare_words(text: str) -> list[str]:
+    """A query's or question's words with names, literals and numbers as one word, so that their order can be learned for all of them."""
+    text = re.sub(r'"[^"]*"', " NAME ", text)
+    text = re.sub(r"\[([^\]]*)\]", lambda m: " NAME " if re.search(r"[A-Z#\d]", m[1]) else f" {m[1]} ", text)
+    text = re.sub(r"\?(\w+)|_:(\w+)", lambda m: f" {(m[1] or 'some ' + m[2]).upper()} ", text)
+    out: list[str] = []
+    for k, w in enumerate(re.findall(r"'s\b|[\w#]+(?:[-.]\w+)*|[{}<>=]", text)):
+        name = w != "NAME" and (re.search(r"[#\d]", w) or len(w) > 2 and w[0].isupper() and k > 0 and not w.isupper())
+        w = "NAME" if name else w
+        if not (w == "NAME" and out[-1:] == ["NAME"]):
+            out.append(w)
+    return out
+
+
 def hashed_grams(text: str, buckets: int) -> np.ndarray:
+    """Buckets of a text's words, and of runs of one to four of its words without their names."""
     import zlib
 
-    words = re.findall(r"[^\W_]+", text.lower())
-    grams = words + [f"{a} {b}" for a, b in zip(words, words[1:], strict=False)] + [f"^{w}$"[k : k + 4] for w in words for k in range(max(1, len(w) - 1))]
+    words, bare = re.findall(r"[^\W_]+", text.lower()), bare_words(text)
+    grams = words + [f"{n}:{' '.join(bare[k : k + n])}" for n in (1, 2, 3, 4) for k in range(len(bare) - n + 1)]
     return np.array([zlib.crc32(g.encode()) % buckets for g in grams] or [0], np.int64)
 
 
@@ -176,56 +228,77 @@ class BiEncoder:
 
     @staticmethod
     def gradient(table: np.ndarray, rows, margin: float = MARGIN) -> tuple[dict[int, np.ndarray], float]:
-        """Sum of gradients by touched bucket and of losses over (q, t, y) rows."""
+        """Sum of gradients by touched bucket and of losses over (q, t, y) rows, some hundred rows at a time."""
         out: dict[int, np.ndarray] = {}
-        loss = 0.0
-        for q, t, y in rows:
-            gq, gt = hashed_grams(q, len(table)), hashed_grams(t, len(table))
-            u, v = table[gq].mean(0), table[gt].mean(0)
-            nu, nv = max(float(np.linalg.norm(u)), 1e-12), max(float(np.linalg.norm(v)), 1e-12)
-            a, b = u / nu, v / nv
-            c = float(a @ b)
+        loss, rows = 0.0, list(rows)
+        for lo in range(0, len(rows), 128):
+            part = rows[lo : lo + 128]
+            y = np.array([r[2] for r in part])
+            sides = []
+            for k in (0, 1):
+                grams = [hashed_grams(r[k], len(table)) for r in part]
+                size = np.array([len(g) for g in grams])
+                flat = np.concatenate(grams)
+                mean = np.add.reduceat(table[flat], np.cumsum(size) - size, axis=0) / size[:, None]
+                norm = np.maximum(np.linalg.norm(mean, axis=1), 1e-12)[:, None]
+                sides.append((flat, size, mean / norm, norm))
+            (_, _, a, na), (_, _, b, nb) = sides
+            c = np.einsum("ij,ij->i", a, b)
             d = 1 - c
-            short = max(margin - d, 0.0)
-            loss += (y * d * d + (1 - y) * short * short) / 2
-            dc = -d if y else short
-            if dc:
-                for g, side in ((gq, dc * (b - c * a) / nu / len(gq)), (gt, dc * (a - c * b) / nv / len(gt))):
-                    for k in g.tolist():
-                        out[k] = out[k] + side if k in out else side.astype(np.float32)
+            short = np.maximum(margin - d, 0.0)
+            loss += float(((y * d * d + (1 - y) * short * short) / 2).sum())
+            dc = np.where(y > 0, -d, short)[:, None]
+            for (flat, size, _, _), side in zip(sides, (dc * (b - c[:, None] * a) / na, dc * (a - c[:, None] * b) / nb), strict=True):
+                each = np.repeat(np.arange(len(size)), size)
+                order = np.argsort(flat, kind="stable")
+                first = np.flatnonzero(np.append(True, flat[order][1:] != flat[order][:-1]))
+                sums = np.add.reduceat((side / size[:, None])[each[order]], first, axis=0)
+                for k, g in zip(flat[order][first].tolist(), sums, strict=True):
+                    out[k] = out[k] + g if k in out else g.astype(table.dtype)
         return out, loss
 
     @staticmethod
-    def fit(pairs: DataFrame, epochs: int = 10, rate: float = 0.1, margin: float = MARGIN, buckets: int = BI_BUCKETS, width: int = WIDTH, seed: int = 1) -> "BiEncoder":
-        """Full-batch Adagrad: tasks sum gradients by bucket, one shuffle adds them up, the driver takes the step.
+    def pass_over(table: np.ndarray, seen: np.ndarray, rows: list, margin: float, rate: float, batch: int) -> float:
+        """One pass of Adagrad over rows in small batches; table and seen change in place. Returns the summed loss."""
+        total = 0.0
+        for lo in range(0, len(rows), batch):
+            part = rows[lo : lo + batch]
+            sums, loss = BiEncoder.gradient(table, part, margin)
+            total += loss
+            if sums:
+                k = np.fromiter(sums, np.int64, len(sums))
+                g = np.stack(list(sums.values())) / len(part)
+                seen[k] += (g * g).sum(1, keepdims=True)
+                table[k] -= rate * g / np.sqrt(seen[k])
+        return total
+
+    @staticmethod
+    def fit(pairs: DataFrame, epochs: int = 6, rate: float = 0.4, margin: float = MARGIN, buckets: int = BI_BUCKETS, width: int = WIDTH, seed: int = 1, tasks: int = 8, batch: int = 64) -> "BiEncoder":
+        """Adagrad in `tasks` parts whose tables are averaged after every pass, for the bounded sample that is trained on.
 
-        What comes back is one row for each touched bucket, never more than the table has.
+        What comes back of a pass is one table and its step sizes from each part, so the driver holds `tasks` of them.
         """
         ship()
         spark = pairs.sparkSession
-        table, seen, losses = start_table(buckets, width, seed), np.full((buckets, 1), 1e-8), []
-        rows = pairs.select("q_text", "text", F.col("label").cast("int").alias("label")).cache()
+        table, seen, losses = start_table(buckets, width, seed), np.full((buckets, 1), 1e-8, np.float32), []
+        rows = pairs.select("q_text", "text", F.col("label").cast("int").alias("label"), F.xxhash64("q_text", "text", F.lit(seed)).alias("order"))
+        rows = rows.repartition(tasks, "order").sortWithinPartitions("order").drop("order").cache()
         for _ in range(epochs):
-            shared = spark.sparkContext.broadcast(table)
-
-            def partial(frames, shared=shared):
-                for f in frames:
-                    g, loss = BiEncoder.gradient(shared.value, f.itertuples(index=False), margin)
-                    yield pd.DataFrame({"bucket": [-1, *g], "g": [np.array([loss, len(f)], "<f4").tobytes(), *(x.astype("<f4").tobytes() for x in g.values())]})
-
-            def add(key, f):
-                return pd.DataFrame({"bucket": [key[0]], "g": [np.sum([np.frombuffer(x, "<f4") for x in f["g"]], axis=0, dtype=np.float32).tobytes()]})
-
-            got = rows.mapInPandas(partial, "bucket long, g binary").groupBy("bucket").applyInPandas(add, "bucket long, g binary").collect()
-            sums = {r["bucket"]: np.frombuffer(bytes(r["g"]), "<f4") for r in got}
-            loss, n = sums.pop(-1, np.array([0.0, 1.0]))
-            losses.append(float(loss / max(n, 1)))
-            if sums:
-                k = np.array(sorted(sums))
-                g = np.stack([sums[i] for i in k.tolist()]).astype(np.float64) / max(n, 1)
-                seen[k] += (g * g).sum(1, keepdims=True)
-                table = table.copy()
-                table[k] -= (rate * g / np.sqrt(seen[k])).astype(np.float32)
+            shared = spark.sparkContext.broadcast((table, seen))
+
+            def part(frames, shared=shared):
+                own, steps = (x.copy() for x in shared.value)
+                rows = [r for f in frames for r in f.itertuples(index=False, name=None)]
+                if rows:
+                    loss = BiEncoder.pass_over(own, steps, rows, margin, rate, batch)
+                    yield pd.DataFrame({"table": [own.astype("<f4").tobytes()], "seen": [steps.astype("<f4").tobytes()], "loss": [loss], "n": [len(rows)]})
+
+            got = rows.mapInPandas(part, "table binary, seen binary, loss double, n long").collect()
+            if got:
+                weight = np.array([r["n"] for r in got], np.float32) / sum(r["n"] for r in got)
+                table = sum(w * np.frombuffer(bytes(r["table"]), "<f4").reshape(table.shape) for w, r in zip(weight, got, strict=True))
+                seen = sum(w * np.frombuffer(bytes(r["seen"]), "<f4").reshape(seen.shape) for w, r in zip(weight, got, strict=True))
+                losses.append(sum(r["loss"] for r in got) / sum(r["n"] for r in got))
             shared.unpersist()
         rows.unpersist()
         return BiEncoder(table, losses)

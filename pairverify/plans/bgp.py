@@ -10,6 +10,7 @@ from pairverify.plans.querytext import parse
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+MOST_FACTS = 10_000
 AGGREGATES = {"SUM": F.sum, "AVG": F.avg, "MIN": F.min, "MAX": F.max}
 
 
@@ -67,6 +68,10 @@ def match(kg: DataFrame, p: tuple) -> DataFrame:
     return rows.select(*[c.alias(k) for k, c in cols.items()]) if cols else rows.select(F.lit(1).alias("_hit")).limit(1)
 
 
+def _compare(a: Column, op: str, b: Column) -> Column:
+    return {">": a > b, "<": a < b, ">=": a >= b, "<=": a <= b, "=": a == b, "!=": a != b}[op]
+
+
 def _condition(left: str, op: str, right: str, columns: list[str]) -> Column:
     def side(t: str, number: bool, time: bool) -> Column:
         if _free(t):
@@ -78,7 +83,7 @@ def _condition(left: str, op: str, right: str, columns: list[str]) -> Column:
     number = bool(fixed) and not any(t[:1] == '"' for t in (left, right) if not _free(t))
     time = bool(fixed) and len(fixed[0]) == 10 and fixed[0][4:5] == "-"
     a, b = (side(t, number, time) for t in (left, right))
-    return {">": a > b, "<": a < b, ">=": a >= b, "<=": a <= b, "=": a == b, "!=": a != b}[op]
+    return _compare(a, op, b)
 
 
 def bindings(query: dict, kg: DataFrame) -> DataFrame:
@@ -94,10 +99,17 @@ def bindings(query: dict, kg: DataFrame) -> DataFrame:
             extra = [c for c in m.columns if c not in out.columns]
             if shared:
                 out = out.join(m.select(*shared, *extra), shared)
-            else:  # two facts about one fixed node: few rows each
-                out = out.withColumn("_node", F.lit(1)).join(m.select(*extra, F.lit(1).alias("_node")), "_node").drop("_node")
-    for f in query["filters"]:
-        out = out.where(_condition(*f, out.columns))
+            else:  # two facts about one fixed node: the second has so few rows that they can be sent to all tasks, or it is refused
+                if m.limit(MOST_FACTS + 1).count() > MOST_FACTS:
+                    raise ValueError(f"more than {MOST_FACTS} facts about one node would be combined with all others")
+                out = out.join(F.broadcast(m.select(*extra)), F.lit(True))
+    for left, op, right in query["filters"]:
+        if isinstance(right, dict):  # one row with one number
+            inner = evaluate(right, kg).limit(1).toDF("_inner").withColumn("_inner", F.col("_inner").cast("double"))
+            left = F.col(_name(left) + "__num" if _name(left) + "__num" in out.columns else _name(left))
+            out = out.join(F.broadcast(inner), _compare(left.cast("double"), op, F.col("_inner"))).drop("_inner")
+        else:
+            out = out.where(_condition(left, op, right, out.columns))
     return out
 
 

@@ -1,10 +1,10 @@
-"""The query workload: shapes bound to entities of the star schema, drawn in md5 order so that SQL can draw the same."""
+"""The query workload: shapes bound to all entities of the star schema, and samples of it in md5 order."""
 
 from __future__ import annotations
 
 from functools import reduce
 
-from pairverify.constants import PER_SHAPE
+from pairverify.constants import DRAWN_PER_SHAPE, SHARES
 from pairverify.functions.text import sample_md5
 from pairverify.sources.tables import table
 from pyspark.sql import DataFrame, SparkSession
@@ -29,23 +29,31 @@ SHAPES = {
 }
 
 
-def shape_queries(spark: SparkSession, sf_dir: str, shape: str, per_shape: int = PER_SHAPE) -> DataFrame:
+def shape_queries(spark: SparkSession, sf_dir: str, shape: str, per_shape: int | None = None) -> DataFrame:
+    """Queries of one shape for all rows of its table, or for per_shape of them."""
     import re
 
     name, key, text = SHAPES[shape]
-    rows = sample_md5(table(spark, sf_dir, name).dropDuplicates([key]) if name != "lineitem" else table(spark, sf_dir, name).groupBy("l_orderkey").agg(F.min("l_partkey").alias("l_partkey")), key, per_shape)
+    rows = table(spark, sf_dir, name) if name != "lineitem" else table(spark, sf_dir, name).groupBy("l_orderkey").agg(F.min("l_partkey").alias("l_partkey"))
+    rows = sample_md5(rows, key, per_shape) if per_shape else rows
     parts = re.split(r"\{(\w+)\}", text)
     sparql = F.concat(*[F.lit(p) if k % 2 == 0 else F.col(p).cast("string") for k, p in enumerate(parts)])
     return rows.select(F.concat(F.lit(f"{shape}:"), F.col(key).cast("string")).alias("query_id"), F.lit(shape).alias("shape"), sparql.alias("sparql"))
 
 
-def build(spark: SparkSession, sf_dir: str, per_shape: int = PER_SHAPE, shapes=None) -> DataFrame:
-    """query_id, shape, sparql."""
+def build(spark: SparkSession, sf_dir: str, per_shape: int | None = None, shapes=None) -> DataFrame:
+    """query_id, shape, sparql: the whole workload, which grows with the tables, or per_shape queries of each shape."""
     return reduce(DataFrame.unionAll, [shape_queries(spark, sf_dir, s, per_shape) for s in shapes or SHAPES])
 
 
+def drawn(spark: SparkSession, sf_dir: str, per_shape: int = DRAWN_PER_SHAPE) -> DataFrame:
+    """The sample that verifiers are trained, tuned and judged on: about 6,000 queries for training where the tables have them."""
+    return build(spark, sf_dir, per_shape)
+
+
 def split(df: DataFrame, key: str = "query_id") -> DataFrame:
-    """Adds split (train 60 %, eval 40 %) by the query's md5, so no query is on both sides."""
+    """Adds split (train, tune, eval) by a second md5 of the query's id, so no query is on two sides."""
     from pairverify.functions.text import md5_share
 
-    return df.withColumn("split", F.when(md5_share(F.col(key)) < 0.6, "train").otherwise("eval"))
+    share = md5_share(F.concat(F.lit("split|"), F.col(key).cast("string")))
+    return df.withColumn("split", F.when(share < SHARES["train"], "train").when(share < SHARES["train"] + SHARES["tune"], "tune").otherwise("eval"))

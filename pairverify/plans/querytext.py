@@ -1,7 +1,7 @@
 """A subset of SPARQL as text and as a plain structure: parse, render, canonical form, questions, and wrong near-twins.
 
 Terms are strings as they stand in the text: <iri>, [label], ?variable, _:blank, "literal" or a number. A query is a
-dict: form (select, ask, count), distinct, vars, patterns (triples), filters ((left, op, right)), order ((var,
+dict: form (select, ask, count), distinct, vars, patterns (triples), filters ((left, op, right), where right may be a query of its own), order ((var,
 ascending) or None), limit, group, fn. Parsing and printing are each other's inverse.
 """
 
@@ -35,66 +35,74 @@ def parse(text: str) -> dict:
     def peek() -> str:
         return words[at].upper() if at < len(words) else ""
 
-    q = {"form": "select", "distinct": False, "vars": [], "patterns": [], "filters": [], "order": None, "limit": None, "group": [], "fn": None}
-    if peek() == "ASK":
-        take()
-        q["form"] = "ask"
-    else:
-        take("SELECT")
-        while peek() not in ("WHERE", "{"):
-            if peek() == "DISTINCT":
-                take()
-                q["distinct"] = True
-            elif peek() == "(":
-                take()
-                fn = take().upper()
-                if fn not in FUNCTIONS:
-                    raise ValueError(f"unknown function {fn}")
-                take("(")
-                inner = peek() == "DISTINCT"
-                if inner:
-                    take()
-                var = take()
-                take(")")
-                take("AS")
-                q["form"], q["fn"] = "count" if fn == "COUNT" else "aggregate", {"fn": fn, "var": var, "distinct": inner, "as": take()}
-                take(")")
-            else:
-                q["vars"].append(take())
-    if peek() == "WHERE":
-        take()
-    take("{")
-    while peek() != "}":
-        if peek() == "FILTER":
+    def one(nested: bool = False) -> dict:
+        q = {"form": "select", "distinct": False, "vars": [], "patterns": [], "filters": [], "order": None, "limit": None, "group": [], "fn": None}
+        if peek() == "ASK":
             take()
-            take("(")
-            q["filters"].append((take(), take(), take()))
-            take(")")
+            q["form"] = "ask"
         else:
-            q["patterns"].append((take(), take(), take()))
-        if peek() == ".":
+            take("SELECT")
+            while peek() not in ("WHERE", "{"):
+                if peek() == "DISTINCT":
+                    take()
+                    q["distinct"] = True
+                elif peek() == "(":
+                    take()
+                    fn = take().upper()
+                    if fn not in FUNCTIONS:
+                        raise ValueError(f"unknown function {fn}")
+                    take("(")
+                    inner = peek() == "DISTINCT"
+                    if inner:
+                        take()
+                    var = take()
+                    take(")")
+                    take("AS")
+                    q["form"], q["fn"] = "count" if fn == "COUNT" else "aggregate", {"fn": fn, "var": var, "distinct": inner, "as": take()}
+                    take(")")
+                else:
+                    q["vars"].append(take())
+        if peek() == "WHERE":
             take()
-    take("}")
-    while at < len(words):
-        word = take().upper()
-        if word == "GROUP":
-            take("BY")
-            while peek().startswith("?"):
-                q["group"].append(take())
-        elif word == "ORDER":
-            take("BY")
-            way = take().upper() if peek() in ("ASC", "DESC") else "ASC"
-            inner = peek() == "("
-            if inner:
+        take("{")
+        while peek() != "}":
+            if peek() == "FILTER":
                 take()
-            q["order"] = (take(), way == "ASC")
-            if inner:
+                take("(")
+                left, op = take(), take()
+                right = take()
+                if right == "(":  # a query of its own that gives one number
+                    right = one(nested=True)
+                    take(")")
+                q["filters"].append((left, op, right))
+                take(")")
+            else:
+                q["patterns"].append((take(), take(), take()))
+            if peek() == ".":
                 take()
-        elif word == "LIMIT":
-            q["limit"] = int(take())
-        else:
-            raise ValueError(f"unknown clause {word}")
-    return q
+        take("}")
+        while at < len(words) and not (nested and peek() == ")"):
+            word = take().upper()
+            if word == "GROUP":
+                take("BY")
+                while peek().startswith("?"):
+                    q["group"].append(take())
+            elif word == "ORDER":
+                take("BY")
+                way = take().upper() if peek() in ("ASC", "DESC") else "ASC"
+                inner = peek() == "("
+                if inner:
+                    take()
+                q["order"] = (take(), way == "ASC")
+                if inner:
+                    take()
+            elif word == "LIMIT":
+                q["limit"] = int(take())
+            else:
+                raise ValueError(f"unknown clause {word}")
+        return q
+
+    return one()
 
 
 def render(q: dict) -> str:
@@ -105,7 +113,7 @@ def render(q: dict) -> str:
         if f := q["fn"]:
             parts.append(f"({f['fn']}({'DISTINCT ' if f['distinct'] else ''}{f['var']}) AS {f['as']})")
         head = "SELECT " + " ".join(parts)
-    body = [" ".join(p) + " ." for p in q["patterns"]] + [f"FILTER({a} {op} {b})" for a, op, b in q["filters"]]
+    body = [" ".join(p) + " ." for p in q["patterns"]] + [f"FILTER({a} {op} {'(' + render(b) + ')' if isinstance(b, dict) else b})" for a, op, b in q["filters"]]
     tail = f" GROUP BY {' '.join(q['group'])}" if q["group"] else ""
     if q["order"]:
         tail += f" ORDER BY {'ASC' if q['order'][1] else 'DESC'}({q['order'][0]})"
@@ -131,7 +139,7 @@ def canonical(q: dict) -> str:
     swap = lambda t: name.get(t, t)
     c = copy.deepcopy(q)
     c["patterns"] = sorted(tuple(map(swap, p)) for p in q["patterns"])
-    c["filters"] = sorted((swap(a), op, swap(b)) for a, op, b in q["filters"])
+    c["filters"] = sorted((swap(a), op, f"({canonical(b)})" if isinstance(b, dict) else swap(b)) for a, op, b in q["filters"])
     c["vars"], c["group"] = [swap(v) for v in q["vars"]], [swap(v) for v in q["group"]]
     c["order"] = (swap(q["order"][0]), q["order"][1]) if q["order"] else None
     if c["fn"]:
@@ -149,6 +157,10 @@ COMPARE = {">": "is greater than", "<": "is less than", ">=": "is at least", "<=
 FLIPPED = {">": "<", "<": ">", ">=": "<=", "<=": ">=", "=": "!=", "!=": "="}
 
 
+#: Wordings; training questions take the first three, the last one is that of people and never trained on.
+FAMILIES = 4
+
+
 def _say(term: str) -> str:
     if term[:1] in "[<":
         return term[1:-1]
@@ -159,11 +171,11 @@ def _say(term: str) -> str:
 
 def _phrase(p: tuple, family: int) -> str:
     h, r, t = map(_say, p)
-    return (f"{t} is the {r} of {h}", f"{h} has the {r} {t}", f"the {r} for {h} is {t}")[family % 3]
+    return (f"{t} is the {r} of {h}", f"{h} has the {r} {t}", f"the {r} for {h} is {t}", f"{h}'s {r} is {t}")[family % FAMILIES]
 
 
 def question(q: dict, family: int = 0) -> str:
-    """An English question with the query's meaning, in one of three wordings."""
+    """An English question with the query's meaning, in one of four wordings."""
     said = [_phrase(p, family) for p in q["patterns"]] + [f"{_say(a)} {COMPARE[op]} {_say(b)}" for a, op, b in q["filters"]]
     where = " and ".join(said)
     what = " and ".join(map(_say, q["vars"]))
@@ -171,13 +183,13 @@ def question(q: dict, family: int = 0) -> str:
     if q["order"]:
         tail = f", {'first' if q['limit'] else 'sorted'} by the {'lowest' if q['order'][1] else 'highest'} {_say(q['order'][0])}" + (f", only {q['limit']}" if q["limit"] else "")
     if q["form"] == "ask":
-        return (f"Is it true that {where}?", f"Does it hold that {where}?", f"Can it be said that {where}?")[family % 3]
+        return (f"Is it true that {where}?", f"Does it hold that {where}?", f"Can it be said that {where}?", f"Do we know that {where}?")[family % FAMILIES]
     if q["form"] == "count":
         v = ("different " if q["fn"]["distinct"] else "") + _say(q["fn"]["var"])
-        return (f"How many {v} are there such that {where}?", f"What is the number of {v} for which {where}?", f"Count the {v} where {where}.")[family % 3]
+        return (f"How many {v} are there such that {where}?", f"What is the number of {v} for which {where}?", f"Count the {v} where {where}.", f"Tell me how many {v} exist if {where}.")[family % FAMILIES]
     if q["form"] == "aggregate":
         what = f"{q['fn']['fn'].lower()} of {_say(q['fn']['var'])}" + (f" for each {' and '.join(map(_say, q['group']))}" if q["group"] else "")
-    return (f"What is {what} such that {where}{tail}?", f"Which {what} satisfy that {where}{tail}?", f"Give {what} where {where}{tail}.")[family % 3]
+    return (f"What is {what} such that {where}{tail}?", f"Which {what} satisfy that {where}{tail}?", f"Give {what} where {where}{tail}.", f"Tell me {what} if {where}{tail}.")[family % FAMILIES]
 
 
 def understand(text: str) -> dict | None:
@@ -298,7 +310,7 @@ def wrong_twin(q: dict, kind: str) -> dict | None:
     """A query of another meaning with the same terms, or None where the kind changes nothing here."""
     twin = copy.deepcopy(q)
     WRONG[kind](twin)
-    return twin if canonical(twin) != canonical(q) else None
+    return twin if twin != q and canonical(twin) != canonical(q) else None
 
 
 def spoil_grammar(text: str) -> str:

@@ -5,7 +5,7 @@ from __future__ import annotations
 import re
 from functools import reduce
 
-from pairverify.constants import KEEP_TAU, N_DRAW, N_EVAL, PER_SHAPE, QUALITY_WEIGHTS, TAU
+from pairverify.constants import HELD_KINDS, KEEP_TAU, N_DRAW, N_EVAL, N_TRAIN, QUALITY_WEIGHTS, SYSTEMS, TAU
 from pairverify.functions import similarity as sim
 from pairverify.functions.text import cosine, sample_md5, sigmoid, tokens
 from pairverify.operators import evaluation as ev
@@ -80,7 +80,7 @@ def _sql_shape(shape: str) -> str:
     source = name if name != "lineitem" else "(SELECT l_orderkey, min(l_partkey) AS l_partkey FROM lineitem GROUP BY l_orderkey)"
     parts = re.split(r"\{(\w+)\}", text)
     sparql = " || ".join(f"'{p}'" if k % 2 == 0 else f"{p}::VARCHAR" for k, p in enumerate(parts))
-    return f"(SELECT '{shape}:' || {key} AS query_id, '{shape}' AS shape, {sparql} AS sparql FROM {source} ORDER BY md5({key}::VARCHAR), {key} LIMIT {PER_SHAPE})"
+    return f"(SELECT '{shape}:' || {key} AS query_id, '{shape}' AS shape, {sparql} AS sparql FROM {source})"
 
 
 SQL_CORPUS = " UNION ALL ".join("SELECT * FROM " + _sql_shape(s) for s in corpus.SHAPES)
@@ -108,8 +108,8 @@ def _queries(spark, d):
     return corpus.build(spark, d)
 
 
-def _relabelled(spark, d):
-    q = _queries(spark, d)
+def _relabelled(spark, d, q=None):
+    q = _queries(spark, d) if q is None else q
     return prompts.relabel(q, prompts.fetch(prompts.query_terms(q), graph.labels(spark, d), graph.descriptions(spark, d)))
 
 
@@ -189,7 +189,7 @@ def _answers(shape: str):
 def _first(shape: str, columns: str) -> str:
     name, key, _ = corpus.SHAPES[shape]
     source = name if name != "lineitem" else "(SELECT l_orderkey, min(l_partkey) AS l_partkey FROM lineitem GROUP BY l_orderkey)"
-    return f"(SELECT {columns} FROM (SELECT * FROM {source} ORDER BY md5({key}::VARCHAR), {key} LIMIT {PER_SHAPE}) ORDER BY '{shape}:' || {key} LIMIT 1)"
+    return f"(SELECT {columns} FROM {source} ORDER BY '{shape}:' || {key} LIMIT 1)"
 
 
 BGP = {
@@ -217,15 +217,19 @@ def bgp_statement(spark, d):
 
 @query(BGP["bgp_statement"][1])
 def bgp_statement_scan(spark, d):
-    key = sample_md5(table(spark, d, "lineitem").groupBy("l_orderkey").agg(F.min("l_partkey").alias("l_partkey")), "l_orderkey", PER_SHAPE).orderBy(F.concat(F.lit("statement:"), F.col("l_orderkey").cast("string"))).first()
+    key = table(spark, d, "lineitem").groupBy("l_orderkey").agg(F.min("l_partkey").alias("l_partkey")).orderBy(F.concat(F.lit("statement:"), F.col("l_orderkey").cast("string"))).first()
     return bgp.statement_scan(table(spark, d, "lineitem"), {"l_orderkey": key[0], "l_partkey": key[1]}, "l_quantity").withColumnRenamed("answer", "q")
 
 
 @query("SELECT 'ent:order/' || o_orderkey AS x FROM orders WHERE o_totalprice > (SELECT avg(o_totalprice) FROM orders)")
 def bgp_subquery(spark, d):
-    kg = graph.star_schema(spark, d, statements=False)
-    mean = bgp.evaluate("SELECT (AVG(?p) AS ?n) WHERE { ?x <rel:total_price> ?p . }", kg)
-    return bgp.match(kg, ("?x", "<rel:total_price>", "?p")).join(F.broadcast(mean), F.col("p__num") > F.col("n")).select("x")
+    text = "SELECT ?x WHERE { ?x <rel:total_price> ?p . FILTER(?p > (SELECT (AVG(?q) AS ?n) WHERE { ?y <rel:total_price> ?q . })) }"
+    return bgp.evaluate(text, graph.star_schema(spark, d, statements=False))
+
+
+@query("SELECT 'ent:order/' || o_orderkey AS x FROM orders WHERE o_orderdate > TIMESTAMP '1997-12-31 00:00:00'")
+def bgp_filter_date(spark, d):
+    return bgp.evaluate('SELECT ?x WHERE { ?x <rel:order_date> ?t . FILTER(?t > "1997-12-31") }', graph.star_schema(spark, d, statements=False))
 
 
 @query("SELECT c_mktsegment AS m, round(avg(o_totalprice), 4) AS mean FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
@@ -273,7 +277,7 @@ def reflection_transcripts(spark, d):
     return t.select("conv_id", "turn", F.md5("text").alias("prompt"), F.md5("n1.text").alias("answer"), F.md5("n2.text").alias("reflection"), F.md5("n3.text").alias("final"))
 
 
-@query(f"""WITH t AS (SELECT conv_id || '/' || turn AS query_id, reply FROM ({SQL_TURNS})), o AS (SELECT *, md5(query_id) AS m, ('0x' || substr(md5(query_id), 1, 4))::BIGINT % 16 AS ring0 FROM t),
+@query(f"""WITH t AS (SELECT conv_id || '/' || turn AS query_id, reply FROM ({SQL_TURNS})), o AS (SELECT *, md5(query_id) AS m, ('0x' || substr(md5(query_id), 1, 8))::BIGINT % greatest((SELECT count(*) // 1000 FROM t), 1) AS ring0 FROM t),
 c AS (SELECT ring0, count(*) AS n FROM o GROUP BY ring0), r AS (SELECT o.*, CASE WHEN n < 2 THEN -1 ELSE ring0 END AS ring FROM o JOIN c USING (ring0)),
 x AS (SELECT query_id, coalesce(lead(query_id) OVER w, first(query_id) OVER w) AS other, coalesce(lead(reply) OVER w, first(reply) OVER w) AS reply FROM r WINDOW w AS (PARTITION BY ring ORDER BY m, query_id))
 SELECT query_id, md5(reply) AS reply_md5 FROM x WHERE other <> query_id""")
@@ -282,14 +286,30 @@ def random_negatives(spark, d):
     return negatives.random_swap(p).select("query_id", F.md5("text").alias("reply_md5"))
 
 
+@query(f"""WITH t AS (SELECT conv_id || '/' || turn AS id, list_distinct(regexp_extract_all(lower(reply), '[\\p{{L}}\\p{{N}}]+')) AS w FROM ({SQL_TURNS})), u AS (SELECT id, unnest(w) AS x FROM t),
+f AS (SELECT x FROM u GROUP BY x HAVING count(*) BETWEEN 2 AND 20), k AS (SELECT DISTINCT a.id, b.id AS other FROM u a JOIN f USING (x) JOIN u b USING (x) WHERE a.id <> b.id),
+s AS (SELECT k.id, k.other, len(list_intersect(p.w, q.w)) / len(list_distinct(list_concat(p.w, q.w))) AS v FROM k JOIN t p ON p.id = k.id JOIN t q ON q.id = k.other WHERE list_sort(p.w) <> list_sort(q.w))
+SELECT id AS query_id, arg_min(other, (-round(v, 6), other)) AS other, round(max(v), 6) AS overlap FROM s GROUP BY id""")
+def turn_hard_negatives(spark, d):
+    """For each turn the most similar other reply, among those that share a word which 2 to 20 replies have."""
+    t = _turns(spark, d).select(F.concat_ws("/", F.col("conv_id").cast("string"), F.col("turn").cast("string")).alias("id"), F.array_distinct(tokens(F.col("reply"))).alias("w"))
+    u = t.select("id", F.explode("w").alias("x"))
+    rare = u.groupBy("x").agg(F.count("*").alias("n")).where("n between 2 and 20").select("x")
+    u = u.join(rare, "x")
+    k = u.join(u.withColumnRenamed("id", "other"), "x").where("id <> other").select("id", "other").distinct()
+    s = k.join(t, "id").join(t.select(F.col("id").alias("other"), F.col("w").alias("v")), "other").where(F.array_sort("w") != F.array_sort("v"))
+    s = s.withColumn("overlap", F.round(F.size(F.array_intersect("w", "v")) / F.size(F.array_union("w", "v")), 6))
+    return s.groupBy(F.col("id").alias("query_id")).agg(F.min_by("other", F.struct(-F.col("overlap"), F.col("other"))).alias("other"), F.max("overlap").alias("overlap"))
+
+
 @query(None)
 def hard_negatives(spark, d):
-    return negatives.hard(_relabelled(spark, d))
+    return negatives.hard(_world(spark, d)[0])
 
 
 @query(None)
 def perturbed_queries(spark, d):
-    return negatives.perturbations(_relabelled(spark, d))
+    return negatives.perturbations(_world(spark, d)[0])
 
 
 # -- vectors and losses ------------------------------------------------------------------------------------------
@@ -346,13 +366,13 @@ def bce_loss_eval(spark, d):
 
 SQL_FEATURES = r"""SELECT doc_id, lang, source, n_tokens, n_distinct / greatest(n_tokens, 1) AS distinct_ratio, n_punct / greatest(n_bytes, 1) AS punct, n_upper / greatest(n_bytes, 1) AS upper FROM (
 SELECT doc_id, lang, source, len(t) AS n_tokens, len(list_distinct(t)) AS n_distinct, strlen(regexp_replace(text, '[^!-/:-@\[-`{-~]', '', 'g')) AS n_punct, strlen(regexp_replace(text, '[^A-Z]', '', 'g')) AS n_upper, strlen(text) AS n_bytes
-FROM (SELECT *, regexp_extract_all(lower(text), '[\p{L}\p{N}]+') AS t FROM documents WHERE strlen(text) = length(text)))"""
+FROM (SELECT *, regexp_extract_all(lower(text), '[\p{L}\p{N}]+') AS t FROM documents))"""
 _W = QUALITY_WEIGHTS
 SQL_SCORED = f"SELECT f.doc_id, f.lang, f.source, f.n_tokens, 1 / (1 + exp(-({_W[0]} + {_W[1]} * distinct_ratio + {_W[2]} * punct + {_W[3]} * upper + {_W[4]} * ln(1 + n_tokens)))) AS score, l.quality, l.toxic FROM ({SQL_FEATURES}) f JOIN labels l USING (doc_id)"
 
 
 def _features(spark, d):
-    t = table(spark, d, "documents").where(F.octet_length("text") == F.char_length("text"))
+    t = table(spark, d, "documents")
     words = tokens(F.col("text"))
     size = F.greatest(F.octet_length("text"), F.lit(1))
     punct, upper = (F.length(F.regexp_replace("text", p, "")) for p in (r"[^!-/:-@\[-`{-~]", "[^A-Z]"))
@@ -456,6 +476,12 @@ def roc_area(spark, d):
     return ev.auc(_scored(spark, d).withColumn("all", F.lit(1)), ["all"], "quality").select(r6(F.col("auc"), "auc"))
 
 
+@query(f"""WITH c AS (SELECT score, count(*) FILTER (quality = 1) AS p, count(*) AS n FROM ({SQL_SCORED}) GROUP BY score), r AS (SELECT p, sum(p) OVER w AS tp, sum(n) OVER w AS kept FROM c WINDOW w AS (ORDER BY score DESC))
+SELECT round(sum(p * tp / kept) / sum(p), 6) AS average_precision FROM r""")
+def average_precision(spark, d):
+    return ev.average_precision(_scored(spark, d).withColumn("all", F.lit(1)), ["all"], "quality").select(r6(F.col("average_precision"), "average_precision"))
+
+
 @query(f"SELECT doc_id, round(avg(quality) OVER (PARTITION BY source ORDER BY score DESC, doc_id ROWS UNBOUNDED PRECEDING), 6) AS precision FROM ({SQL_SCORED})")
 def running_precision(spark, d):
     w = Window.partitionBy("source").orderBy(F.col("score").desc(), "doc_id").rowsBetween(Window.unboundedPreceding, 0)
@@ -507,27 +533,33 @@ def logistic_steps(spark, d):
 
 # -- reference-based metrics -------------------------------------------------------------------------------------
 
-#: English ASCII documents that cover at least 0.6 of a passage's distinct words, through an inverted index of words
-SQL_REFS = r"""WITH dt AS (SELECT doc_id, source, regexp_extract_all(lower(text), '[\p{L}\p{N}]+') AS c FROM documents WHERE lang = 'en' AND strlen(text) = length(text)),
-bt AS (SELECT item_id, regexp_extract_all(lower(text), '[\p{L}\p{N}]+') AS r FROM benchmark WHERE strlen(text) = length(text)),
+#: Documents that cover at least 0.6 of a passage's distinct words, whole texts of all languages
+SQL_REFS = r"""WITH dt AS (SELECT doc_id, source, regexp_extract_all(lower(text), '[\p{L}\p{N}]+') AS c FROM documents),
+bt AS (SELECT item_id, regexp_extract_all(lower(text), '[\p{L}\p{N}]+') AS r FROM benchmark),
 dw AS (SELECT doc_id, unnest(list_distinct(c)) AS w FROM dt), bw AS (SELECT item_id, unnest(list_distinct(r)) AS w FROM bt),
 m AS (SELECT doc_id, item_id, count(*) AS k FROM dw JOIN bw USING (w) GROUP BY ALL),
-pairs AS (SELECT doc_id, item_id, source, c[1:60] AS c, r FROM m JOIN dt USING (doc_id) JOIN bt USING (item_id) WHERE k >= 0.6 * len(list_distinct(r)))"""
+pairs AS (SELECT doc_id, item_id, source, c, r FROM m JOIN dt USING (doc_id) JOIN bt USING (item_id) WHERE k >= 0.6 * len(list_distinct(r)))"""
 
 
 def _references(spark, d):
-    docs = table(spark, d, "documents").where((F.col("lang") == "en") & (F.octet_length("text") == F.char_length("text"))).select("doc_id", "source", tokens(F.col("text")).alias("c"))
-    items = table(spark, d, "benchmark").where(F.octet_length("text") == F.char_length("text")).select("item_id", tokens(F.col("text")).alias("r"), F.size(F.array_distinct(tokens(F.col("text")))).alias("size"))
+    """Pairs by the rarest words of a passage: one that has enough of its words has one of the rarest two fifths and one more."""
+    docs = table(spark, d, "documents").select("doc_id", "source", tokens(F.col("text")).alias("c"))
+    items = table(spark, d, "benchmark").select("item_id", tokens(F.col("text")).alias("r")).withColumn("size", F.size(F.array_distinct("r")))
     words = docs.select("doc_id", F.explode(F.array_distinct("c")).alias("w"))
-    index = items.select("item_id", F.explode(F.array_distinct("r")).alias("w"))
-    hits = words.join(index, "w").groupBy("doc_id", "item_id").agg(F.count("*").alias("k"))
-    hits = hits.join(items, "item_id").where(F.col("k") >= 0.6 * F.col("size"))
-    return hits.join(docs, "doc_id").select("doc_id", "item_id", "source", F.slice("c", 1, 60).alias("c"), "r")
+    index = items.select("item_id", "size", F.explode(F.array_distinct("r")).alias("w"))
+    often = words.join(index.select("w").distinct(), "w", "left_semi").groupBy("w").agg(F.count("*").alias("n"))
+    rare = index.join(often, "w").withColumn("place", F.row_number().over(Window.partitionBy("item_id").orderBy("n", "w")))
+    # words that no document has come first and lead nowhere, so the place counts from their number on
+    absent = index.join(often, "w", "left_anti").groupBy("item_id").agg(F.count("*").alias("absent"))
+    rare = rare.join(absent, "item_id", "left").where(F.col("place") + F.coalesce("absent", F.lit(0)) <= F.col("size") - F.ceil(F.lit(0.6) * F.col("size")) + 1)
+    hits = words.join(rare.select("item_id", "w"), "w").select("doc_id", "item_id").distinct()
+    both = hits.join(items, "item_id").join(docs, "doc_id")
+    return both.where(F.size(F.array_intersect("c", "r")) >= 0.6 * F.col("size")).select("doc_id", "item_id", "source", "c", "r")
 
 
 def _sql_grams(n: int) -> str:
     g = lambda x: f"list_transform(range(1, len({x}) - {n - 2}), lambda i: array_to_string({x}[i:i + {n - 1}], ' '))"
-    return f"g{n} AS (SELECT doc_id, item_id, {g('c')} AS a, {g('r')} AS b FROM pairs), u{n} AS (SELECT doc_id, item_id, coalesce(list_sum(list_transform(list_distinct(a), lambda x: least(len(list_filter(a, lambda y: y = x)), len(list_filter(b, lambda y: y = x))))), 0) AS m, len(a) AS t FROM g{n})"
+    return f"g{n} AS (SELECT doc_id, item_id, {g('c')} AS a, {g('r')} AS b FROM pairs), u{n} AS (SELECT doc_id, item_id, coalesce(list_sum(list_transform(list_distinct(b), lambda x: least(len(list_filter(a, lambda y: y = x)), len(list_filter(b, lambda y: y = x))))), 0) AS m, t FROM (SELECT doc_id, item_id, list_filter(a, lambda x: list_contains(b, x)) AS a, b, len(a) AS t FROM g{n}))"
 
 
 SQL_BLEU = SQL_REFS + ", " + ", ".join(map(_sql_grams, (1, 2, 3, 4))) + ", bl AS (SELECT p.doc_id, p.item_id, p.source, len(c) AS cl, len(r) AS rl, " + ", ".join(f"u{n}.m AS m{n}, u{n}.t AS t{n}" for n in (1, 2, 3, 4)) + " FROM pairs p " + " ".join(f"JOIN u{n} USING (doc_id, item_id)" for n in (1, 2, 3, 4)) + ")"
@@ -544,9 +576,10 @@ def corpus_bleu(spark, d):
     return sim.corpus_bleu(_references(spark, d), "c", "r", []).select(r6(F.col("bleu"), "bleu"))
 
 
-SQL_LCS = SQL_REFS.replace("WITH dt", "WITH RECURSIVE dt", 1) + """, dp(doc_id, item_id, i, row) AS (SELECT doc_id, item_id, 0, list_transform(range(0, len(r) + 1), lambda x: 0::BIGINT) FROM pairs UNION ALL
+SQL_LCS = SQL_REFS.replace("WITH dt", "WITH RECURSIVE dt", 1) + """, own AS (SELECT doc_id, item_id, source, list_filter(c, lambda x: list_contains(r, x)) AS c, r, len(c) AS cl FROM pairs),
+dp(doc_id, item_id, i, row) AS (SELECT doc_id, item_id, 0, list_transform(range(0, len(r) + 1), lambda x: 0::BIGINT) FROM own UNION ALL
 SELECT dp.doc_id, dp.item_id, i + 1, list_reduce(range(1, len(r) + 1), lambda acc, j: list_append(acc, CASE WHEN r[j] = c[i + 1] THEN row[j] + 1 ELSE greatest(row[j + 1], acc[-1]) END), [0::BIGINT])
-FROM dp JOIN pairs USING (doc_id, item_id) WHERE i < len(c)), l AS (SELECT p.doc_id, p.item_id, p.source, dp.row[-1] AS n, len(c) AS cl, len(r) AS rl FROM dp JOIN pairs p USING (doc_id, item_id) WHERE i = len(c))"""
+FROM dp JOIN own USING (doc_id, item_id) WHERE i < len(c)), l AS (SELECT p.doc_id, p.item_id, p.source, dp.row[-1] AS n, cl, len(r) AS rl FROM dp JOIN own p USING (doc_id, item_id) WHERE i = len(c))"""
 
 
 @query(SQL_LCS + " SELECT doc_id, item_id, round(n / cl, 6) AS p, round(n / rl, 6) AS r, round(coalesce(2 * n / nullif(cl + rl, 0), 0), 6) AS f FROM l")
@@ -561,10 +594,12 @@ def rouge_l_native(spark, d):
     return _references(spark, d).select("doc_id", "item_id", r6(m["f"], "f"))
 
 
-@query(SQL_REFS + " SELECT doc_id, item_id, levenshtein(array_to_string(c, ' '), array_to_string(r, ' '))::INT AS distance, round(1 - levenshtein(array_to_string(c, ' '), array_to_string(r, ' ')) / greatest(length(array_to_string(c, ' ')), length(array_to_string(r, ' ')), 1), 6) AS similarity FROM pairs")
+@query(SQL_REFS + " SELECT doc_id, item_id, levenshtein(array_to_string(c, ' '), array_to_string(r, ' '))::INT AS distance, round(1 - levenshtein(array_to_string(c, ' '), array_to_string(r, ' ')) / greatest(strlen(array_to_string(c, ' ')), strlen(array_to_string(r, ' ')), 1), 6) AS similarity FROM pairs")
 def levenshtein_pairs(spark, d):
+    """In bytes, as the SQL counts them; system_metric_table counts characters."""
     a, b = F.array_join("c", " "), F.array_join("r", " ")
-    return _references(spark, d).select("doc_id", "item_id", sim.edit_distance(a, b).alias("distance"), r6(sim.edit_distance(a, b, True), "similarity"))
+    e = _references(spark, d).select("doc_id", "item_id", sim.edit_distance(a, b, unit="byte").alias("distance"), F.greatest(F.octet_length(a), F.octet_length(b), F.lit(1)).alias("size"))
+    return e.select("doc_id", "item_id", "distance", r6(1 - F.col("distance") / F.col("size"), "similarity"))
 
 
 @query("""WITH t AS (SELECT vec_id // 5 AS g, vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS v FROM embeddings), c AS (SELECT a.g, a.vec_id AS i, b.vec_id AS j, list_cosine_similarity(a.v, b.v) AS s FROM t a JOIN t b ON b.g = a.g + 1),
@@ -576,14 +611,14 @@ def embedscore_pairs(spark, d):
     return p.select("text_id", *[r6(F.col(f"s.{k}"), k) for k in "prf"])
 
 
-SQL_METRICS = SQL_BLEU.replace("WITH dt", "WITH RECURSIVE dt", 1) + SQL_LCS[SQL_LCS.index(", dp(") :] + f""", t AS (SELECT bl.source AS system, avg({SQL_BLEU_SENT}) AS bleu, avg(coalesce(2 * n / nullif(lc + lr, 0), 0)) AS rouge, avg(levenshtein(array_to_string(c, ' '), array_to_string(r, ' '))) AS levenshtein
+SQL_METRICS = SQL_BLEU.replace("WITH dt", "WITH RECURSIVE dt", 1) + SQL_LCS[SQL_LCS.index(", own AS") :] + f""", t AS (SELECT bl.source AS system, avg({SQL_BLEU_SENT}) AS bleu, avg(coalesce(2 * n / nullif(lc + lr, 0), 0)) AS rouge, avg(levenshtein(array_to_string(c, ' '), array_to_string(r, ' '))) AS levenshtein
 FROM bl JOIN (SELECT doc_id, item_id, n, cl AS lc, rl AS lr FROM l) USING (doc_id, item_id) JOIN pairs USING (doc_id, item_id) GROUP BY bl.source)"""
 
 
 def _metrics(spark, d):
     p = _references(spark, d)
     a, b = F.array_join("c", " "), F.array_join("r", " ")
-    p = p.select("source", r6(sim.bleu(F.col("c"), F.col("r")), "bleu"), sim.rouge_l(F.col("c"), F.col("r"))["f"].alias("rouge"), sim.edit_distance(a, b).alias("lev"))
+    p = p.select("source", r6(sim.bleu(F.col("c"), F.col("r")), "bleu"), sim.rouge_l(F.col("c"), F.col("r"))["f"].alias("rouge"), sim.edit_distance(a, b, unit="byte").alias("lev"))
     return p.groupBy(F.col("source").alias("system")).agg(F.avg("bleu").alias("bleu"), F.avg("rouge").alias("rouge"), F.avg("lev").alias("levenshtein"))
 
 
@@ -631,61 +666,142 @@ def golden_confusion(spark, d):
 # -- the learned verifiers on the workload -----------------------------------------------------------------------
 
 
+_MADE: dict[tuple, object] = {}
+
+
+def _once(spark, d, what: str, make):
+    """What make() gives, made once for each application and folder: samples are cached tables, models a few megabytes."""
+    key = (spark.sparkContext.applicationId, d, what)
+    if key not in _MADE:
+        _MADE[key] = make()
+    return _MADE[key]
+
+
 def _world(spark, d):
-    """Relabelled queries, all systems' questions with truth, and training pairs of one system's training split."""
-    r = _relabelled(spark, d).cache()
-    a = corpus.split(translate.systems_answers(r)).cache()
-    good = a.where("system = 'frontier_b' AND correct AND split = 'train'")
-    return r, a, good
+    """The drawn queries relabelled, all systems' questions with truth, and one system's correct questions for training."""
+
+    def make():
+        r = _relabelled(spark, d, corpus.drawn(spark, d)).cache()
+        a = corpus.split(translate.systems_answers(r)).cache()
+        return r, a, sample_md5(a.where("system = 'frontier_b' AND correct AND split = 'train'"), "query_id", N_TRAIN)
+
+    return _once(spark, d, "world", make)
 
 
 def _train(r, good, kind="hard"):
-    no = negatives.hard(r) if kind == "hard" else negatives.random_swap(good.select("query_id", F.col("question").alias("text")))
+    """Training pairs; hard negatives leave out the kinds of errors that are held back for judging."""
+    kinds = tuple(k for k in negatives.WRONG if k not in HELD_KINDS)
+    no = negatives.hard(r, kinds) if kind == "hard" else negatives.random_swap(good.select("query_id", F.col("question").alias("text")))
     if kind == "mixed":
-        no = no.unionByName(negatives.hard(r).select(no.columns))
+        no = no.unionByName(negatives.hard(r, kinds).select(no.columns))
     return negatives.training_pairs(good, no.select("query_id", "kind", "text"))
 
 
 def _judged(a):
-    return a.where("split = 'eval'").withColumnRenamed("question", "text")
+    """The drawn evaluation queries with every system's question."""
+    ids = sample_md5(a.where("split = 'eval'").select("query_id").distinct(), "query_id", N_EVAL)
+    return a.join(ids, "query_id", "left_semi").withColumnRenamed("question", "text")
+
+
+def _model(spark, d, arch: str):
+    r, _, good = _world(spark, d)
+    return _once(spark, d, arch, lambda: (verifier.CrossEncoder if arch == "cross" else verifier.BiEncoder).fit(_train(r, good)))
+
+
+def _verified(spark, d, arch: str):
+    """Scores of an architecture for the judged questions of all systems."""
+    return _once(spark, d, arch + " scores", lambda: _model(spark, d, arch).score(_judged(_world(spark, d)[1])).cache())
+
+
+ARCHITECTURES = ("bi", "cross")
+
+
+def _both(spark, d, measure):
+    return reduce(DataFrame.unionByName, [measure(_verified(spark, d, x)).withColumn("arch", F.lit(x)) for x in ARCHITECTURES])
 
 
 @query(None)
 def system_accuracy(spark, d):
-    _, a, _ = _world(spark, d)
-    ids = sample_md5(a.select("query_id").distinct(), "query_id", N_EVAL)
-    return ev.system_accuracy(a.join(ids, "query_id", "left_semi")).select("system", "n", *[r6(F.col(c), c) for c in ("accuracy", "low", "high")])
+    return ev.system_accuracy(_judged(_world(spark, d)[1])).select("system", "n", *[r6(F.col(c), c) for c in ("accuracy", "low", "high")])
+
+
+@query(None)
+def reflection_effect(spark, d):
+    """Accuracy of each system's first answer and of its last; the stand-ins' share of repaired errors is an input."""
+    r, a, _ = _world(spark, d)
+    last = _judged(a)
+    first = translate.systems_answers(r.join(last.select("query_id").distinct(), "query_id", "left_semi"), revised=False)
+    side = lambda t, name: t.groupBy("system").agg(F.avg(F.col("correct").cast("double")).alias(name))
+    return side(first, "first_answer").join(side(last, "last_answer"), "system")
 
 
 @query(None)
 def cross_encoder_trained(spark, d):
-    r, a, good = _world(spark, d)
-    return ev.confusion(verifier.CrossEncoder.fit(_train(r, good)).score(_judged(a)), ["system"])
+    return ev.confusion(_verified(spark, d, "cross"), ["system"])
 
 
 @query(None)
 def bi_encoder_losses(spark, d):
-    r, _, good = _world(spark, d)
-    losses = verifier.BiEncoder.fit(_train(r, good)).losses  # one number for each pass over the training pairs
+    losses = _model(spark, d, "bi").losses  # one number for each pass over the training pairs
     return spark.createDataFrame([(i, float(x)) for i, x in enumerate(losses)], "epoch int, loss double")
 
 
+@query(None)
+def cross_encoder_losses(spark, d):
+    losses = _model(spark, d, "cross").losses  # cross-entropy with its penalty, one number for each step of the optimiser
+    return spark.createDataFrame([(i, float(x)) for i, x in enumerate(losses)], "step int, loss double")
+
+
 @query(None)
 def bi_encoder_trained(spark, d):
-    r, a, good = _world(spark, d)
-    return ev.confusion(verifier.BiEncoder.fit(_train(r, good)).score(_judged(a)), ["system"])
+    return ev.confusion(_verified(spark, d, "bi"), ["system"])
+
+
+@query(None)
+def verifier_comparison(spark, d):
+    """Both architectures on all systems, and the unweighted mean over systems."""
+    rows = _both(spark, d, lambda s: ev.confusion(s, ["system"])).select("arch", "system", "accuracy", "precision", "recall", "specificity")
+    return rows.unionByName(ev.macro(rows, ["arch"], ("accuracy", "precision", "recall", "specificity")).withColumn("system", F.lit("mean")))
 
 
 @query(None)
 def cross_encoder_filter(spark, d):
-    r, a, good = _world(spark, d)
-    return ev.filter_effect(verifier.CrossEncoder.fit(_train(r, good)).score(_judged(a)), ["system"])
+    return ev.filter_effect(_verified(spark, d, "cross"), ["system"])
+
+
+@query(None)
+def verifier_filter(spark, d):
+    return _both(spark, d, lambda s: ev.filter_effect(s, ["system"]))
 
 
 @query(None)
 def cross_encoder_histogram(spark, d):
+    return ev.histogram(_verified(spark, d, "cross"), ["correct"])
+
+
+@query(None)
+def verifier_histogram(spark, d):
+    return _both(spark, d, lambda s: ev.histogram(s, ["correct"]))
+
+
+@query(None)
+def verifier_sweep(spark, d):
+    return _both(spark, d, lambda s: ev.sweep(s.withColumn("all", F.lit(1)), ["all"], 20).drop("all"))
+
+
+@query(None)
+def cross_encoder_mlp(spark, d):
+    """The cross-encoder with a hidden layer before its last one."""
+    r, a, good = _world(spark, d)
+    return ev.confusion(verifier.CrossEncoder.fit(_train(r, good), head="mlp", rounds=40).score(_judged(a)), ["system"])
+
+
+@query(None)
+def cross_encoder_left_context(spark, d):
+    """Features that see a word with those before it only, beside those that see both sides."""
     r, a, good = _world(spark, d)
-    return ev.histogram(verifier.CrossEncoder.fit(_train(r, good)).score(_judged(a)), ["correct"])
+    left = ev.confusion(verifier.CrossEncoder.fit(_train(r, good), context="left").score(_judged(a)), []).withColumn("context", F.lit("left"))
+    return left.unionByName(ev.confusion(_verified(spark, d, "cross"), []).withColumn("context", F.lit("both")))
 
 
 @query(None)
@@ -696,23 +812,27 @@ def negatives_ablation(spark, d):
     return reduce(DataFrame.unionByName, rows)
 
 
+@query(None)
+def targeted_negatives(spark, d):
+    """More twins of the kinds of errors that the trained verifier lets through."""
+    r, _, _ = _world(spark, d)
+    missed = ev.misclassified(_verified(spark, d, "cross")).where("not correct").select("kind")
+    return negatives.targeted(corpus.split(r).where("split = 'train'"), missed)
+
+
 @query(None)
 def generalisation_matrix(spark, d):
-    r, a, good = _world(spark, d)
-    s = verifier.CrossEncoder.fit(_train(r, good)).score(_judged(a))
-    return ev.confusion(s, ["system", "shape"]).select("system", "shape", "n", "accuracy")
+    return ev.confusion(_verified(spark, d, "cross"), ["system", "shape"]).select("system", "shape", "n", "accuracy")
 
 
 @query(None)
 def error_kind_breakdown(spark, d):
-    r, a, good = _world(spark, d)
-    return ev.error_breakdown(verifier.CrossEncoder.fit(_train(r, good)).score(_judged(a)))
+    return ev.error_breakdown(_verified(spark, d, "cross"))
 
 
 @query(None)
 def misclassified_pairs(spark, d):
-    r, a, good = _world(spark, d)
-    return verifier.explain(ev.misclassified(verifier.CrossEncoder.fit(_train(r, good)).score(_judged(a)))).select("query_id", "system", "kind", "text", "score", "missing", "extra")
+    return verifier.explain(ev.misclassified(_verified(spark, d, "cross"))).select("query_id", "system", "kind", "text", "score", "missing", "extra")
 
 
 @query(None)
@@ -723,29 +843,74 @@ def description_input(spark, d):
     return ev.confusion(model.score(more(_judged(a))), ["system"])
 
 
+def _system_metrics(spark, d):
+    """By system: share judged right, mean verifier score, and the measures that compare with the human text of the same query."""
+    s = _verified(spark, d, "cross")
+    human = s.where("system = 'human_reference'").select("query_id", F.col("text").alias("reference"))
+    c, r = tokens(F.col("text")), tokens(F.col("reference"))
+    p = s.join(human, "query_id").withColumn("c", c).withColumn("r", r)
+    own = F.col("system") != "human_reference"
+    p = p.select(
+        "system", "correct", "score",
+        F.when(own, sim.embedscore(sim.text_vectors(F.col("c")), sim.text_vectors(F.col("r")))["f"]).alias("embedscore"),
+        F.when(own, sim.bleu(F.col("c"), F.col("r"))).alias("bleu"), F.when(own, sim.rouge_l(F.col("c"), F.col("r"))["f"]).alias("rouge"), F.when(own, sim.edit_distance(F.col("text"), F.col("reference"))).alias("levenshtein"),
+    )
+    means = [F.avg(x).alias(x) for x in ("embedscore", "bleu", "rouge", "levenshtein")]
+    return p.groupBy("system").agg(F.avg(F.col("correct").cast("double")).alias("accuracy"), F.avg("score").alias("verifier"), *means)
+
+
+@query(None)
+def system_metric_table(spark, d):
+    return _system_metrics(spark, d)
+
+
+@query(None)
+def system_spearman(spark, d):
+    """Rank correlation of each measure with the share judged right, over the generating systems."""
+    rows = _system_metrics(spark, d).where("system <> 'human_reference'")
+    return ev.rank_correlation(_once(spark, d, "system metrics", rows.cache), "accuracy", ["verifier", "embedscore", "bleu", "rouge", "levenshtein"])
+
+
+@query(None)
+def system_metric_gap(spark, d):
+    """How far each share-like measure is from the share judged right."""
+    return ev.mean_gap(_system_metrics(spark, d).where("system <> 'human_reference'"), "accuracy", ["verifier", "embedscore", "bleu", "rouge"])
+
+
+def _reading(spark, d):
+    """Scored pairs of the training system, with the mentions that their questions are linked to."""
+
+    def make():
+        r, a, _ = _world(spark, d)
+        one = a.where("system = 'frontier_b'").withColumnRenamed("question", "text")
+        s = _model(spark, d, "cross").score(one).withColumnRenamed("text", "question").select("query_id", "shape", "q_text", "question", "split", "correct", "score")
+        return nl2q.with_mentions(s, graph.labels(spark, d), graph.descriptions(spark, d), nl2q.literals(s.where("split = 'train'"))).cache()
+
+    return _once(spark, d, "reading", make)
+
+
 @query(None)
 def nl2q_accuracy(spark, d):
-    r, a, good = _world(spark, d)
-    one = a.where("system = 'frontier_b'").withColumnRenamed("question", "text")
-    s = verifier.CrossEncoder.fit(_train(r, good)).score(one).withColumnRenamed("text", "question")
-    return nl2q.arms(s.where("split = 'train'"), s.where("split = 'eval' AND correct"))
+    s = _reading(spark, d)
+    return nl2q.arms(s.where("split <> 'eval'"), s.where("split = 'eval' AND correct"))
 
 
 @query(None)
 def both_directions(spark, d):
-    r, a, good = _world(spark, d)
-    model = verifier.CrossEncoder.fit(_train(r, good))
-    back = nl2q.read_back(a.where("system = 'frontier_b' AND split = 'eval'").withColumn("shape_pred", F.col("shape")), nl2q.shape_rules(good))
-    forward = model.score(back.select("query_id", "q_text", F.col("question").alias("text"))).select(F.lit("query_to_question").alias("direction"), "score")
-    return forward.unionAll(model.score(back.select("query_id", F.col("pred_text").alias("q_text"), F.col("question").alias("text"))).select(F.lit("question_to_query"), "score")).groupBy("direction").agg(F.count("score").alias("n"), F.avg("score").alias("mean_score"))
+    """Mean verifier score of questions for given queries, and of queries read back from those questions."""
+    s = _reading(spark, d)
+    back = nl2q.Reader.fit(nl2q.draw(s.where("split <> 'eval'"))).read(s.where("split = 'eval'"))
+    model, text = _model(spark, d, "cross"), F.col("question").alias("text")
+    forward = model.score(back.select("query_id", "q_text", text)).select(F.lit("query_to_question").alias("direction"), "score")
+    return forward.unionAll(model.score(back.select("query_id", F.col("pred_text").alias("q_text"), text)).select(F.lit("question_to_query"), "score")).groupBy("direction").agg(F.count("score").alias("n"), F.avg("score").alias("mean_score"))
 
 
 @query(None)
 def extended_dataset(spark, d):
-    r, a, good = _world(spark, d)
-    s = verifier.CrossEncoder.fit(_train(r, good)).score(a.withColumnRenamed("question", "text"))
-    q = corpus.split(r)
-    return feedback.extended(q, s.where("system = 'human_reference'"), s.where("system = 'frontier_b'"))
+    """All queries of the workload with both texts and their scores."""
+    r = _relabelled(spark, d)
+    s = _model(spark, d, "cross").score(translate.systems_answers(r, ("human_reference", "frontier_b")).withColumnRenamed("question", "text"))
+    return feedback.extended(corpus.split(r), s.where("system = 'human_reference'"), s.where("system = 'frontier_b'"))
 
 
 @query(None)
@@ -755,12 +920,9 @@ def mean_score_by_origin(spark, d):
 
 @query(None)
 def best_system_and_verifier(spark, d):
-    r, a, good = _world(spark, d)
+    a = _world(spark, d)[1]
     best = ev.select_best(ev.system_accuracy(a.where("system <> 'human_reference'")), "system", "accuracy").select(F.lit("system").alias("question"), "best", "accuracy")
-    train, rows = _train(r, good).cache(), None
-    for name, model in (("cross", verifier.CrossEncoder.fit(train)), ("bi", verifier.BiEncoder.fit(train))):
-        own = ev.macro(ev.confusion(model.score(_judged(a)), ["system"]), []).select(F.lit(name).alias("arch"), "accuracy")
-        rows = own if rows is None else rows.unionAll(own)
+    rows = ev.macro(_both(spark, d, lambda s: ev.confusion(s, ["system"])), ["arch"])
     return best.unionAll(ev.select_best(rows, "arch", "accuracy").select(F.lit("verifier"), "best", "accuracy"))
 
 
@@ -810,7 +972,7 @@ def rank_candidates(spark, d):
 
 @query(None)
 def explain_mismatch(spark, d):
-    r, a, _ = _world(spark, d)
+    a = _world(spark, d)[1]
     return verifier.explain(a.where("system = 'small_open'").withColumnRenamed("question", "text")).select("query_id", "kind", "missing", "extra", "operator_mismatch")
 
 
