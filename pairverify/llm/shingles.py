@@ -151,6 +151,18 @@ def stars(token: np.ndarray, key: np.ndarray, size: np.ndarray, place: np.ndarra
     return _distinct(key[first[b]], key[b]), np.bincount(group, minlength=1)[group] > 2 if len(group) else np.zeros(0, bool), met
 
 
+def chains(token: np.ndarray, key: np.ndarray, size: np.ndarray, place: np.ndarray, own: np.ndarray, bound: tuple[int, int], salt: int):
+    """Pairs of neighbours of different components in an order of each token's keys that differs from token to token."""
+    mixed = mix(key.view(np.uint64) ^ mix(token.view(np.uint64) + np.uint64(salt)))
+    order = np.lexsort((mixed, token))
+    a, b = order[:-1], order[1:]
+    good = (token[a] == token[b]) & (own[a] != own[b])
+    a, b = a[good], b[good]
+    good = _fits(size.astype(np.int64), place.astype(np.int64), a, b, bound)
+    x, y = key[a[good]], key[b[good]]
+    return _distinct(np.minimum(x, y), np.maximum(x, y))
+
+
 def candidates(token: np.ndarray, key: np.ndarray, size: np.ndarray, place: np.ndarray, bound: tuple[int, int], chunk: int = 1 << 21, own: np.ndarray | None = None):
     """Yields arrays (a, b), a < b, of keys that share a token and whose sizes and places leave room for the bound.
 
@@ -262,10 +274,11 @@ def alike(texts: DataFrame, pairs: DataFrame, shingle: int, bound: tuple[int, in
     return out
 
 
-def links(docs: DataFrame, text_col: str = "text", shingle: int = 5, bound: tuple[int, int] = (4, 5), seed: int = 42, rows: int = 1_000_000, first: DataFrame | None = None) -> DataFrame:
+def links(docs: DataFrame, text_col: str = "text", shingle: int = 5, bound: tuple[int, int] = (4, 5), seed: int = 42, rows: int = 1_000_000, first: DataFrame | None = None, rounds: int = 2) -> DataFrame:
     """Edges (a, b) between keys of sets that connect exactly those which chains of sets with at least the similarity connect.
 
-    first: pairs of keys to compare before all others, from another index.
+    first: pairs of keys to compare before all others, from another index. rounds: how often at most neighbours in a mixed
+    order are compared before all pairs that are still in different components.
     """
     ship()
     texts = docs.select(text_or_empty(text_col).alias("text"))
@@ -302,17 +315,52 @@ def links(docs: DataFrame, text_col: str = "text", shingle: int = 5, bound: tupl
             for a, b in candidates(token, key, size, place, bound, own=own):
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
 
+    def neighbours(salt):
+        def run(batches):
+            for token, key, size, place, own in by_token(batches):
+                a, b = chains(token, key, size, place, own, bound, salt)
+                yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
+
+        return run
+
+    def work(batches):
+        """Rows, and pairs at most that are left to compare."""
+        rows = pairs = 0
+        square = lambda first: int((np.diff(np.append(np.flatnonzero(first), len(first))) ** 2).sum())
+        for token, _, _, _, own in by_token(batches):
+            order = np.lexsort((own, token))
+            token, own = token[order], own[order]
+            new = np.append(True, token[1:] != token[:-1])
+            run = new | np.append(True, own[1:] != own[:-1])
+            rows, pairs = rows + len(token), pairs + (square(new) - square(run)) // 2
+        yield pa.RecordBatch.from_arrays([pa.array([rows]), pa.array([pairs])], ["n", "pairs"])
+
+    def apart(edges):
+        """What may have further partners, with its component by the edges, and the edges as one link to each component's root."""
+        roots = materialize(connected_components(edges), "roots")
+        rest = met.where("size is not null").join(roots.withColumnRenamed("node", "key"), "key", "left").select("token", "key", "size", "place", F.coalesce("root", "key").alias("own"))
+        return rest.repartition(tasks, "token").sortWithinPartitions("token"), roots.select(F.col("node").alias("a"), F.col("root").alias("b"))
+
     names = ["token", "key", "size", "place"]
     members = texts.mapInArrow(first_members, "token long, key long, size int, place int")
     met = materialize(members.repartition(tasks, "token").sortWithinPartitions("token").mapInArrow(meet, "token long, key long, size int, place int"), "met")
     pairs = met.where("size is null").select(F.col("token").alias("a"), F.col("key").alias("b"))
     pairs = materialize((pairs if first is None else pairs.unionAll(first.select("a", "b"))).where("a <> b").distinct(), "pairs")
-    close = alike(texts, pairs, shingle, bound, seed)
-    roots = materialize(connected_components(close), "roots")
-    rest = met.where("size is not null").join(roots.withColumnRenamed("node", "key"), "key", "left").select("token", "key", "size", "place", F.coalesce("root", "key").alias("own"))
-    more = materialize(rest.repartition(tasks, "token").sortWithinPartitions("token").mapInArrow(across, "a long, b long").distinct(), "candidates")
-    release(met, pairs)
-    edges = roots.select(F.col("node").alias("a"), F.col("root").alias("b"))
+    rest, edges = apart(alike(texts, pairs, shingle, bound, seed))
+    release(pairs)
+    for salt in range(1, rounds + 1):
+        n, left = rest.mapInArrow(work, "n long, pairs long").agg(F.sum("n"), F.sum("pairs")).first()
+        if (left or 0) <= 4 * (n or 0):
+            break
+        # too many pairs to compare all: first at most as many as there are rows, which join what is alike in large groups
+        pairs = materialize(rest.mapInArrow(neighbours(salt), "a long, b long").distinct(), "neighbours")
+        close = alike(texts, pairs, shingle, bound, seed)
+        release(pairs)
+        if not close.limit(1).count():
+            break
+        rest, edges = apart(edges.unionAll(close))
+    more = materialize(rest.mapInArrow(across, "a long, b long").distinct(), "candidates")
+    release(met)
     return edges.unionAll(alike(texts, more, shingle, bound, seed)) if more.limit(1).count() else edges
 
 
