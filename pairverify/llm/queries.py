@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 from . import covertree, decontam, langid, packing, pii, repeats, simhash, tokenfile, toxicity, warc
 from ._common import id_crc32
 
+LOWER_COS = 0.4
+
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -57,6 +59,11 @@ def op8_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return covertree.near_vectors(_table(spark, sf_dir, "embeddings"), min_cos=0.95)
 
 
+def vector_links_at_lower_cosine(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """op8's search at a cosine that some of the given vectors reach, as none of the small tables has a pair at 0.95."""
+    return covertree.near_vectors(_table(spark, sf_dir, "embeddings"), min_cos=LOWER_COS)
+
+
 def op9_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.replace_entities(_table(spark, sf_dir, "documents"), pii_key(spark)).select("doc_id", "text", "n_entities")
 
@@ -66,7 +73,7 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_simhash, op2_toxicity, op3_substring_dedup, op4_decontamination, op5_warc, op6_packing, op7_language_id, op8_embedding_dedup, op9_pii, op10_token_files)}
+    return {f.__name__: f for f in (op1_simhash, op2_toxicity, op3_substring_dedup, op4_decontamination, op5_warc, op6_packing, op7_language_id, op8_embedding_dedup, vector_links_at_lower_cosine, op9_pii, op10_token_files)}
 
 
 _OP3 = r"""
@@ -101,4 +108,4 @@ FROM v LEFT JOIN n USING (vec_id) LEFT JOIN c ON c.node = v.vec_id
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_substring_dedup": _OP3, "op5_warc": _OP5, "op8_embedding_dedup": _OP8}
+    return {"op3_substring_dedup": _OP3, "op5_warc": _OP5, "op8_embedding_dedup": _OP8, "vector_links_at_lower_cosine": _OP8.replace("0.95", str(LOWER_COS))}
