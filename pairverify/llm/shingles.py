@@ -4,8 +4,9 @@ Shingles are XXH64 values of runs of words, taken as in simhash. Texts with one
 entry, whose fingerprint is the SimHash of the set. The Gray-order index links fingerprints within k bits. Sets at a
 similarity of 4/5 may differ in more bits than any such index can search, so the rest is found by the sets themselves:
 shingles are put in one order for all texts, rare ones first by counts in hashed slots, and two sets that are alike enough
-must share one of their first members, at 4/5 one of the first fifth of each. Whole sets decide on all candidates, those
-of the index too; equality of shingles and of keys rests on 64 bits.
+must share one of their first members, at 4/5 one of the first fifth of each. A parity sketch of each set, about a bit
+for each member, bounds how far two sets differ from below and drops most candidates that aren't alike before any set is
+read. Whole sets decide on all others, those of the index too; equality of shingles and of keys rests on 64 bits.
 
 Only components are wanted, so a group of many near-copies isn't compared pair by pair: each set first meets one other
 set for each of its first members, and the index's links; after the components of what is alike among these, sets are
@@ -25,7 +26,7 @@ from ._common import connected_components, join_counted, materialize, release, s
 from .simhash import components_of
 from .simhash import links as close_prints
 
-SLOTS, PART = 1 << 20, 1 << 14
+SLOTS, PART, WIDEST = 1 << 20, 1 << 14, 1 << 15
 
 
 def shingle_sets(column, shingle: int = 5, seed: int = 42):
@@ -73,15 +74,62 @@ def set_prints(cuts: np.ndarray, hashes: np.ndarray) -> np.ndarray:
     return out
 
 
+def set_sketches(cuts: np.ndarray, hashes: np.ndarray) -> list[bytes]:
+    """For each set the parity of its members in each of a power of two of hashed places: a place for each member, WIDEST at most.
+
+    Sketches fold: the halves of a wider one, joined by exclusive or, are the sketch at half the width. Two sets differ in
+    at least as many members as their sketches at one width differ in places.
+    """
+    size = np.diff(cuts)
+    width = np.int64(1) << np.ceil(np.log2(np.clip(size, 64, WIDEST))).astype(np.int64)
+    base = np.cumsum(width) - width
+    place = ((hashes >> np.uint64(24)) & np.repeat(width - 1, size).astype(np.uint64)).astype(np.int64) + np.repeat(base, size)
+    flat = np.packbits(np.bincount(place, minlength=int(width.sum())).astype(np.uint8) & 1, bitorder="little").tobytes()
+    return [flat[i:j] for i, j in zip((base // 8).tolist(), ((base + width) // 8).tolist(), strict=True)]
+
+
+def least_difference(x, y, chunk: int = 1 << 19) -> np.ndarray:
+    """For each row of two binary Arrow columns of sketches, the places in which they differ at the smaller one's width."""
+
+    def parts(column):
+        at = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64)
+        return np.frombuffer(column.buffers()[2] or b"", np.uint64, count=int(at[-1]) // 8), at[:-1] // 8, np.diff(at) // 8
+
+    sides, out = [parts(c) for c in (x, y)], np.zeros(len(x), np.int64)
+    widths = np.stack([sides[0][2], sides[1][2]], axis=1)
+    for pair in np.unique(widths, axis=0).tolist():
+        rows = np.flatnonzero((widths == pair).all(axis=1))
+        for lo in range(0, len(rows), step := max(1, chunk // max(pair))):
+            some, folded = rows[lo : lo + step], []
+            for (data, first, _), width in zip(sides, pair, strict=True):
+                bits = data[first[some][:, None] + np.arange(width)]
+                while bits.shape[1] > min(pair):
+                    half = bits.shape[1] // 2
+                    bits = bits[:, :half] ^ bits[:, half:]
+                folded.append(bits)
+            out[some] = np.bitwise_count(folded[0] ^ folded[1]).sum(axis=1, dtype=np.int64)
+    return out
+
+
 def _keyed(docs: DataFrame, id_col: str, text_col: str, shingle: int, seed: int) -> DataFrame:
+    """(id, key, fp, size, sketch) for each row; the sketch is null where the task has given one for that key before."""
+
     def keys(batches):
+        seen = set()
         for b in batches:
-            found = [(set_keys(cuts, h), set_prints(cuts, h)) for _, cuts, h in shingle_sets(b.column(1), shingle, seed)]
-            cols = [np.concatenate([np.zeros(0, np.uint64), *(x[k] for x in found)]).view(np.int64) for k in (0, 1)]
-            yield pa.RecordBatch.from_arrays([b.column(0), *map(pa.array, cols)], ["id", "key", "fp"])
+            cols = [[np.zeros(0, np.int64)] for _ in range(3)]
+            sketches = []
+            for _, cuts, h in shingle_sets(b.column(1), shingle, seed):
+                key = set_keys(cuts, h).view(np.int64)
+                for col, part in zip(cols, (key, set_prints(cuts, h).view(np.int64), np.diff(cuts)), strict=True):
+                    col.append(part)
+                for k, sketch in zip(key.tolist(), set_sketches(cuts, h), strict=True):
+                    sketches.append(None if k in seen else sketch)
+                    seen.add(k)
+            yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(np.concatenate(c)) for c in cols), pa.array(sketches, pa.binary())], ["id", "key", "fp", "size", "sketch"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("id"), text_or_empty(text_col).alias("text")).mapInArrow(keys, f"id {kind}, key long, fp long")
+    return docs.select(F.col(id_col).alias("id"), text_or_empty(text_col).alias("text")).mapInArrow(keys, f"id {kind}, key long, fp long, size long, sketch binary")
 
 
 def slot_counts(texts: DataFrame, shingle: int, seed: int) -> np.ndarray:
@@ -263,21 +311,37 @@ def sets_of(texts: DataFrame, wanted: DataFrame, shingle: int, seed: int) -> Dat
     return texts.mapInArrow(whole_sets, "key long, members array<long>").join(wanted, "key", "left_semi").dropDuplicates(["key"])
 
 
-def alike(texts: DataFrame, pairs: DataFrame, shingle: int, bound: tuple[int, int], seed: int) -> DataFrame:
-    """The rows of pairs (a, b) whose sets have at least the similarity; each distinct set is read from the texts once on each side."""
-    right = sets_of(texts, pairs.select(F.col("b").alias("key")), shingle, seed).select(F.col("key").alias("b"), F.col("members").alias("y"))
-    right = materialize(pairs.join(right, "b"), "right")
-    left = sets_of(texts, pairs.select(F.col("a").alias("key")), shingle, seed).select(F.col("key").alias("a"), F.col("members").alias("x"))
-    both = right.join(left, "a").select("a", "b", (F.size("x") + F.size("y")).alias("total"), F.size(F.array_intersect("x", "y")).alias("shared"))
+def may_be_alike(pairs: DataFrame, sketches: DataFrame, bound: tuple[int, int]) -> DataFrame:
+    """The rows of pairs (a, b) but those whose sketches show that their sets are less alike than the bound."""
+
+    def near(batches):
+        for b in batches:
+            total = b.column(2).to_numpy(zero_copy_only=False)
+            good = (bound[0] + bound[1]) * least_difference(b.column(3), b.column(4)) <= (bound[1] - bound[0]) * total
+            yield pa.RecordBatch.from_arrays([c.filter(pa.array(good)) for c in b.columns[:2]], ["a", "b"])
+
+    side = lambda key, n, bits: sketches.select(F.col("key").alias(key), F.col("size").alias(n), F.col("sketch").alias(bits))
+    both = pairs.join(side("b", "m", "y"), "b").join(side("a", "n", "x"), "a")
+    return both.select("a", "b", (F.col("n") + F.col("m")).alias("total"), "x", "y").mapInArrow(near, "a long, b long")
+
+
+def alike(texts: DataFrame, pairs: DataFrame, sketches: DataFrame, shingle: int, bound: tuple[int, int], seed: int) -> DataFrame:
+    """The rows of pairs (a, b) whose sets have at least the similarity; sets that the sketches leave are read from the texts once."""
+    near = materialize(may_be_alike(pairs, sketches, bound), "near")
+    if not near.limit(1).count():
+        return near
+    sets = materialize(sets_of(texts, near.select(F.col("a").alias("key")).unionAll(near.select(F.col("b").alias("key"))), shingle, seed), "sets")
+    side = lambda key, members: sets.select(F.col("key").alias(key), F.col("members").alias(members))
+    both = near.join(side("b", "y"), "b").join(side("a", "x"), "a").select("a", "b", (F.size("x") + F.size("y")).alias("total"), F.size(F.array_intersect("x", "y")).alias("shared"))
     out = materialize(both.where((bound[0] + bound[1]) * F.col("shared") >= bound[0] * F.col("total")).select("a", "b"), "alike")
-    release(right)
+    release(near, sets)
     return out
 
 
-def links(docs: DataFrame, text_col: str = "text", shingle: int = 5, bound: tuple[int, int] = (4, 5), seed: int = 42, rows: int = 1_000_000, first: DataFrame | None = None, rounds: int = 2) -> DataFrame:
+def links(docs: DataFrame, sketches: DataFrame, text_col: str = "text", shingle: int = 5, bound: tuple[int, int] = (4, 5), seed: int = 42, rows: int = 1_000_000, first: DataFrame | None = None, rounds: int = 2) -> DataFrame:
     """Edges (a, b) between keys of sets that connect exactly those which chains of sets with at least the similarity connect.
 
-    first: pairs of keys to compare before all others, from another index. rounds: how often at most neighbours in a mixed
+    sketches: key, size and sketch of each set, see set_sketches. first: pairs of keys to compare before all others, from another index. rounds: how often at most neighbours in a mixed
     order are compared before all pairs that are still in different components.
     """
     ship()
@@ -346,7 +410,7 @@ def links(docs: DataFrame, text_col: str = "text", shingle: int = 5, bound: tupl
     met = materialize(members.repartition(tasks, "token").sortWithinPartitions("token").mapInArrow(meet, "token long, key long, size int, place int"), "met")
     pairs = met.where("size is null").select(F.col("token").alias("a"), F.col("key").alias("b"))
     pairs = materialize((pairs if first is None else pairs.unionAll(first.select("a", "b"))).where("a <> b").distinct(), "pairs")
-    rest, edges = apart(alike(texts, pairs, shingle, bound, seed))
+    rest, edges = apart(alike(texts, pairs, sketches, shingle, bound, seed))
     release(pairs)
     for salt in range(1, rounds + 1):
         n, left = rest.mapInArrow(work, "n long, pairs long").agg(F.sum("n"), F.sum("pairs")).first()
@@ -354,14 +418,14 @@ def links(docs: DataFrame, text_col: str = "text", shingle: int = 5, bound: tupl
             break
         # too many pairs to compare all: first at most as many as there are rows, which join what is alike in large groups
         pairs = materialize(rest.mapInArrow(neighbours(salt), "a long, b long").distinct(), "neighbours")
-        close = alike(texts, pairs, shingle, bound, seed)
+        close = alike(texts, pairs, sketches, shingle, bound, seed)
         release(pairs)
         if not close.limit(1).count():
             break
         rest, edges = apart(edges.unionAll(close))
     more = materialize(rest.mapInArrow(across, "a long, b long").distinct(), "candidates")
     release(met)
-    return edges.unionAll(alike(texts, more, shingle, bound, seed)) if more.limit(1).count() else edges
+    return edges.unionAll(alike(texts, more, sketches, shingle, bound, seed)) if more.limit(1).count() else edges
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, bound: tuple[int, int] = (4, 5), seed: int = 42, k: int = 3) -> DataFrame:
@@ -371,10 +435,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """
     ship()
     marked = materialize(_keyed(docs, id_col, text_col, shingle, seed), "keys")
+    sketches = materialize(marked.where("sketch is not null").select("key", "size", "sketch").dropDuplicates(["key"]), "sketches")
     groups = materialize(marked.groupBy("key").agg(F.min("id").alias("least"), F.count("*").alias("n"), F.first("fp").alias("fp")), "groups")
     heads = materialize(groups.groupBy("fp").agg(F.min("key").alias("head"), F.count("*").alias("n")), "heads")
     same = join_counted(groups.select("key", "fp"), heads, "fp", "n").select(F.col("head").alias("a"), F.col("key").alias("b"))
     head = lambda fp, name: heads.select(F.col("fp").alias(fp), F.col("head").alias(name))
     close = close_prints(heads.select("fp"), k).join(head("a", "x"), "a").join(head("b", "y"), "b").select(F.col("y").alias("a"), F.col("x").alias("b"))
-    edges = links(docs, text_col, shingle, bound, seed, first=same.unionAll(close))
+    edges = links(docs, sketches, text_col, shingle, bound, seed, first=same.unionAll(close))
     return components_of(marked.select("id", "key"), groups.drop("fp"), edges, "key").withColumnRenamed("id", id_col).select(id_col, "component_id")

@@ -5,6 +5,7 @@ import random
 
 import corpus_pipeline
 import numpy as np
+import pyarrow as pa
 from pairverify.llm import shingles
 
 
@@ -81,3 +82,20 @@ def test_candidates_do_not_depend_on_counts():
         for a, b in shingles.candidates(token, row, np.diff(cuts)[row], place, (4, 5), chunk=50):
             found |= set(zip(a.tolist(), b.tolist(), strict=True))
         assert len(alike) > 50 and alike <= found
+
+
+def test_sketches_never_exceed_the_difference_of_sets():
+    rng = np.random.default_rng(1)
+    sets = [np.unique(rng.integers(0, 1 << 63, n).astype(np.uint64)) for n in (0, 1, 5, 63, 64, 65, 300, 1000, 5000, 50_000)]
+    sets += [np.append(s[rng.random(len(s)) < share], np.arange(k, dtype=np.uint64) << np.uint64(30)) for s in sets for share, k in ((1.0, 0), (0.97, 3), (0.5, 40), (0.0, 0))]
+    cuts = np.append(0, np.cumsum([len(s) for s in sets]))
+    bits = shingles.set_sketches(cuts, np.concatenate(sets))
+    assert {len(b) for b in bits} <= {8 << k for k in range(10)}
+    pairs = list(itertools.product(range(len(sets)), repeat=2))
+    x, y = (pa.array([bits[p[side]] for p in pairs], pa.binary()) for side in (0, 1))
+    least = shingles.least_difference(x, y, chunk=100)
+    apart = np.array([len(np.setxor1d(sets[i], sets[j])) for i, j in pairs])
+    assert (least <= apart).all() and (least[apart == 0] == 0).all()
+    small = apart <= 2
+    assert (least[~small] > 0).mean() > 0.95
+    assert (shingles.least_difference(x.slice(7, 50), y.slice(7, 50)) == least[7:57]).all()
