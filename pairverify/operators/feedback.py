@@ -31,7 +31,11 @@ def extended(queries: DataFrame, human: DataFrame, generated: DataFrame) -> Data
     queries: query_id, shape, split, sparql, q_text, described; human and generated: query_id, text, score.
     """
     side = lambda df, name: df.select("query_id", F.struct("text", "score").alias(name))
-    rows = queries.join(side(human, "human"), "query_id", "left").join(side(generated, "generated"), "query_id", "left")
+    return records(queries.join(side(human, "human"), "query_id", "left").join(side(generated, "generated"), "query_id", "left"))
+
+
+def records(rows: DataFrame) -> DataFrame:
+    """The nested records of queries that have both texts with their scores beside them, as structs human and generated."""
     return rows.select("query_id", F.struct("sparql", "shape").alias("original"), F.col("q_text").alias("relabelled"), F.col("described").alias("descriptions"), "human", "generated", "split", "shape")
 
 

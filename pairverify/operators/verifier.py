@@ -7,13 +7,16 @@ Cross-encoder: features of both texts together and a one-layer logistic head, tr
 from __future__ import annotations
 
 import copy
+import math
 import re
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 from pairverify.constants import BI_BUCKETS, CROSS_BUCKETS, MARGIN, TAU, WIDTH
 from pairverify.functions.text import cosine, tokens
 from pairverify.operators.translate import ship
+from pairverify.plans.querytext import bare_numbers
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -133,6 +136,56 @@ def joint_features(q: str, t: str, context: str = "both") -> list[str]:
     return out
 
 
+def murmur3(data: bytes, seed: int = 42) -> int:
+    """The hash by which HashingTF finds a term's place: signed 32-bit MurmurHash3."""
+    h, whole = seed, len(data) // 4 * 4
+    for at in range(0, len(data), 4):
+        k = int.from_bytes(data[at : at + 4], "little") * 0xCC9E2D51 & 0xFFFFFFFF
+        h ^= ((k << 15 | k >> 17) & 0xFFFFFFFF) * 0x1B873593 & 0xFFFFFFFF
+        if at < whole:
+            h = ((h << 13 | h >> 19) & 0xFFFFFFFF) * 5 + 0xE6546B64 & 0xFFFFFFFF
+    h ^= len(data)
+    h = (h ^ h >> 16) * 0x85EBCA6B & 0xFFFFFFFF
+    h = (h ^ h >> 13) * 0xC2B2AE35 & 0xFFFFFFFF
+    h ^= h >> 16
+    return h - (1 << 32) if h >> 31 else h
+
+
+class LinearScorer:
+    """Scores of pairs by a linear model's weights, in the worker.
+
+    Features don't hold the numbers of names, unless such a name stands where it is not expected; so pairs that differ in
+    numbers of names only, and have no feature with one, share a score that is worked out once.
+    """
+
+    def __init__(self, weights: np.ndarray, bias: float, context: str = "both", most: int = 1 << 18):
+        self.weights, self.bias, self.context, self.most = weights, bias, context, most
+        self.place: dict[str, float] = {}
+        self.known: dict[tuple[str, str], float | None] = {}
+
+    def _weigh(self, found: list[str]) -> float:
+        total = self.bias
+        for f in found:
+            w = self.place.get(f)
+            if w is None:
+                if len(self.place) >= self.most:
+                    self.place.clear()
+                w = self.place[f] = float(self.weights[murmur3(f.encode()) % len(self.weights)])
+            total += w
+        return 1 / (1 + math.exp(-total)) if total > -700 else 0.0
+
+    def score(self, q: str, t: str) -> float:
+        seen: dict[str, str] = {}
+        a, b = bare_numbers(q, seen)[0], bare_numbers(t, seen)[0]
+        if (a, b) not in self.known:
+            if len(self.known) >= self.most:
+                self.known.clear()
+            found = joint_features(a, b, self.context)
+            self.known[a, b] = None if any("#" in f for f in found) else self._weigh(found)
+        own = self.known[a, b]
+        return self._weigh(joint_features(q, t, self.context)) if own is None else own
+
+
 def features(pairs: DataFrame, q: str = "q_text", t: str = "text", buckets: int = CROSS_BUCKETS, context: str = "both") -> DataFrame:
     from pyspark.ml.feature import HashingTF
 
@@ -167,8 +220,20 @@ class CrossEncoder:
         return out
 
     def score(self, pairs: DataFrame, out: str = "score") -> DataFrame:
+        """Linear heads score in one pass over the texts; others through their features."""
         from pyspark.ml.functions import vector_to_array
 
+        if hasattr(self.model, "coefficients"):
+            ship()
+            shared, bias, context = pairs.sparkSession.sparkContext.broadcast(self.model.coefficients.toArray()), self.model.intercept, self.options.get("context", "both")
+
+            @F.pandas_udf("double")
+            def run(frames: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
+                scorer = LinearScorer(shared.value, bias, context)
+                for a, b in frames:
+                    yield pd.Series([None if x is None or y is None else scorer.score(x, y) for x, y in zip(a, b, strict=True)], dtype="float64")
+
+            return pairs.withColumn(out, run("q_text", "text"))
         rows = self.model.transform(features(pairs, buckets=self.buckets, **self.options))
         s = F.when(F.col("q_text").isNotNull() & F.col("text").isNotNull(), vector_to_array("probability")[1])
         return rows.withColumn(out, s).drop("features", "rawPrediction", "probability", "prediction")
