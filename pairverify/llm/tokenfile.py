@@ -25,6 +25,8 @@ from ._common import materialize, scratch_dir, ship, text_or_empty
 from .tokenizing import ChunkEncoder, encoder, tokenizer_file
 
 MARK = 0x544F4B46494C4531
+#: Chunks that a worker's encoder keeps; with files of 16 MB this is what a task holds at a time.
+MOST_KEPT = 400_000
 
 
 def footer(keys: list[np.ndarray], there: list[np.ndarray], counts: list[np.ndarray], part: int, width: int) -> bytes:
@@ -55,7 +57,7 @@ def open_file(path: str):
     return parse(np.memmap(path, np.uint8, "r"))
 
 
-def write(docs: DataFrame, path: str, tokenizer: str | None = None, style: str = "words", end_id: int = 2, id_col: str = "doc_id", text_col: str = "text", file_bytes: int = 64 << 20) -> None:
+def write(docs: DataFrame, path: str, tokenizer: str | None = None, style: str = "words", end_id: int = 2, id_col: str = "doc_id", text_col: str = "text", file_bytes: int = 16 << 20) -> None:
     """Write all documents in ascending id order (nulls first; rows that repeat an id by a hash of their texts).
 
     A null or empty text gives the end id alone. Files take about `file_bytes` of text each, rows that share an id also
@@ -76,7 +78,7 @@ def write(docs: DataFrame, path: str, tokenizer: str | None = None, style: str =
     def encode(batches):
         from pyspark import TaskContext
 
-        coder, keys, there, counts = encoder(file, style), [], [], []
+        coder, keys, there, counts = encoder(file, style, MOST_KEPT), [], [], []
         for b in batches:
             column = b.column(0)
             keys.append(column.fill_null(0).to_numpy(zero_copy_only=False))

@@ -28,14 +28,17 @@ def tokenizer_file(name: str) -> str:
     return public_tokenizers.path(name)
 
 
-def encoder(path: str, style: str) -> "ChunkEncoder":
-    """This process's encoder for a tokenizer; it outlives the task, so later tasks find the chunks it knows."""
+def encoder(path: str, style: str, most_kept: int = 2_000_000) -> "ChunkEncoder":
+    """This process's encoder for a tokenizer; it outlives the task, so later tasks find the chunks it knows.
+
+    most_kept bounds what it keeps: about 70 bytes for a chunk, of which most stand in one text only.
+    """
     # functions are shipped by value, so what a worker keeps between tasks has to live in a module of its own
     held = sys.modules.setdefault("pairverify_worker_state", types.ModuleType("pairverify_worker_state")).__dict__.setdefault("encoders", {})
-    if (path, style) not in held:
+    if (path, style, most_kept) not in held:
         held.clear()
-        held[path, style] = ChunkEncoder(path, style)
-    return held[path, style]
+        held[path, style, most_kept] = ChunkEncoder(path, style, most_kept)
+    return held[path, style, most_kept]
 
 
 class ChunkEncoder:

@@ -5,6 +5,7 @@ import collections
 import hashlib
 import itertools
 import math
+import os
 import random
 import re
 import zlib
@@ -522,3 +523,16 @@ def test_xxh64_of_slices():
     size = g.integers(0, 1000, 400)
     raw = buf.tobytes()
     assert [int(h) for h in _bytes.xxh64(buf, start, size)] == [xxhash.xxh64_intdigest(raw[a : a + n], 42) for a, n in zip(start, size, strict=True)]
+
+
+def test_token_files_stay_small_without_being_told(spark, tmp_path):
+    """Files of about 16 MB of text, and encoders that keep a bounded number of chunks, whatever the corpus holds."""
+    from pairverify.llm import tokenfile, tokenizing
+
+    docs = spark.range(40).select(F.col("id").alias("doc_id"), F.repeat(F.concat(F.lit("ab "), F.col("id").cast("string"), F.lit(" ")), 160_000).alias("text"))
+    tokenfile.write(docs, f"{tmp_path}/t")
+    rows = {r["doc_id"]: r for r in tokenfile.read(spark, f"{tmp_path}/t").collect()}
+    assert len(rows) == 40 and all(r["n_tokens"] >= 320_001 for r in rows.values())
+    total = docs.agg(F.sum(F.octet_length("text"))).first()[0]
+    assert sum(1 for f in os.listdir(tmp_path / "t") if f.startswith("part-") and os.path.getsize(tmp_path / "t" / f) > 200) > total // (24 << 20) >= 1
+    assert tokenizing.encoder(tokenizing.tokenizer_file("word_bpe_49k.json"), "words", tokenfile.MOST_KEPT).most_kept <= 500_000
