@@ -27,6 +27,8 @@ from .simhash import components_of
 from .simhash import links as close_prints
 
 SLOTS, PART, WIDEST = 1 << 20, 1 << 14, 1 << 15
+#: 64-bit words of the least sketch, to which all others fold.
+BRIEF = 4
 
 
 def shingle_sets(column, shingle: int = 5, seed: int = 42):
@@ -75,13 +77,13 @@ def set_prints(cuts: np.ndarray, hashes: np.ndarray) -> np.ndarray:
 
 
 def set_sketches(cuts: np.ndarray, hashes: np.ndarray) -> list[bytes]:
-    """For each set the parity of its members in each of a power of two of hashed places: a place for each member, WIDEST at most.
+    """For each set the parity of its members in each of a power of two of hashed places: a place for each member, 256 at least and WIDEST at most.
 
     Sketches fold: the halves of a wider one, joined by exclusive or, are the sketch at half the width. Two sets differ in
     at least as many members as their sketches at one width differ in places.
     """
     size = np.diff(cuts)
-    width = np.int64(1) << np.ceil(np.log2(np.clip(size, 64, WIDEST))).astype(np.int64)
+    width = np.int64(1) << np.ceil(np.log2(np.clip(size, 64 * BRIEF, WIDEST))).astype(np.int64)
     base = np.cumsum(width) - width
     place = ((hashes >> np.uint64(24)) & np.repeat(width - 1, size).astype(np.uint64)).astype(np.int64) + np.repeat(base, size)
     flat = np.packbits(np.bincount(place, minlength=int(width.sum())).astype(np.uint8) & 1, bitorder="little").tobytes()
@@ -111,6 +113,27 @@ def least_difference(x, y, chunk: int = 1 << 19) -> np.ndarray:
     return out
 
 
+def brief_words(column) -> np.ndarray:
+    """Sketches of a binary Arrow column folded to BRIEF words each."""
+    at = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64)
+    data, first, width = np.frombuffer(column.buffers()[2] or b"", np.uint64, count=int(at[-1]) // 8), at[:-1] // 8, np.diff(at) // 8
+    out = np.zeros((len(column), BRIEF), np.uint64)
+    for w in np.unique(width).tolist():
+        rows = np.flatnonzero(width == w)
+        for lo in range(0, len(rows), step := max(1, (1 << 19) // w)):
+            bits = data[first[rows[lo : lo + step]][:, None] + np.arange(w)]
+            out[rows[lo : lo + step]] = np.bitwise_xor.reduce(bits.reshape(len(bits), -1, BRIEF), axis=1)
+    return out
+
+
+def _near(brief: np.ndarray | None, size: np.ndarray, a: np.ndarray, b: np.ndarray, bound: tuple[int, int]) -> np.ndarray:
+    """Whether the folded sketches of rows a and b leave room for the bound; it never leaves out a pair that reaches it."""
+    if brief is None:
+        return np.ones(len(a), bool)
+    apart = np.bitwise_count(brief[a] ^ brief[b]).sum(axis=1, dtype=np.int64)
+    return (bound[0] + bound[1]) * apart <= (bound[1] - bound[0]) * (size[a].astype(np.int64) + size[b])
+
+
 def _keyed(docs: DataFrame, id_col: str, text_col: str, shingle: int, seed: int) -> DataFrame:
     """(id, key, fp, size, sketch) for each row; the sketch is null where the task has given one for that key before."""
 
@@ -199,25 +222,27 @@ def stars(token: np.ndarray, key: np.ndarray, size: np.ndarray, place: np.ndarra
     return _distinct(key[first[b]], key[b]), np.bincount(group, minlength=1)[group] > 2 if len(group) else np.zeros(0, bool), met
 
 
-def chains(token: np.ndarray, key: np.ndarray, size: np.ndarray, place: np.ndarray, own: np.ndarray, bound: tuple[int, int], salt: int):
+def chains(token: np.ndarray, key: np.ndarray, size: np.ndarray, place: np.ndarray, own: np.ndarray, bound: tuple[int, int], salt: int, brief: np.ndarray | None = None):
     """Pairs of neighbours of different components in an order of each token's keys that differs from token to token."""
     mixed = mix(key.view(np.uint64) ^ mix(token.view(np.uint64) + np.uint64(salt)))
     order = np.lexsort((mixed, token))
     a, b = order[:-1], order[1:]
     good = (token[a] == token[b]) & (own[a] != own[b])
     a, b = a[good], b[good]
-    good = _fits(size.astype(np.int64), place.astype(np.int64), a, b, bound)
+    good = _fits(size.astype(np.int64), place.astype(np.int64), a, b, bound) & _near(brief, size, a, b, bound)
     x, y = key[a[good]], key[b[good]]
     return _distinct(np.minimum(x, y), np.maximum(x, y))
 
 
-def candidates(token: np.ndarray, key: np.ndarray, size: np.ndarray, place: np.ndarray, bound: tuple[int, int], chunk: int = 1 << 21, own: np.ndarray | None = None):
+def candidates(token: np.ndarray, key: np.ndarray, size: np.ndarray, place: np.ndarray, bound: tuple[int, int], chunk: int = 1 << 21, own: np.ndarray | None = None, brief: np.ndarray | None = None):
     """Yields arrays (a, b), a < b, of keys that share a token and whose sizes and places leave room for the bound.
 
     own: a component for each row; then only keys of different components are paired, and a token's rows of one component
-    are not met with each other if that is less work than to take all partners by size.
+    are not met with each other if that is less work than to take all partners by size. brief: the folded sketch of each
+    row's set; pairs that it shows to be too different are left out here, before they become rows of a join.
     """
-    group, _, key, size, place, *own = _met(token, key, size, place, *([] if own is None else [own]))
+    group, _, key, size, place, *own = _met(token, key, size, place, *([] if own is None else [own]), *([] if brief is None else [brief]))
+    brief = own.pop() if brief is not None else None
     at, n = np.arange(len(key)), len(key)
     step = int(size.max(initial=0)) * bound[1] + 1
     # sizes rise within a token, so partners of a row are the run behind it up to the largest size the bound allows
@@ -240,6 +265,9 @@ def candidates(token: np.ndarray, key: np.ndarray, size: np.ndarray, place: np.n
             good = _fits(size, place, a, b, bound)
             if own:
                 good &= own[0][a] != own[0][b]
+            if brief is not None:
+                a, b = a[good], b[good]
+                good = _near(brief, size, a, b, bound)
             x, y = key[a[good]], key[b[good]]
             yield _distinct(np.minimum(x, y), np.maximum(x, y))
             lo = hi
@@ -375,14 +403,14 @@ def links(docs: DataFrame, sketches: DataFrame, text_col: str = "text", shingle:
             yield pa.RecordBatch.from_arrays([pa.array(token[more]), pa.array(key[more]), pa.array(size[more].astype(np.int32)), pa.array(place[more].astype(np.int32))], names)
 
     def across(batches):
-        for token, key, size, place, own in by_token(batches):
-            for a, b in candidates(token, key, size, place, bound, own=own):
+        for token, key, size, place, own, *words in by_token(batches):
+            for a, b in candidates(token, key, size, place, bound, own=own, brief=np.stack(words, axis=1).view(np.uint64)):
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
 
     def neighbours(salt):
         def run(batches):
-            for token, key, size, place, own in by_token(batches):
-                a, b = chains(token, key, size, place, own, bound, salt)
+            for token, key, size, place, own, *words in by_token(batches):
+                a, b = chains(token, key, size, place, own, bound, salt, np.stack(words, axis=1).view(np.uint64))
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
 
         return run
@@ -391,7 +419,7 @@ def links(docs: DataFrame, sketches: DataFrame, text_col: str = "text", shingle:
         """Rows, and pairs at most that are left to compare."""
         rows = pairs = 0
         square = lambda first: int((np.diff(np.append(np.flatnonzero(first), len(first))) ** 2).sum())
-        for token, _, _, _, own in by_token(batches):
+        for token, _, _, _, own, *_ in by_token(batches):
             order = np.lexsort((own, token))
             token, own = token[order], own[order]
             new = np.append(True, token[1:] != token[:-1])
@@ -402,9 +430,16 @@ def links(docs: DataFrame, sketches: DataFrame, text_col: str = "text", shingle:
     def apart(edges):
         """What may have further partners, with its component by the edges, and the edges as one link to each component's root."""
         roots = materialize(connected_components(edges), "roots")
-        rest = met.where("size is not null").join(roots.withColumnRenamed("node", "key"), "key", "left").select("token", "key", "size", "place", F.coalesce("root", "key").alias("own"))
+        rest = met.where("size is not null").join(roots.withColumnRenamed("node", "key"), "key", "left").join(briefs, "key").select("token", "key", "size", "place", F.coalesce("root", "key").alias("own"), *words)
         return rest.repartition(tasks, "token").sortWithinPartitions("token"), roots.select(F.col("node").alias("a"), F.col("root").alias("b"))
 
+    def folded(batches):
+        for b in batches:
+            own = brief_words(b.column(1)).view(np.int64)
+            yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(own[:, k].copy()) for k in range(BRIEF))], ["key", *words])
+
+    words = [f"w{k}" for k in range(BRIEF)]
+    briefs = materialize(sketches.select("key", "sketch").mapInArrow(folded, "key long, " + ", ".join(f"{w} long" for w in words)), "briefs")
     names = ["token", "key", "size", "place"]
     members = texts.mapInArrow(first_members, "token long, key long, size int, place int")
     met = materialize(members.repartition(tasks, "token").sortWithinPartitions("token").mapInArrow(meet, "token long, key long, size int, place int"), "met")

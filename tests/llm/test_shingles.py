@@ -99,3 +99,30 @@ def test_sketches_never_exceed_the_difference_of_sets():
     small = apart <= 2
     assert (least[~small] > 0).mean() > 0.95
     assert (shingles.least_difference(x.slice(7, 50), y.slice(7, 50)) == least[7:57]).all()
+
+
+def test_folded_sketches_leave_out_near_copies_that_are_not_alike():
+    """Copies of one text with two words changed share rare members by pairs; few of those pairs become rows, and none alike is lost."""
+    rng = random.Random(8)
+    base, texts = [f"b{k}" for k in range(60)], []
+    for k in range(400):
+        own = list(base)
+        for at in rng.sample(range(60), 1 + k % 2):
+            own[at] = f"x{rng.randrange(3)}"
+        texts.append(" ".join(own))
+    texts = sorted(set(texts))
+    ((_, cuts, h),) = shingles.shingle_sets(pa.array(texts), 5)
+    size, key = np.diff(cuts), np.arange(len(texts))
+    brief = shingles.brief_words(pa.array(shingles.set_sketches(cuts, h), pa.binary()))
+    row = np.repeat(key, size)
+    token, place = h.view(np.int64), np.zeros(len(row), np.int64)  # every shingle, as though all were among the first
+    pairs = lambda brief: {p for a, b in shingles.candidates(token, row, size[row], place, (4, 5), own=row, brief=brief) for p in zip(a.tolist(), b.tolist(), strict=True)}
+    plain, left = pairs(None), pairs(brief[row])
+    parts = {p: jaccard_parts(texts[p[0]], texts[p[1]]) for p in plain}
+    alike = {p for p, (n, m) in parts.items() if 5 * n >= 4 * m}
+    assert alike <= left < plain and len(alike) > 100 and len(left) - len(alike) < (len(plain) - len(alike)) // 20
+    a, b = np.arange(len(texts) - 1), np.arange(1, len(texts))
+    difference = np.array([len(set(h[cuts[x] : cuts[x + 1]].tolist()) ^ set(h[cuts[y] : cuts[y + 1]].tolist())) for x, y in zip(a, b, strict=True)])
+    assert (np.bitwise_count(brief[a] ^ brief[b]).sum(axis=1) <= difference).all()
+    wide = shingles.set_sketches(np.array([0, 5000]), np.sort(np.random.default_rng(1).integers(0, 1 << 63, 5000).astype(np.uint64)))
+    assert shingles.brief_words(pa.array(wide, pa.binary())).shape == (1, shingles.BRIEF)
