@@ -7,7 +7,7 @@ of documents, with all further columns that documents have, whatever their names
 from __future__ import annotations
 
 from pairverify.llm import decontam, packing, pii, simhash, toxicity
-from pairverify.llm._common import id_crc32, materialize
+from pairverify.llm._common import id_crc32, materialize, small_batches, without
 from pairverify.llm.queries import pii_key
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -21,8 +21,9 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     model = toxicity.fit(docs, labels, id_crc32("doc_id") % 5 != 0)
-    scored = toxicity.score(docs, model).where("score >= 0.5").select(F.col("doc_id").alias("__bad")).where("__bad is not null").distinct()
-    return docs.join(scored, docs["doc_id"] == scored["__bad"], "left_anti")
+    bad = toxicity.score(docs, model).where("score >= 0.5 and doc_id is not null").select("doc_id").distinct()
+    with small_batches(spark):
+        return without(docs, bad, "doc_id")
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -31,7 +32,8 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
     The smallest id stays. Null and empty texts are alike. Rows of one id stay or go together; rows without an id stay.
     An empty table stays empty.
     """
-    return simhash.one_of_each(docs, k=3, shingle=5, similarity=(4, 5))
+    with small_batches(spark):
+        return simhash.one_of_each(docs, k=3, shingle=5, similarity=(4, 5))
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -39,7 +41,8 @@ def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
     Null and empty texts stay, as do rows without an id; rows of one id go together. With an empty benchmark all stay.
     """
-    return decontam.clean(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+    with small_batches(spark):
+        return decontam.clean(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def hide_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -57,7 +60,8 @@ def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     A null or empty text is the end id alone; rows that repeat an id, or have none, are packed one by one. An empty table
     gives no rows.
     """
-    return packing.pack(docs)
+    with small_batches(spark):
+        return packing.pack(docs)
 
 
 STAGES = [

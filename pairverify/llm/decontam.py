@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ._bytes import Hasher, lower_table, mix, slices, spread, word_bounds
-from ._common import ship, text_or_empty
+from ._common import ship, text_or_empty, without
 
 MATCH, MISS, GAP = 2, -1, -1
 
@@ -225,5 +225,5 @@ def _aligned(texts: DataFrame, shared, min_share: float, kind: str, item_kind: s
 
 def clean(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
     """The documents that match no item, with all their columns. A document without an id stays."""
-    found = matches(docs, benchmark, id_col=id_col, **options).select(F.col(id_col).alias("__hit")).where("__hit is not null").distinct()
-    return docs.join(found, docs[id_col] == found["__hit"], "left_anti")
+    found = matches(docs, benchmark, id_col=id_col, **options).select(id_col).where(F.col(id_col).isNotNull()).distinct()
+    return without(docs, found, id_col)

@@ -34,7 +34,7 @@ BRIEF = 4
 def shingle_sets(column, shingle: int = 5, seed: int = 42):
     """Yields (first row, cuts, hashes): hashes[cuts[r]:cuts[r + 1]] is the sorted set of row first + r of an Arrow string column."""
     space, lower = space_table(), lower_table()
-    for i, j, buf, off in slices(column, 2 << 20):
+    for i, j, buf, off in slices(column, 1 << 19):
         buf = lower[buf]
         start, stop, words = word_bounds(buf, off, space)
         if not len(start):

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ._bytes import lower_table, slices, space_table, spread, word_bounds, xxh64
-from ._common import connected_components, join_counted, materialize, ship, text_or_empty
+from ._common import connected_components, join_counted, materialize, ship, text_or_empty, without
 
 FAN = 16
 
@@ -255,5 +255,4 @@ def one_of_each(docs: DataFrame, id_col: str = "doc_id", found: DataFrame | None
     """
     found = near_duplicates(docs, id_col, **options) if found is None else found
     stands = found.where(F.col(id_col).isNotNull()).groupBy(id_col).agg(F.max(F.col(id_col) == F.col("component_id")).alias("stands"))
-    gone = stands.where(~F.col("stands")).select(F.col(id_col).alias("__gone"))
-    return docs.join(gone, docs[id_col] == gone["__gone"], "left_anti")
+    return without(docs, stands.where(~F.col("stands")).select(id_col), id_col)

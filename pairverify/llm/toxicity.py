@@ -188,11 +188,11 @@ class ToxicityModel:
         self.network.p = parameters
         self.slope, self.shift, self.prior = slope, shift, prior
 
-    def scores(self, column, most: int = 4096) -> np.ndarray:
+    def scores(self, column, most: int = 1024) -> np.ndarray:
         """Probability for each text of an Arrow column, from all its windows; texts without words get the base rate."""
         out = np.full(len(column), -np.inf, np.float64)
         hasher, lower, space = Hasher(), lower_table(), space_table()
-        for i, j, buf, off in slices(column, 2 << 20):
+        for i, j, buf, off in slices(column, 1 << 19):
             buf = lower[buf]
             start, stop, before = word_bounds(buf, off, space)
             if not len(start):
