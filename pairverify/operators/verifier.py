@@ -13,6 +13,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pairverify.constants import BI_BUCKETS, CROSS_BUCKETS, MARGIN, TAU, WIDTH
 from pairverify.functions.text import cosine, tokens
 from pairverify.operators.translate import ship
@@ -174,17 +175,31 @@ class LinearScorer:
             total += w
         return 1 / (1 + math.exp(-total)) if total > -700 else 0.0
 
-    def score(self, q: str, t: str) -> float:
-        seen: dict[str, str] = {}
-        a, b = bare_numbers(q, seen)[0], bare_numbers(t, seen)[0]
+    def shared(self, a: str, b: str) -> float | None:
+        """The score of all pairs whose texts without the numbers of names are a and b; None where it depends on them."""
         if (a, b) not in self.known:
             if len(self.known) >= self.most:
                 self.known.clear()
             found = joint_features(a, b, self.context)
             self.known[a, b] = None if any("#" in f for f in found) else self._weigh(found)
-        own = self.known[a, b]
+        return self.known[a, b]
+
+    def score(self, q: str, t: str) -> float:
+        seen: dict[str, str] = {}
+        own = self.shared(bare_numbers(q, seen)[0], bare_numbers(t, seen)[0])
         return self._weigh(joint_features(q, t, self.context)) if own is None else own
 
+    def scores(self, q: pa.Array, t: pa.Array, a: pa.Array, b: pa.Array) -> pa.Array:
+        """score() of a batch of pairs (q, t) whose texts without numbers, a and b, are given or null; each distinct (a, b) is looked up once."""
+        left, right = a.dictionary_encode(), b.dictionary_encode()
+        i, j = (x.indices.fill_null(-1).to_numpy(zero_copy_only=False).astype(np.int64) for x in (left, right))
+        pair, back = np.unique((i + 1) * (len(right.dictionary) + 1) + j + 1, return_inverse=True)
+        known = [self.shared(left.dictionary[x - 1].as_py(), right.dictionary[y - 1].as_py()) if x and y else None for x, y in (divmod(int(p), len(right.dictionary) + 1) for p in pair)]
+        out = np.array([np.nan if x is None else x for x in known])[back]
+        for k in np.flatnonzero(np.array([x is None for x in known], bool)[back]).tolist():
+            out[k] = self.score(q[k].as_py(), t[k].as_py()) if q[k].is_valid and t[k].is_valid else np.nan
+        return pa.array(out, pa.float64(), mask=np.isnan(out))
+
 
 def features(pairs: DataFrame, q: str = "q_text", t: str = "text", buckets: int = CROSS_BUCKETS, context: str = "both") -> DataFrame:
     from pyspark.ml.feature import HashingTF
@@ -220,13 +235,23 @@ class CrossEncoder:
         return out
 
     def score(self, pairs: DataFrame, out: str = "score") -> DataFrame:
-        """Linear heads score in one pass over the texts; others through their features."""
+        """Linear heads score in one pass over the texts; others through their features. q_bare and text_bare (last_answers()) spare them reading each text again."""
         from pyspark.ml.functions import vector_to_array
 
         if hasattr(self.model, "coefficients"):
             ship()
             shared, bias, context = pairs.sparkSession.sparkContext.broadcast(self.model.coefficients.toArray()), self.model.intercept, self.options.get("context", "both")
 
+            if {"q_bare", "text_bare"} <= set(pairs.columns):
+
+                @F.arrow_udf("double")
+                def known(batches: Iterator[tuple[pa.Array, pa.Array, pa.Array, pa.Array]]) -> Iterator[pa.Array]:
+                    scorer = LinearScorer(shared.value, bias, context)
+                    for columns in batches:
+                        yield scorer.scores(*columns)
+
+                return pairs.withColumn(out, known("q_text", "text", "q_bare", "text_bare"))
+
             @F.pandas_udf("double")
             def run(frames: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
                 scorer = LinearScorer(shared.value, bias, context)
